@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from .decontam import decontaminate
+from .html_extract import extract
 from .packing import pack
 from .quality import repetition
 
@@ -29,5 +30,10 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("byte_bpe_50k.tiktoken"))
 
 
-QUERIES = {f.__name__: f for f in (op2_quality_rules, op4_decontamination, op6_packing)}
+def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = extract(table(spark, sf_dir, "pages"), keep=("url",))
+    return out.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
+
+
+QUERIES = {f.__name__: f for f in (op2_quality_rules, op4_decontamination, op6_packing, op7_html_extraction)}
 ORACLE_SQL: dict[str, str] = {}
