@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from .decontam import decontaminate
 from .html_extract import extract
+from .langid import fit, fold, identify
 from .packing import pack
 from .quality import repetition
 
@@ -14,6 +15,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    documents = table(spark, sf_dir, "documents")
+    held_out = F.coalesce(fold("doc_id", 4) == 2, F.lit(False))
+    model = fit(documents.where(~held_out).select("text", "lang"))
+    return identify(documents, model).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
+
+
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = repetition(table(spark, sf_dir, "documents"))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "broken_rule", "dup_line_chars", *[c for c in out.columns if c.startswith("dup_") and c[4:].isdigit()])
@@ -35,5 +43,5 @@ def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 
-QUERIES = {f.__name__: f for f in (op2_quality_rules, op4_decontamination, op6_packing, op7_html_extraction)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op4_decontamination, op6_packing, op7_html_extraction)}
 ORACLE_SQL: dict[str, str] = {}
