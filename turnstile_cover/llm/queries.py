@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from .decontam import decontaminate
 from .html_extract import extract
 from .langid import fit, fold, identify
+from .lm import score
 from .packing import pack
 from .quality import repetition
 
@@ -43,5 +44,12 @@ def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op4_decontamination, op6_packing, op7_html_extraction)}
+def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    documents = table(spark, sf_dir, "documents")
+    held_out = F.coalesce(fold("doc_id", 10) == 0, F.lit(False))
+    out = score(documents, documents.where(~held_out))
+    return out.select("doc_id", held_out.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op4_decontamination, op6_packing, op7_html_extraction, op8_lm_scoring)}
 ORACLE_SQL: dict[str, str] = {}
