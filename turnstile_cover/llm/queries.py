@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from .decontam import decontaminate
 from .html_extract import extract
+from .jaccard_join import near_duplicates
 from .langid import fit, fold, identify
 from .lm import score
 from .packing import pack
@@ -57,5 +58,10 @@ def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held_out.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring)}
+def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90)
+    return out.select("doc_id", "n_shingles", "component_id")
+
+
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring, op9_ngram_jaccard_join)}
 ORACLE_SQL: dict[str, str] = {}
