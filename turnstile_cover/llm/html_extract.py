@@ -260,6 +260,8 @@ def extract(pages: DataFrame, labelled: DataFrame | None = None, max_pages: int
     spark = pages.sparkSession
     source = labelled if labelled is not None else pages
     chosen = source.select("html").where(F.col("html").rlike("(?i)<(article|main)[ >]") & (F.length("html") <= max_page_chars))
+    rate = min(1.0, 4 * max_pages / max(1, source.count()))  # so that no task sends the driver more than its share
+    chosen = chosen.where(F.pmod(F.xxhash64("html"), F.lit(1 << 20)) < int(rate * (1 << 20)) + 1)
     sample = [r[0] for r in chosen.orderBy(F.xxhash64("html"), "html").limit(max_pages).collect()]
     cases = [(bs, [marked(b) for b in bs]) for bs in map(blocks_of, sample) if bs]
     shared = spark.sparkContext.broadcast(train(cases) if cases else None)

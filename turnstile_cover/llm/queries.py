@@ -10,6 +10,7 @@ from .jaccard_join import near_duplicates
 from .langid import fit, fold, identify
 from .lm import score
 from .packing import pack
+from .pii import KINDS, listed, sanitise
 from .quality import repetition
 from .substring_dedup import remove_repeats
 
@@ -30,6 +31,12 @@ def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "broken_rule", "dup_line_chars", *[c for c in out.columns if c.startswith("dup_") and c[4:].isdigit()])
 
 
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = sanitise(table(spark, sf_dir, "documents"), with_text=False)
+    counts = [F.size(k).cast("long").alias(f"n_{k}") for k in KINDS]
+    return out.select("doc_id", *counts, F.sha2(listed(tuple(KINDS)), 256).alias("base_sha256"), listed((*KINDS, "term")).alias("spans"))
+
+
 def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return out.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", F.array_sort("items")), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
@@ -63,5 +70,5 @@ def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_shingles", "component_id")
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring, op9_ngram_jaccard_join)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op3_pii, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring, op9_ngram_jaccard_join)}
 ORACLE_SQL: dict[str, str] = {}
