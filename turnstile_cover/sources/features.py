@@ -14,11 +14,14 @@ from .tables import table
 class Wide:
     """One row a user: uid and attributes in order; numeric ones sort as numbers. sql: the same rows."""
 
-    df: DataFrame
+    df: DataFrame | None
     attributes: tuple[str, ...]
     text: frozenset[str]
     sql: str
 
+    def over(self, df: DataFrame) -> Wide:
+        return Wide(df, self.attributes, self.text, self.sql)
+
     def feature(self, a: str, value: Column) -> Column:
         """Key of the one-hot feature a = value; keys sort by attribute, then value."""
         n = self.attributes.index(a)
@@ -53,13 +56,28 @@ def _all(a: str):
     return Window.partitionBy(F.lit(0)).orderBy(a)  # over the distinct values of one attribute
 
 
+PEOPLE = Wide(
+    None,
+    ("status", "priority", "segment", "nation", "year", "month", "dow", "pricebin", "balbin"),
+    frozenset(("status", "priority", "segment")),
+    "SELECT o_orderkey AS uid, o_orderstatus AS status, o_orderpriority[1] AS priority, c_mktsegment AS segment, c_nationkey AS nation, year(o_orderdate) AS year, month(o_orderdate) AS month, dayofweek(o_orderdate) AS dow, floor(o_totalprice / 50000)::BIGINT AS pricebin, floor(c_acctbal / 2000)::BIGINT AS balbin FROM orders JOIN customer ON o_custkey = c_custkey",
+)
+
+
 def people(spark: SparkSession, d: str) -> Wide:
     """Orders with their customers: 9 attributes, 80 one-hot features."""
     o = table(spark, d, "orders").join(table(spark, d, "customer"), F.col("o_custkey") == F.col("c_custkey"))
     ts = F.col("o_orderdate")
     df = o.select(F.col("o_orderkey").alias("uid"), F.col("o_orderstatus").alias("status"), F.substring("o_orderpriority", 1, 1).alias("priority"), F.col("c_mktsegment").alias("segment"), F.col("c_nationkey").alias("nation"), F.year(ts).alias("year"), F.month(ts).alias("month"), (F.dayofweek(ts) - 1).alias("dow"), F.floor(F.col("o_totalprice") / 50000).alias("pricebin"), F.floor(F.col("c_acctbal") / 2000).alias("balbin"))
-    sql = "SELECT o_orderkey AS uid, o_orderstatus AS status, o_orderpriority[1] AS priority, c_mktsegment AS segment, c_nationkey AS nation, year(o_orderdate) AS year, month(o_orderdate) AS month, dayofweek(o_orderdate) AS dow, floor(o_totalprice / 50000)::BIGINT AS pricebin, floor(c_acctbal / 2000)::BIGINT AS balbin FROM orders JOIN customer ON o_custkey = c_custkey"
-    return Wide(df, ("status", "priority", "segment", "nation", "year", "month", "dow", "pricebin", "balbin"), frozenset(("status", "priority", "segment")), sql)
+    return PEOPLE.over(df)
+
+
+CENSUS = Wide(
+    None,
+    ("qty", "disc", "tax", "rflag", "lstat", "lnum", "syear", "smonth", "brand", "ptype", "psize", "segment", "priority", "ostatus"),
+    frozenset(("rflag", "lstat", "brand", "ptype", "segment", "priority", "ostatus")),
+    "SELECT l_orderkey || '.' || l_linenumber || '.' || l_partkey || '.' || l_suppkey AS uid, l_quantity::INT AS qty, round(l_discount * 100)::INT AS disc, round(l_tax * 100)::INT AS tax, l_returnflag AS rflag, l_linestatus AS lstat, l_linenumber AS lnum, year(l_shipdate) AS syear, month(l_shipdate) AS smonth, p_brand AS brand, p_type AS ptype, p_size AS psize, c_mktsegment AS segment, o_orderpriority[1] AS priority, o_orderstatus AS ostatus FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN part ON l_partkey = p_partkey",
+)
 
 
 def census(spark: SparkSession, d: str) -> Wide:
@@ -68,15 +86,29 @@ def census(spark: SparkSession, d: str) -> Wide:
     cents = lambda c: F.round(F.col(c) * 100).cast("int")
     uid = F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
     df = lines.select(uid.alias("uid"), F.col("l_quantity").cast("int").alias("qty"), cents("l_discount").alias("disc"), cents("l_tax").alias("tax"), F.col("l_returnflag").alias("rflag"), F.col("l_linestatus").alias("lstat"), F.col("l_linenumber").alias("lnum"), F.year("l_shipdate").alias("syear"), F.month("l_shipdate").alias("smonth"), F.col("p_brand").alias("brand"), F.col("p_type").alias("ptype"), F.col("p_size").alias("psize"), F.col("c_mktsegment").alias("segment"), F.substring("o_orderpriority", 1, 1).alias("priority"), F.col("o_orderstatus").alias("ostatus"))
-    sql = "SELECT l_orderkey || '.' || l_linenumber || '.' || l_partkey || '.' || l_suppkey AS uid, l_quantity::INT AS qty, round(l_discount * 100)::INT AS disc, round(l_tax * 100)::INT AS tax, l_returnflag AS rflag, l_linestatus AS lstat, l_linenumber AS lnum, year(l_shipdate) AS syear, month(l_shipdate) AS smonth, p_brand AS brand, p_type AS ptype, p_size AS psize, c_mktsegment AS segment, o_orderpriority[1] AS priority, o_orderstatus AS ostatus FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN part ON l_partkey = p_partkey"
-    return Wide(df, ("qty", "disc", "tax", "rflag", "lstat", "lnum", "syear", "smonth", "brand", "ptype", "psize", "segment", "priority", "ostatus"), frozenset(("rflag", "lstat", "brand", "ptype", "segment", "priority", "ostatus")), sql)
+    return CENSUS.over(df)
+
+
+LINES = Wide(
+    None,
+    ("qty", "disc", "tax", "rflag", "lstat", "lnum", "syear", "smonth", "suppkey"),
+    frozenset(("rflag", "lstat")),
+    "SELECT l_orderkey || '.' || l_linenumber || '.' || l_partkey || '.' || l_suppkey AS uid, l_quantity::INT AS qty, round(l_discount * 100)::INT AS disc, round(l_tax * 100)::INT AS tax, l_returnflag AS rflag, l_linestatus AS lstat, l_linenumber AS lnum, year(l_shipdate) AS syear, month(l_shipdate) AS smonth, l_suppkey AS suppkey FROM lineitem",
+)
 
 
 def lines_only(spark: SparkSession, d: str) -> Wide:
     cents = lambda c: F.round(F.col(c) * 100).cast("int")
     df = table(spark, d, "lineitem").select(F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").alias("uid"), F.col("l_quantity").cast("int").alias("qty"), cents("l_discount").alias("disc"), cents("l_tax").alias("tax"), F.col("l_returnflag").alias("rflag"), F.col("l_linestatus").alias("lstat"), F.col("l_linenumber").alias("lnum"), F.year("l_shipdate").alias("syear"), F.month("l_shipdate").alias("smonth"), F.col("l_suppkey").alias("suppkey"))
-    sql = "SELECT l_orderkey || '.' || l_linenumber || '.' || l_partkey || '.' || l_suppkey AS uid, l_quantity::INT AS qty, round(l_discount * 100)::INT AS disc, round(l_tax * 100)::INT AS tax, l_returnflag AS rflag, l_linestatus AS lstat, l_linenumber AS lnum, year(l_shipdate) AS syear, month(l_shipdate) AS smonth, l_suppkey AS suppkey FROM lineitem"
-    return Wide(df, ("qty", "disc", "tax", "rflag", "lstat", "lnum", "syear", "smonth", "suppkey"), frozenset(("rflag", "lstat")), sql)
+    return LINES.over(df)
+
+
+EVOLVING = Wide(
+    None,
+    ("event_type", "hour", "k"),
+    frozenset(("event_type",)),
+    "SELECT user_id AS uid, arg_max(event_type, (ts, event_id)) AS event_type, arg_max(hour(ts), (ts, event_id)) AS hour, arg_max(CAST(props->>'$.k' AS INT), (ts, event_id)) AS k FROM events GROUP BY user_id",
+)
 
 
 def evolving(spark: SparkSession, d: str) -> Wide:
@@ -84,8 +116,7 @@ def evolving(spark: SparkSession, d: str) -> Wide:
     e = table(spark, d, "events").select("user_id", "ts", "event_id", "event_type", F.hour("ts").alias("hour"), F.get_json_object("props", "$.k").cast("int").alias("k"))
     last = lambda c: F.max_by(c, F.struct("ts", "event_id")).alias(c)
     df = e.groupBy(F.col("user_id").alias("uid")).agg(last("event_type"), last("hour"), last("k"))
-    sql = "SELECT user_id AS uid, arg_max(event_type, (ts, event_id)) AS event_type, arg_max(hour(ts), (ts, event_id)) AS hour, arg_max(CAST(props->>'$.k' AS INT), (ts, event_id)) AS k FROM events GROUP BY user_id"
-    return Wide(df, ("event_type", "hour", "k"), frozenset(("event_type",)), sql)
+    return EVOLVING.over(df)
 
 
 LETTERS = "aeiounrstdhlcéñüö"
