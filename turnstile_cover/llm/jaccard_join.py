@@ -161,46 +161,56 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     links with nothing. A row with a null id has no component; repeated ids are one document.
     """
     num, den = percent, 100
-    spare = reserve if reserve is not None else 0.05 if percent >= 88 else 0.2
+    spare = reserve if reserve is not None else 0.05 if percent >= 88 else 0.15
     source = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
     def outline(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for c in chunks(batch.column("text"), lower=True):
-                n, one, two, keys = [], [], [], []
+                n, one, two = [], [], []
                 for s in shingle_sets(c, words):
                     m = mix(s)
                     n.append(len(s))
                     one.append(m.sum(dtype=U))
                     two.append(mix(m ^ U(0x2545F4914F6CDD1D)).sum(dtype=U))
-                    keys.append(segment_keys(s, num, den, spare))
-                cut = np.concatenate(([0], np.cumsum([len(x) for x in keys])))
-                values = [pa.array(np.array(n, np.int64)), *(pa.array(np.array(x, U).view(np.int64)) for x in (one, two)), pa.ListArray.from_arrays(pa.array(cut, pa.int32()), pa.array(np.concatenate(keys).view(np.int64)))]
                 ids = [batch.column(x).slice(c.first, c.docs) for x in ("doc_id", "text_key")]
-                yield pa.RecordBatch.from_arrays([*ids, *values], ["doc_id", "text_key", "n", "one", "two", "keys"])
+                yield pa.RecordBatch.from_arrays([*ids, pa.array(np.array(n, np.int64)), *(pa.array(np.array(x, U).view(np.int64)) for x in (one, two))], ["doc_id", "text_key", "n", "one", "two"])
 
     keyed = source.select("doc_id", bitfilter.text_key().alias("text_key"), "text")
-    outlines = materialize(keyed.mapInArrow(outline, "doc_id long, text_key long, n long, one long, two long, keys array<long>"), "join-outlines")
+    outlines = materialize(keyed.mapInArrow(outline, "doc_id long, text_key long, n long, one long, two long"), "join-outlines")
     reps = materialize(outlines.where("n > 0 and doc_id is not null").groupBy("one", "two", "n").agg(F.min("doc_id").alias("rep")), "join-sets")
 
-    # segments that two different sets share, and the star of each
-    chosen = outlines.select(F.col("doc_id").alias("rep"), "one", "two", "n", "keys").join(reps, ["rep", "one", "two", "n"], "left_semi")
-    chosen = materialize(chosen.select("rep", "n", "keys"), "join-chosen")
-    heads = chosen.select("rep", F.explode("keys").alias("key")).groupBy("key").agg(F.min("rep").alias("head"), F.max("rep").alias("last")).where("head < last").select("key", "head")
-    heads = materialize(heads, "join-heads")
-    wanted = documents.sparkSession.sparkContext.broadcast(bitfilter.build(heads, "key"))
+    # segments that two different sets share, and the star of each; keys are made from the texts each time, never stored
+    broadcast = documents.sparkSession.sparkContext.broadcast
+    chosen = broadcast(bitfilter.build(reps.select(F.xxhash64("rep").alias("k")), "k"))
+    hashed = source.where("doc_id is not null").select("doc_id", F.xxhash64("doc_id").alias("k"), "text")
 
-    def shared_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def keys_of(batches: Iterator[pa.RecordBatch], shared: bitfilter.BitFilter | None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         for batch in batches:
-            keys = batch.column("keys")
-            values, offsets = keys.values.to_numpy(zero_copy_only=False), keys.offsets.to_numpy()
-            values, offsets = values[offsets[0] : offsets[-1]], offsets - offsets[0]
-            hold = np.flatnonzero(wanted.value.holds(values.view(U))) if len(values) else np.empty(0, np.int64)
-            row = np.searchsorted(offsets, hold, "right") - 1
-            reps_ = batch.column("rep").to_numpy(zero_copy_only=False)[row]
-            yield pa.RecordBatch.from_arrays([pa.array(reps_, pa.int64()), pa.array(values[hold], pa.int64())], ["rep", "key"])
-
-    star = chosen.select("rep", "keys").mapInArrow(shared_keys, "rep long, key long").join(heads, "key").where("rep <> head").select(F.col("rep").alias("a"), F.col("head").alias("b")).distinct()
+            part = batch.filter(pa.array(chosen.value.holds(batch.column("k").to_numpy(zero_copy_only=False))))
+            ids = part.column("doc_id").to_numpy(zero_copy_only=False)
+            for c in chunks(part.column("text"), lower=True):
+                keys = [segment_keys(s, num, den, spare) for s in shingle_sets(c, words)]
+                owner, flat = np.repeat(ids[c.first : c.first + c.docs], [len(x) for x in keys]), np.concatenate(keys)
+                if shared is not None:
+                    hold = shared.holds(flat)
+                    owner, flat = owner[hold], flat[hold]
+                yield owner, flat
+
+    def all_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, flat in keys_of(batches, None):
+            yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["key"])
+
+    heads = materialize(hashed.mapInArrow(all_keys, "key long").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "join-heads")
+    wanted = broadcast(bitfilter.build(heads, "key"))
+
+    def shared_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for owner, flat in keys_of(batches, wanted.value):
+            yield pa.RecordBatch.from_arrays([pa.array(owner, pa.int64()), pa.array(flat.view(np.int64))], ["rep", "key"])
+
+    shared = materialize(hashed.mapInArrow(shared_keys, "rep long, key long"), "join-shared")
+    star = shared.groupBy("key").agg(F.min("rep").alias("head"), F.max("rep").alias("last")).where("head < last").select("key", "head")
+    star = shared.join(materialize(star, "join-stars"), "key").where("rep <> head").select(F.col("rep").alias("a"), F.col("head").alias("b")).distinct()
     blocks = materialize(connected_components(materialize(star, "join-star")).select(F.col("node").alias("rep"), F.col("component").alias("block")), "join-blocks")
     members = documents.sparkSession.sparkContext.broadcast(bitfilter.build(blocks.select(F.xxhash64("rep").alias("k")), "k"))
 
@@ -211,7 +221,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
             for c in chunks(part.column("text"), lower=True):
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").slice(c.first, c.docs), pa.array([s.tobytes() for s in shingle_sets(c, words)], pa.binary())], ["rep", "shingles"])
 
-    loaded = source.where("doc_id is not null").select("doc_id", F.xxhash64("doc_id").alias("k"), "text").mapInArrow(load, "rep long, shingles binary")
+    loaded = hashed.mapInArrow(load, "rep long, shingles binary")
     sets = materialize(loaded.where(F.length("shingles") > 0).join(blocks, "rep"), "join-members")
 
     totals = sets.groupBy("block").agg(F.sum(F.length("shingles")).alias("bytes"), F.count("*").alias("docs"))
