@@ -6,6 +6,7 @@ and NTZ timestamps are cast first, since watermarks refuse them.
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -20,9 +21,15 @@ EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, valu
 
 
 def stage_events(spark: SparkSession, sf_dir: str, name: str, files: int = 4) -> str:
-    """The events table as a folder of files in time order, for a file stream."""
+    """The events table as a folder of files for a file stream, appended one by one in time order."""
     path = f"{shared_folder(spark)}/{name}"
-    table(spark, sf_dir, "events").repartitionByRange(files, "ts").write.mode("overwrite").parquet(path)
+    events = table(spark, sf_dir, "events")
+    ends = events.select(F.unix_micros(F.col("ts").cast("timestamp")).alias("us")).agg(F.percentile_approx("us", [n / files for n in range(1, files)], 1000)).first()[0] or []
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    for n in range(len(ends) + 1):
+        part = events.where((us > ends[n - 1] if n else F.lit(True)) & (us <= ends[n] if n < len(ends) else F.lit(True)))
+        part.coalesce(1).write.mode("append").parquet(path)
+        time.sleep(0.02)  # files are taken by their time of change
     return path
 
 
