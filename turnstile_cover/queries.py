@@ -99,7 +99,7 @@ add("general_exact_f2s", lambda s, d: fingerprint.greedy_raw(features.lines_only
 for _r in (300, 600, 900, 1250):
     _w = features.Wide(None, PEOPLE.attributes, PEOPLE.text, fingerprint.row_sample_sql(PEOPLE, _r))
     add(f"general_rowhash_f1_{_r}", lambda s, d, r=_r: fingerprint.select_rowhash(features.people(s, d), 10, r), fingerprint.greedy_onehot_sql(_w, 10))
-add("general_sketch_f1", lambda s, d: fingerprint.estimated_pairs(features.PEOPLE.over(features.people(s, d).df).coded(), ["nation", "month"], features.people(s, d).df.count()))
+add("general_sketch_f1", lambda s, d: fingerprint.estimated_pairs(features.people(s, d).coded(), ["nation", "month"], features.people(s, d).df.count()))
 _TINY = "SELECT n_nationkey AS uid, n_regionkey AS region, length(n_name) AS width FROM nation"
 add("general_pairs_tiny", lambda s, d: baselines.general_via_pairs(features.Wide(table(s, d, "nation").select(F.col("n_nationkey").alias("uid"), F.col("n_regionkey").alias("region"), F.length("n_name").alias("width")), ("region", "width"), frozenset(), _TINY), 2), fingerprint.greedy_raw_sql(features.Wide(None, ("region", "width"), frozenset(), _TINY), 2))
 add("pairs_identity", lambda s, d: fingerprint.separated_pairs(features.people(s, d).df, ["status", "segment"]), f"WITH f AS (SELECT status, segment, count(*)::HUGEINT AS f FROM ({PEOPLE.sql}) GROUP BY ALL) SELECT (sum(f) * (sum(f) - 1) // 2 - sum(f * (f - 1) // 2))::BIGINT AS separated FROM f")
