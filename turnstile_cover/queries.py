@@ -198,6 +198,24 @@ add("op_stream_static_join", lambda s, d: _stream(s, d, "static", lambda e: e.jo
 add("op_stream_stateful", lambda s, d: _stream(s, d, "stateful", streams.changes).select("event_type", "c").groupBy("event_type").agg(F.count("*").alias("n")), "SELECT event_type, count(*)::BIGINT AS n FROM events GROUP BY 1")
 
 
+def _late(s: SparkSession, d: str) -> DataFrame:
+    """The first week arrives after everything else, a day's delay allowed."""
+    import time
+    import uuid
+
+    from .operators.checkpoints import shared_folder
+
+    folder = f"{shared_folder(s)}/late_{uuid.uuid4().hex}"
+    first_week = F.col("ts") < F.lit("2024-01-08").cast("timestamp_ntz")
+    for part in (~first_week, first_week):
+        table(s, d, "events").where(part).coalesce(1).write.mode("append").parquet(f"{folder}/in")
+        time.sleep(0.02)
+    return streams.count_late(streams.read_stream(s, f"{folder}/in"), folder, 86_400_000_000)
+
+
+add("op_stream_late", _late, "SELECT count(*) FILTER (ts < TIMESTAMP '2024-01-08')::BIGINT AS late, count(*) FILTER (ts >= TIMESTAMP '2024-01-08')::BIGINT AS in_time FROM events")
+
+
 def _stream_pairs(e: DataFrame) -> DataFrame:
     a = e.where("event_type = 'signup'").select(F.col("event_id").alias("a_id"), F.col("user_id").alias("a_user"), F.col("ts").alias("a_ts")).withWatermark("a_ts", "1 hour")
     b = e.where("event_type = 'purchase'").select(F.col("event_id").alias("b_id"), F.col("user_id").alias("b_user"), F.col("ts").alias("b_ts")).withWatermark("b_ts", "1 hour")

@@ -116,3 +116,18 @@ def changes(events: DataFrame) -> DataFrame:
         yield pd.DataFrame(out, columns=["user_id", "event_type", "event_id", "c"])
 
     return keyed.groupBy("user_id", "event_type").applyInPandasWithState(step, "user_id long, event_type string, event_id long, c long", "old long", "append", "NoTimeout")
+
+
+def count_late(stream: DataFrame, folder: str, delay_us: int) -> DataFrame:
+    """late, in_time: rows older than the newest row of earlier batches less the delay, which a watermark would drop."""
+    spark = stream.sparkSession
+
+    def step(batch: DataFrame, n: int) -> None:
+        earlier = spark.read.schema("newest long, late long, in_time long").parquet(f"{folder}/late").agg(F.max("newest")).first()[0] if n else None
+        us = F.unix_micros("ts")
+        late = F.lit(False) if earlier is None else us < earlier - delay_us
+        batch.agg(F.max(us).alias("newest"), F.count_if(late).alias("late"), F.count_if(~late).alias("in_time")).coalesce(1).write.mode("overwrite").parquet(f"{folder}/late/batch={n}")
+
+    q = stream.writeStream.foreachBatch(step).option("checkpointLocation", f"{folder}/late-log").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.parquet(f"{folder}/late").agg(F.sum("late").alias("late"), F.sum("in_time").alias("in_time"))
