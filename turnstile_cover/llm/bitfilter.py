@@ -21,10 +21,10 @@ class BitFilter:
         return (self.data[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)
 
 
-def build(hashes: DataFrame, column: str, max_bits: int = MAX_BITS) -> BitFilter:
-    """About eight bits a row, 2**max_bits bits (16 MB) at most: beyond that more false positives, which later joins drop."""
+def build(hashes: DataFrame, column: str, each: int = 8, max_bits: int = MAX_BITS) -> BitFilter:
+    """About so many bits each, 2**max_bits bits (16 MB) at most: beyond that more false positives, which later joins drop."""
     n = hashes.count()
-    bits = min(max_bits, max(15, (8 * max(n, 1)).bit_length()))
+    bits = min(max_bits, max(15, (each * max(n, 1)).bit_length()))
     place = F.col(column).bitwiseAND((1 << bits) - 1) + 1
     rows = hashes.select(place.alias("p")).groupBy(F.bitmap_bucket_number("p").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("m")).collect()
     data = np.zeros((1 << bits) // 8, np.uint8)

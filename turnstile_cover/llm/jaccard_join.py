@@ -2,7 +2,8 @@
 
 Equal sets collapse to one. Sets that can link share a segment: hash ranges cut a set into more
 segments than a linked pair can differ in, so one non-empty segment is the same in both (sets with
-too many empty segments add the shingles of their prefix, which linked sets share likewise).
+too many empty segments add the shingles of their prefix, which linked sets share likewise). A set with
+fewer shared segments than any link needs is left out, so a common line does not make candidates.
 Documents that share segments form blocks, found through stars, never through pairs. In a block,
 a tree of signature nodes - OR-combined token bitmaps and size ranges - is joined with itself by
 dual traversal: node pairs whose largest possible overlap is too small are dropped, and so are those
@@ -57,11 +58,16 @@ def size_classes(num: int, den: int, reserve: float) -> tuple[np.ndarray, np.nda
     return bounds, differ, differ + 1 + np.ceil(reserve * differ).astype(np.int64)
 
 
-def segment_keys(s: np.ndarray, num: int, den: int, reserve: float) -> np.ndarray:
-    """Keys of a set: its non-empty segments in its size class and, near the class's end, in the next one."""
+def segment_keys(s: np.ndarray, num: int, den: int, reserve: float) -> list[tuple[np.ndarray, int]]:
+    """Keys of a set and how many of them any linked set has too, for its size class and, near the class's end, the next one.
+
+    Keys are the non-empty segments. Linked sets differ in at most (den - num) / num of the smaller one's size, so in as
+    many segments; the others are equal, and all but the set's empty ones are keys of both. If that promises no key, the
+    shingles of the prefix are keys as well, of which linked sets share one.
+    """
     n = len(s)
     if not n:
-        return np.empty(0, U)
+        return []
     bounds, differ, parts = size_classes(num, den, reserve)
     own = int(np.searchsorted(bounds, n, "right")) - 1
     out, mixed = [], mix(s)
@@ -70,10 +76,11 @@ def segment_keys(s: np.ndarray, num: int, den: int, reserve: float) -> np.ndarra
         at = ((s >> U(32)) * U(p)) >> U(32)
         first = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
         size = np.diff(np.append(first, n)).astype(U)
-        out.append(mix(np.add.reduceat(mixed, first) + mix(at[first] + U(k << 40)) + size))
+        keys = mix(np.add.reduceat(mixed, first) + mix(at[first] + U(k << 40)) + size)
         if len(first) <= differ[k]:
-            out.append(mix(s[: n - -(-num * n // den) + 1] ^ mix(np.array([k + 1], U))))
-    return np.concatenate(out)
+            keys = np.concatenate((keys, mix(s[: n - -(-num * n // den) + 1] ^ mix(np.array([k + 1], U)))))
+        out.append((keys, max(1, len(first) - (den - num) * n // num)))
+    return out
 
 
 def signature(s: np.ndarray, bits: int) -> np.ndarray:
@@ -190,19 +197,21 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
             part = batch.filter(pa.array(chosen.value.holds(batch.column("k").to_numpy(zero_copy_only=False))))
             ids = part.column("doc_id").to_numpy(zero_copy_only=False)
             for c in chunks(part.column("text"), lower=True):
-                keys = [segment_keys(s, num, den, spare) for s in shingle_sets(c, words)]
-                owner, flat = np.repeat(ids[c.first : c.first + c.docs], [len(x) for x in keys]), np.concatenate(keys)
-                if shared is not None:
-                    hold = shared.holds(flat)
-                    owner, flat = owner[hold], flat[hold]
-                yield owner, flat
+                owner, flat = [], [np.empty(0, U)]
+                for doc, s in zip(ids[c.first : c.first + c.docs].tolist(), shingle_sets(c, words), strict=True):
+                    for keys, least in segment_keys(s, num, den, spare):
+                        keys = keys if shared is None else keys[shared.holds(keys)]
+                        if shared is None or len(keys) >= least:  # with fewer shared keys no set can be linked
+                            owner.append(np.full(len(keys), doc))
+                            flat.append(keys)
+                yield np.concatenate([np.empty(0, np.int64), *owner]), np.concatenate(flat)
 
     def all_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, flat in keys_of(batches, None):
             yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["key"])
 
     heads = materialize(hashed.mapInArrow(all_keys, "key long").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "join-heads")
-    wanted = broadcast(bitfilter.build(heads, "key"))
+    wanted = broadcast(bitfilter.build(heads, "key", each=64))
 
     def shared_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for owner, flat in keys_of(batches, wanted.value):
