@@ -252,3 +252,12 @@ def test_empty_tables(spark):
     empty = spark.createDataFrame([], "doc_id long, text string")
     bench = spark.createDataFrame([], "item_id long, text string")
     assert repetition(empty).count() == decontaminate(empty, bench).count() == remove_repeats(empty).count() == joins.near_duplicates(empty).count() == pii.sanitise(empty).count() == lm.score(empty, empty).count() == 0
+
+
+def test_group_sums_equal_plain_sums():
+    r = np.random.default_rng(0)
+    for n, kinds in ((1, 1), (7, 3), (600, 40), (600, 1), (600, 10_000)):
+        rows, keys, index = r.normal(size=(n, 5)), np.sort(r.integers(0, kinds, 3 * n)), r.integers(0, n, 3 * n)
+        first = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+        want = [rows[part].sum(0) for part in np.split(index, first[1:])]
+        assert np.allclose(lm.group_sums(rows, index, first, np.diff(np.append(first, len(keys)))), want)
