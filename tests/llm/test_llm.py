@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 import corpus_pipeline
 from turnstile_cover.llm import chat, html_extract, langid, lm, packing, pii
 from turnstile_cover.llm import jaccard_join as joins
+from turnstile_cover.llm.components import connected_components
 from turnstile_cover.llm.decontam import decontaminate
 from turnstile_cover.llm.quality import repetition
 from turnstile_cover.llm.queries import OP10_SQL, QUERIES, table
@@ -261,3 +262,24 @@ def test_group_sums_equal_plain_sums():
         first = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
         want = [rows[part].sum(0) for part in np.split(index, first[1:])]
         assert np.allclose(lm.group_sums(rows, index, first, np.diff(np.append(first, len(keys)))), want)
+
+
+def test_components_equal_union_find(spark):
+    r = np.random.default_rng(3)
+    chain = [(i, i + 1) for i in range(60)]
+    spread = [(int(a) + 100, int(b) + 100) for a, b in r.integers(0, 300, (220, 2))]
+    zigzag = [(500, 590), (590, 510), (510, 580), (580, 505), (700, 701), (701, 700), (710, 710), (None, 720)]
+    parent: dict[int, int] = {}
+
+    def find(x):
+        while parent.setdefault(x, x) != x:
+            x = parent[x]
+        return x
+
+    for a, b in chain + spread + zigzag[:-2]:
+        if a != b:
+            p, q = find(a), find(b)
+            parent[max(p, q)] = min(p, q)
+    edges = spark.createDataFrame(chain + spread + zigzag, "a long, b long")
+    assert {(x, c) for x, c in connected_components(edges).collect()} == {(x, find(x)) for x in list(parent)}
+    assert connected_components(edges.where("false")).count() == 0
