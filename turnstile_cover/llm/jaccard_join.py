@@ -30,6 +30,7 @@ from .textkit import U, Chunk, chunks, mix, ngram_hash
 LEAF, FANOUT = 32, 8
 CHUNK_BYTES = 24 << 20
 GUIDES = 8
+TEXT_BYTES = 1 << 18  # texts hashed at a time, to keep workers small
 
 
 def shingle_sets(c: Chunk, k: int) -> Iterator[np.ndarray]:
@@ -173,7 +174,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
 
     def outline(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for c in chunks(batch.column("text"), lower=True):
+            for c in chunks(batch.column("text"), lower=True, limit=TEXT_BYTES):
                 n, one, two = [], [], []
                 for s in shingle_sets(c, words):
                     m = mix(s)
@@ -196,7 +197,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
         for batch in batches:
             part = batch.filter(pa.array(chosen.value.holds(batch.column("k").to_numpy(zero_copy_only=False))))
             ids = part.column("doc_id").to_numpy(zero_copy_only=False)
-            for c in chunks(part.column("text"), lower=True):
+            for c in chunks(part.column("text"), lower=True, limit=TEXT_BYTES):
                 owner, flat = [], [np.empty(0, U)]
                 for doc, s in zip(ids[c.first : c.first + c.docs].tolist(), shingle_sets(c, words), strict=True):
                     for keys, least in segment_keys(s, num, den, spare):
@@ -227,7 +228,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
         for batch in batches:
             hold = members.value.holds(batch.column("k").to_numpy(zero_copy_only=False))
             part = batch.filter(pa.array(hold))
-            for c in chunks(part.column("text"), lower=True):
+            for c in chunks(part.column("text"), lower=True, limit=TEXT_BYTES):
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").slice(c.first, c.docs), pa.array([s.tobytes() for s in shingle_sets(c, words)], pa.binary())], ["rep", "shingles"])
 
     loaded = hashed.mapInArrow(load, "rep long, shingles binary")

@@ -26,10 +26,10 @@ def powers(base: np.uint64, n: int) -> tuple[np.ndarray, np.ndarray]:
     """base**i and base**-i modulo 2**64 for i < n (at least); kept for the next call."""
     have = _powers.get(int(base))
     if have is None or len(have[0]) < n:
-        size = max(n, CHUNK + (CHUNK >> 2))
+        size = n if n > 8 * CHUNK else max(1 << 16, 1 << (n - 1).bit_length())  # grows in powers of two, so small chunks need small tables
         inverse = U(pow(int(base), -1, 1 << 64))
         have = tuple(np.concatenate(([U(1)], np.cumprod(np.full(size - 1, b, U)))) for b in (base, inverse))
-        if size <= 8 * CHUNK:
+        if n <= 8 * CHUNK:
             _powers[int(base)] = have
     return have
 
