@@ -182,6 +182,22 @@ def test_personal_data(spark, docs):
     assert "term" not in got[0]["spans"]
 
 
+def term_words(spark, texts, columns="doc_id long, text string"):
+    """The term spans' words of each text."""
+    rows = pii.sanitise(spark.createDataFrame(list(enumerate(texts)), columns)).select("doc_id", F.transform("term", lambda t: t["value"]).alias("w")).collect()
+    return [r["w"] for r in sorted(rows)]
+
+
+def test_terms_of_values_seen_once(spark):
+    plain = [f"{c}{c}{c}{c} other words" for c in "abcdefghijklmnopqrst"]
+    kind = [f"to mailbox {c}{c}{c}{c} {c}@{c}.org" for c in "uvwx"]  # four values and domains, each in one text
+    got = term_words(spark, plain + kind)
+    assert got == [[]] * len(plain) + [["mailbox"]] * len(kind)
+    group = [f"to partner {x}@one.org" for x in "abc"] + [f"to else{x} {x}@{x}.net" for x in "klmno"]
+    got = term_words(spark, plain + group)
+    assert got[len(plain) :] == [["partner"]] * 3 + [[]] * 5
+
+
 def test_html(spark, sf):
     pages = table(spark, sf, "pages").limit(80)
     got = {r["page_id"]: r["text"] for r in html_extract.extract(pages).collect()}

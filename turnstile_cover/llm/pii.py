@@ -3,7 +3,9 @@
 Personal data found by pattern are the protected entities. Terms around them are weighed by corpus
 co-occurrence: a term's disclosure is its pointwise mutual information with the entity over the
 entity's own information, 1 when the term gives the entity away and 0 when it says nothing.
-Terms of enough support over the threshold are spans too: in documents that hold the entity they
+A value of one or two texts has no counts to weigh by, so an entity is weighed at three levels: as
+its value, as its group (domain, network, issuer, number range) and as its kind. Terms of enough
+support over the threshold at some level are spans too: in documents that hold the entity they
 are removed, or generalised to their shape if they hold digits.
 """
 
@@ -86,9 +88,17 @@ def with_kind(kind: str) -> Column:
     return F.transform(kind, lambda s: F.struct(F.lit(kind).alias("kind"), s["start"], s["end"], s["value"]))
 
 
-def entity(kind: Column, value: Column) -> Column:
-    """One key for all spellings of an entity."""
-    return F.xxhash64(kind, F.when(kind == "email", F.lower(value)).otherwise(F.regexp_replace(value, r"[^0-9.]", "")))
+def entities(kind: Column, value: Column) -> Column:
+    """The keys of an entity, one for all spellings: its value, its group and its kind."""
+    plain = F.when(kind == "email", F.lower(value)).otherwise(F.regexp_replace(value, r"[^0-9.]", ""))
+    part = F.when(kind == "email", r"@.*$").when(kind == "ip", r"^[0-9]+\.[0-9]+\.[0-9]+\.").when(kind == "card", "^[0-9]{6}").otherwise("^[0-9]{4}")
+    return F.array(F.xxhash64(kind, F.lit("value"), plain), F.xxhash64(kind, F.lit("group"), F.regexp_substr(plain, part)), F.xxhash64(kind, F.lit("kind")))
+
+
+def around(found: DataFrame, limits: DisclosureLimits) -> DataFrame:
+    """th, entity and terms near it: a row for each span and level of its entity."""
+    near = found.select("th", "text", F.explode("spans").alias("s")).select("th", entities(F.col("s.kind"), F.col("s.value")).alias("keys"), context_terms(F.col("text"), F.col("s.start"), F.col("s.end"), limits).alias("terms"))
+    return near.select("th", F.explode("keys").alias("entity"), "terms")
 
 
 def context_terms(text: Column, start: Column, end: Column, limits: DisclosureLimits) -> Column:
@@ -102,7 +112,7 @@ def context_terms(text: Column, start: Column, end: Column, limits: DisclosureLi
 
 def disclosing_terms(found: DataFrame, documents: DataFrame, limits: DisclosureLimits) -> DataFrame:
     """entity and term of every pair over the threshold; found: doc_id, th, text and spans (kind, start, end, value)."""
-    seen = found.select("th", "text", F.explode("spans").alias("s")).select("th", entity(F.col("s.kind"), F.col("s.value")).alias("entity"), context_terms(F.col("text"), F.col("s.start"), F.col("s.end"), limits).alias("terms"))
+    seen = around(found, limits)
     of_entity = seen.groupBy("entity").agg(F.countDistinct("th").alias("n_e")).where(F.col("n_e") >= limits.support)
     pairs = seen.select("entity", "th", F.explode("terms").alias("term")).distinct().groupBy("entity", "term").agg(F.count("*").alias("n_et")).where(F.col("n_et") >= limits.support)
     pairs = materialize(pairs.join(of_entity, "entity"), "pii-pairs")
@@ -136,7 +146,7 @@ def sanitise(documents: DataFrame, limits: DisclosureLimits = DisclosureLimits()
     every = F.concat(*map(with_kind, KINDS))
     found = first.where("some").withColumn("spans", every)
     pairs = materialize(disclosing_terms(found.select("th", "text", "spans"), documents.select("text"), limits), "pii-terms")
-    nearby = found.select("th", F.explode("spans").alias("s"), "text").select("th", entity(F.col("s.kind"), F.col("s.value")).alias("entity"), F.explode(context_terms(F.col("text"), F.col("s.start"), F.col("s.end"), limits)).alias("term"))
+    nearby = around(found, limits).select("th", "entity", F.explode("terms").alias("term"))
     by_text = nearby.join(pairs, ["entity", "term"], "left_semi").groupBy("th").agg(F.sort_array(F.collect_set("term")).alias("terms"))
     none = F.array().cast(SPANS)
     pattern = F.concat(F.lit(rf"(?iu)(?<!{WORD})(?:"), F.array_join("terms", "|"), F.lit(rf")(?!{WORD})"))
