@@ -198,6 +198,20 @@ def test_terms_of_values_seen_once(spark):
     assert got[len(plain) :] == [["partner"]] * 3 + [[]] * 5
 
 
+def test_terms_count_texts_and_reach_all(spark):
+    plain = [f"noise{n} other words" for n in range(200)]
+    three = [f"{x} revealing person{x} ann@x.org" for x in "uvw"]
+    copies = term_words(spark, plain + three + three[:1] * 1000)
+    assert copies[200:] == [["revealing"]] * 1003
+    away = ["a revealing word", "ann@x.org" + " xyz" * 40 + " Revealing"]
+    six = three + [f"{x} revealing person{x} ann@x.org" for x in "rst"]
+    assert term_words(spark, plain + six + away)[200:] == [["revealing"]] * 7 + [["Revealing"]]
+    edge = [f"revealing {x} ann@x.org {x} telling" for x in "uvw"]
+    assert term_words(spark, plain + edge)[200:] == [["revealing", "telling"]] * 3
+    cut = ["revealing" + f" {x}" + "!" * 74 + "ann@x.org" + "!" * 78 + "telling" for x in "uvw"]  # neither word is whole in the context
+    assert term_words(spark, plain + cut)[200:] == [[]] * 3
+
+
 def test_html(spark, sf):
     pages = table(spark, sf, "pages").limit(80)
     got = {r["page_id"]: r["text"] for r in html_extract.extract(pages).collect()}

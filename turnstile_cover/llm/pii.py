@@ -5,8 +5,8 @@ co-occurrence: a term's disclosure is its pointwise mutual information with the
 entity's own information, 1 when the term gives the entity away and 0 when it says nothing.
 A value of one or two texts has no counts to weigh by, so an entity is weighed at three levels: as
 its value, as its group (domain, network, issuer, number range) and as its kind. Terms of enough
-support over the threshold at some level are spans too: in documents that hold the entity they
-are removed, or generalised to their shape if they hold digits.
+support over the threshold at some level are spans too: in every text of the corpus they are
+removed, or generalised to their shape if they hold digits. All counts are of different texts.
 """
 
 from __future__ import annotations
@@ -103,57 +103,61 @@ def around(found: DataFrame, limits: DisclosureLimits) -> DataFrame:
 
 def context_terms(text: Column, start: Column, end: Column, limits: DisclosureLimits) -> Column:
     """Different whole terms near a span."""
-    before = F.substring(text, F.greatest(start - limits.context, F.lit(0)) + 1, F.least(start, F.lit(limits.context)))
-    after = F.substring(text, end + 1, F.lit(limits.context))
-    whole = F.concat(F.regexp_replace(before, rf"^{WORD}+", " "), F.lit(" "), F.regexp_replace(after, rf"{WORD}+$", " "))
+    # one more character than the context shows whether it cuts a word
+    reach = limits.context + 1
+    before = F.substring(text, F.greatest(start - reach, F.lit(0)) + 1, F.least(start, F.lit(reach)))
+    after = F.substring(text, end + 1, F.lit(reach))
+    left = F.when(start > limits.context, F.regexp_replace(before, rf"^{WORD}+", " ")).otherwise(before)
+    right = F.when(F.length(after) > limits.context, F.regexp_replace(after, rf"{WORD}+$", " ")).otherwise(after)
+    whole = F.concat(left, F.lit(" "), right)
     terms = F.split(F.lower(whole), r"[^\p{L}\p{N}]+")
     return F.array_distinct(F.filter(terms, lambda t: F.length(t) >= limits.min_letters))
 
 
 def disclosing_terms(found: DataFrame, documents: DataFrame, limits: DisclosureLimits) -> DataFrame:
-    """entity and term of every pair over the threshold; found: doc_id, th, text and spans (kind, start, end, value)."""
+    """th and terms of every text that holds terms over the threshold; found: th, text and spans (kind, start, end, value)."""
     seen = around(found, limits)
     of_entity = seen.groupBy("entity").agg(F.countDistinct("th").alias("n_e")).where(F.col("n_e") >= limits.support)
     pairs = seen.select("entity", "th", F.explode("terms").alias("term")).distinct().groupBy("entity", "term").agg(F.count("*").alias("n_et")).where(F.col("n_et") >= limits.support)
     pairs = materialize(pairs.join(of_entity, "entity"), "pii-pairs")
     # only words whose hash bucket a candidate has are counted over the corpus
-    bucket = F.pmod(F.xxhash64("term"), F.lit(1 << 18)).cast("int")
-    longs = {r[0]: r[1] for r in pairs.select(bucket.alias("b")).distinct().groupBy(F.shiftright("b", 6).alias("i")).agg(F.bit_or(F.expr("shiftleft(1L, b & 63)"))).collect()}
+    bucket = lambda t: F.pmod(F.xxhash64(t), F.lit(1 << 18)).cast("int")
+    longs = {r[0]: r[1] for r in pairs.select(bucket(F.col("term")).alias("b")).distinct().groupBy(F.shiftright("b", 6).alias("i")).agg(F.bit_or(F.expr("shiftleft(1L, b & 63)"))).collect()}
     table = F.from_json(F.lit(str([longs.get(i, 0) for i in range(1 << 12)])), "array<bigint>")
-    words = F.array_distinct(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"))
-    spread = documents.where(F.col("text").isNotNull()).select(F.explode(words).alias("term")).where(F.length("term") >= limits.min_letters)
-    wanted = F.getbit(F.element_at(table, F.shiftright(bucket, 6) + 1), bucket.bitwiseAND(63)) == 1
-    n_t = spread.where(wanted).groupBy("term").agg(F.count("*").alias("n_t"))
-    total = documents.where(F.col("text").isNotNull()).agg(F.greatest(F.count("*"), F.lit(1)).cast("double").alias("n"))
+    wanted = lambda t: (F.length(t) >= limits.min_letters) & (F.getbit(F.element_at(table, F.shiftright(bucket(t), 6) + 1), bucket(t).bitwiseAND(63)) == 1)
+    words = F.array_distinct(F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), wanted))
+    texts = documents.where(F.col("text").isNotNull()).select(text_key().alias("th"), "text")
+    spread = materialize(texts.select("th", words.alias("words")).where(F.size("words") > 0).dropDuplicates(["th"]), "pii-words")
+    spread = spread.select("th", F.explode("words").alias("term"))
+    n_t = spread.groupBy("term").agg(F.count("*").alias("n_t"))
+    total = texts.agg(F.greatest(F.countDistinct("th"), F.lit(1)).cast("double").alias("n"))
     scored = pairs.join(n_t, "term").crossJoin(F.broadcast(total))  # one row
     information = F.log(F.col("n") / F.least("n_e", "n"))
     mutual = F.log(F.col("n_et") * F.col("n") / (F.col("n_e") * F.greatest("n_t", "n_et")))
-    return scored.where((information > 0) & (mutual / information >= limits.threshold)).select("entity", "term")
+    terms = materialize(scored.where((information > 0) & (mutual / information >= limits.threshold)).select("term").distinct(), "pii-terms")
+    return spread.join(terms, "term").groupBy("th").agg(F.sort_array(F.collect_list("term")).alias("terms"))
 
 
 def sanitise(documents: DataFrame, limits: DisclosureLimits = DisclosureLimits(), with_text: bool = True, keep: tuple[str, ...] = ()) -> DataFrame:
     """Per row: doc_id, columns of keep, an array of spans (start, end, value) for each kind and term, and the sanitised text.
 
-    A null text is empty and has no spans; repeated rows give the same spans. A term counts once for each different
-    text, so exact copies add no support.
+    A null text is empty and has no spans; repeated rows give the same spans. Exact copies of a text count once in every
+    number a term is weighed by. Terms that disclose an entity are spans in all texts, also far from it or without it.
     """
     carried = list(dict.fromkeys(("doc_id", *(k for k in keep if k != "text"))))
     source = documents.select(*(F.col(c).alias(f"c{i}_") for i, c in enumerate(carried)), F.coalesce(F.col("text"), F.lit("")).alias("text"))
     held = [f"c{i}_" for i in range(len(carried))]
     spans = source.select(*held, "text", text_key().alias("th"), *(s.alias(k) for k, s in base_spans(F.col("text")).items()))
     some = sum((F.size(k) for k in KINDS), F.lit(0)) > 0
-    first = materialize(spans.select(*held, "th", *KINDS, some.alias("some"), "text" if with_text else F.when(some, F.col("text")).alias("text")), "pii-base")
+    first = materialize(spans.select(*held, "th", *KINDS, some.alias("some"), "text"), "pii-base")
     every = F.concat(*map(with_kind, KINDS))
     found = first.where("some").withColumn("spans", every)
-    pairs = materialize(disclosing_terms(found.select("th", "text", "spans"), documents.select("text"), limits), "pii-terms")
-    nearby = around(found, limits).select("th", "entity", F.explode("terms").alias("term"))
-    by_text = nearby.join(pairs, ["entity", "term"], "left_semi").groupBy("th").agg(F.sort_array(F.collect_set("term")).alias("terms"))
+    by_text = materialize(disclosing_terms(found.select("th", "text", "spans"), documents.select("text"), limits), "pii-texts")
     none = F.array().cast(SPANS)
     pattern = F.concat(F.lit(rf"(?iu)(?<!{WORD})(?:"), F.array_join("terms", "|"), F.lit(rf")(?!{WORD})"))
     inside = lambda t: F.exists("spans", lambda s: (s["start"] < t["end"]) & (t["start"] < s["end"]))
     term = F.when(F.col("terms").isNotNull(), F.filter(matches(F.col("text"), pattern), lambda t: ~inside(t))).otherwise(none)
-    rest = found.join(by_text, "th", "left").withColumn("term", term).drop("spans", "terms")
-    out = first.where("not some").withColumn("term", none).unionByName(rest)
+    out = first.withColumn("spans", every).join(by_text, "th", "left").withColumn("term", term)
     columns = [*(F.col(h).alias(c) for h, c in zip(held, carried, strict=True)), *KINDS, "term"]
     return out.select(*columns, *([cleaned().alias("text")] if with_text else []))
 
