@@ -60,6 +60,15 @@ def test_quality_counts(spark, docs):
         assert r["base_failed"] == (len(w) < 50 or 100 * sum(inside) > 50 * len(w)) and not (r["kept"] and r["base_failed"])
 
 
+def test_quality_rejects_labelled_junk(spark, sf):
+    labels = spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "quality")
+    got = repetition(table(spark, sf, "documents")).where("not base_failed").join(labels, "doc_id").groupBy("quality", "kept").count().collect()
+    assert {(r["quality"], r["kept"]) for r in got} == {(0, False), (1, True)}
+    words = " ".join(f"w{n}" for n in range(60))
+    got = repetition(frame(spark, [words + " |" * 5, words + " |" * 30])).orderBy("doc_id").collect()
+    assert [r["broken_rule"] for r in got] == [None, "symbols"]
+
+
 def test_decontamination(spark, docs):
     items = [(1, "Aa bb cc dd ee ff gg hh ii jj kk"), (2, "bb cc dd ee ff gg hh ii jj kk ll"), (3, "short item"), (4, None), (5, "")]
     texts = texts_of(docs) + ["x aa bb cc dd ee ff gg hh ii jj y", "aa bb cc dd ee ff gg hh ii jj kk ll", "a short, ITEM here short"]
