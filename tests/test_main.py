@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from turnstile_cover import queries as Q
 from turnstile_cover.functions.hashing import PRIME, Seed, poly4
-from turnstile_cover.operators import baselines, cells, countsketch, coverage, fingerprint, greedy, l0, l0sampler, measures, moments, rowsample
+from turnstile_cover.operators import baselines, cells, countsketch, coverage, fingerprint, greedy, l0, l0sampler, measures, moments, rowsample, targeted
 from turnstile_cover.plans.params import Params, moment_samples
 from turnstile_cover.sources import features
 from turnstile_cover.sources.matrix import WORKLOADS, change_to_updates, encode_column, net
@@ -124,6 +124,27 @@ def test_general_golden(spark, sf):
     assert abs(est - 112_107_515) / 112_107_515 < 0.02
 
 
+def test_all_users_are_targets(spark):
+    d = "/root/testdata/sf0.001"
+    w = features.people(spark, d)
+    own = {}
+    for uid, f in w.long().collect():
+        own.setdefault(uid, set()).add(f)
+    sample = {r["uid"] for r in targeted.sampled_rows(w, 0.1).select("uid").collect()}
+    has = {f: {u for u in sample if f in own[u]} for f in sorted(set().union(*own.values()))}
+    want = set()
+    for uid, mine in own.items():
+        open_, cols, total = set(sample), [], 0
+        for _ in range(7):
+            gain = {f: len(open_ - h) if f in mine else len(open_ & h) for f, h in has.items() if f not in cols}
+            best = max(gain, key=gain.get)  # the first of a tie
+            cols.append(best)
+            total += gain[best]
+            open_ = open_ & has[best] if best in mine else open_ - has[best]
+        want.add((uid, ",".join(cols), total))
+    assert {tuple(r) for r in Q.QUERIES["targeted_all_users"](spark, d).collect()} == want
+
+
 def test_moment_branches(spark):
     got = {r["name"]: r["branch"] for r in Q.QUERIES["complement_branches"](spark, "").collect()}
     assert got["all_distinct"] == "all_small" and got["heavy"] == "dominant" and got["half"] == "middle"

@@ -79,7 +79,7 @@ PEOPLE, CENSUS, LINES = features.PEOPLE, features.CENSUS, features.LINES
 add("targeted_exact_f1_u0", lambda s, d: targeted.exact(features.people(s, d), 0, 4), targeted.exact_sql(PEOPLE, 0, 4))
 add("targeted_exact_raw_f1_u0", lambda s, d: targeted.exact_raw(features.people(s, d), 0, 4), targeted.exact_raw_sql(PEOPLE, 0, 4))
 add("targeted_sampled_f1_u0", lambda s, d: targeted.fingerprint_sampled(features.people(s, d), 0, 3, 0.4, onehot=False), targeted.exact_raw_sql(PEOPLE, 0, 3, targeted.rate_sql(0.4)))
-add("targeted_all_users", lambda s, d: targeted.fingerprint_all(features.people(s, d), features.people(s, d).df.where("uid % 50 = 0").select("uid"), 7, 0.1).select("uid", F.array_join("cols", ",").alias("cols"), "separated_in_sample"))
+add("targeted_all_users", lambda s, d: targeted.fingerprint_all(features.people(s, d), features.people(s, d).df.select("uid"), 7, 0.1).select("uid", F.array_join("cols", ",").alias("cols"), "separated_in_sample"))
 add("targeted_matching_users", lambda s, d: targeted.matching_users(features.people(s, d), 0, ["nation", "month"]), f"WITH w AS ({PEOPLE.sql}) SELECT count(*)::BIGINT AS matching FROM w, (SELECT nation AS a, month AS b FROM w WHERE uid = 0) t WHERE uid <> 0 AND nation = a AND month = b")
 add("targeted_pct_separated", lambda s, d: measures.pct_separated(features.people(s, d), 0, ["nation", "month", "year"]), f"WITH w AS ({PEOPLE.sql}), t AS (SELECT * FROM w WHERE uid = 0), x AS (SELECT w.nation <> t.nation AS a, w.month <> t.month AS b, w.year <> t.year AS c FROM w, t WHERE w.uid <> 0) SELECT 1 AS k, round(100.0::DOUBLE * count(*) FILTER (a) / count(*), 6) AS pct FROM x UNION ALL SELECT 2, round(100.0::DOUBLE * count(*) FILTER (a OR b) / count(*), 6) FROM x UNION ALL SELECT 3, round(100.0::DOUBLE * count(*) FILTER (a OR b OR c) / count(*), 6) FROM x")
 
