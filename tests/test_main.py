@@ -107,6 +107,15 @@ def test_sketch_answer_is_close_to_greedy(spark, sf):
     assert found.select("i", "j").join(net(u), ["i", "j"], "left_anti").count() == 0
 
 
+def test_keys_past_the_fixed_sizes(spark):
+    u = spark.createDataFrame([(3, 1500, 1), (4, 476, 1)], "i long, j long, c long")
+    p = Q.sized(u)
+    assert {tuple(r)[1:] for r in coverage.recover(coverage.build_sketch(u, p)[0], p).collect()} == {(3, 1500), (4, 476)}
+    assert Q.sized(u.where("j = 476")) == Q.P1
+    with pytest.raises(Exception, match="does not fit the width"):
+        coverage.build_sketch(u, Q.P1)[0].count()
+
+
 def test_local_greedy_equals_rounds(spark, sf):
     a = net(WORKLOADS["c4"][0](spark, sf))
     pdf = a.toPandas()

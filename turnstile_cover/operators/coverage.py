@@ -32,8 +32,10 @@ def cover_from_sample(entries: DataFrame, params: Params, sample: str = "capped"
 
 
 def entry_id(params: Params):
-    """Rows and columns below 2**31 together: i * width + j."""
-    return F.col("i") * width(params) + F.col("j")
+    """Rows and columns below 2**31 together: i * width + j; a column that does not fit the width is an error, not another row's."""
+    w = width(params)
+    fits = (F.col("j") >= 0) & (F.col("j") < w)
+    return F.when(fits, F.col("i") * w + F.col("j")).otherwise(F.raise_error(F.lit(f"a column does not fit the width {w} of the sketch")).cast("long"))
 
 
 def width(params: Params) -> int:

@@ -26,11 +26,17 @@ def add(name: str, make: Callable[[SparkSession, str], DataFrame], sql: str | No
         ORACLE[name] = sql
 
 
-#: Sizes of the returns workload (parts by suppliers) are fixed so that SQL and Spark use the same seeds and tables.
+#: Sizes of the returns workload (parts by suppliers) in SQL; queries take them too while the input's keys fit, else the input's.
 P1 = Params.practical(20_000, 1_001, 5, 0.25)
 PS = Params.explicit(20_000, 1_001, 5, 20, 3_000)
 
 
+def sized(u: DataFrame) -> Params:
+    """P1, or the sizes of the updates where their keys are past it."""
+    n, d = u.agg(F.coalesce(F.max("i") + 1, F.lit(0)), F.coalesce(F.max("j") + 1, F.lit(0))).first()
+    return P1 if n <= P1.n and d <= P1.d else Params.practical(max(int(n), P1.n), max(int(d), P1.d), P1.k, P1.eps)
+
+
 def updates(name: str):
     return lambda s, d: WORKLOADS[name][0](s, d)
 
@@ -39,14 +45,28 @@ for _n in WORKLOADS:
     add(f"cover_greedy_{_n}", lambda s, d, n=_n: greedy.cover_df(net(WORKLOADS[n][0](s, d)), 5), greedy.greedy_sql(net_sql(_n), 5, "VARCHAR" if _n == "c5" else "BIGINT"))
 
 C1T, C1 = WORKLOADS["c1t"], WORKLOADS["c1"]
+
+
+def _recovered(s: SparkSession, d: str) -> DataFrame:
+    u = C1T[0](s, d)
+    p = sized(u)
+    return coverage.recover(coverage.build_sketch(u, p)[0], p)
+
+
+def _sketch_size(s: SparkSession, d: str) -> DataFrame:
+    u = C1T[0](s, d)
+    p = sized(u)
+    return measures.sketch_size(coverage.build_sketch(u, p)[0], p.n, p.d)
+
+
 add("cover_optimum_c4_k2", lambda s, d: baselines.optimum(net(WORKLOADS["c4"][0](s, d)), 2).agg(F.max("total").alias("total")), f"WITH a AS ({net_sql('c4')}), g AS (SELECT j, list(DISTINCT i) AS x FROM a GROUP BY j) SELECT max(len(list_distinct(list_concat(p.x, q.x))))::BIGINT AS total FROM g p JOIN g q ON p.j < q.j")
 add("cover_capped_sample_c1", lambda s, d: rowsample.capped_sample(net(C1[0](s, d)), PS), rowsample.cap_and_budget_sql(net_sql("c1"), PS.cap, PS.budget, PS.seed))
 add("cover_from_sample_c1", lambda s, d: coverage.cover_from_sample(net(C1[0](s, d)), PS), greedy.greedy_sql(rowsample.cap_and_budget_sql(net_sql("c1"), PS.cap, PS.budget, PS.seed), 5))
 add("cover_from_sample_lazy_c1", lambda s, d: coverage.cover_from_sample(net(C1[0](s, d)), PS, solver="lazy"), greedy.greedy_sql(rowsample.cap_and_budget_sql(net_sql("c1"), PS.cap, PS.budget, PS.seed), 5))
 add("cover_bucketed_sample_c1", lambda s, d: rowsample.bucketed_sample(net(C1[0](s, d)), P1, bucket_cap=160), rowsample.bucketed_sample_sql(net_sql("c1"), P1, bucket_cap=160))
-add("cover_sketch_cells_c1t", lambda s, d: coverage.build_sketch(C1T[0](s, d), P1)[0], coverage.sketch_sql(C1T[1], P1))
-add("cover_sketch_recovered_c1t", lambda s, d: coverage.recover(coverage.build_sketch(C1T[0](s, d), P1)[0], P1), coverage.recovered_sql(net_sql("c1t"), P1))
-add("cover_answer_c1t", lambda s, d: coverage.max_coverage_batch(C1T[0](s, d), P1))
+add("cover_sketch_cells_c1t", lambda s, d: coverage.build_sketch(C1T[0](s, d), sized(C1T[0](s, d)))[0], coverage.sketch_sql(C1T[1], P1))
+add("cover_sketch_recovered_c1t", _recovered, coverage.recovered_sql(net_sql("c1t"), P1))
+add("cover_answer_c1t", lambda s, d: coverage.max_coverage_batch(C1T[0](s, d), sized(C1T[0](s, d))))
 add("union_size_c1t", lambda s, d: coverage.union_size(l0.build(C1T[0](s, d), ["j"], levels=P1.levels), table(s, d, "supplier").where("s_suppkey <= 3").select(F.lit(0).alias("cand"), F.col("s_suppkey").alias("j")), P1))
 add("l0_per_column_c1t", lambda s, d: l0.estimate(l0.build(C1T[0](s, d), ["j"]), ["j"]), l0.estimate_sql(l0.build_sql(C1T[1], "j"), "j"))
 add("l0_rel_error_c1t", lambda s, d: measures.l0_error(C1T[0](s, d), "j"), f"SELECT x.j, x.exact, e.l0, round(abs(l0 - exact) / exact, 6) AS rel_err FROM (SELECT j, count(*)::BIGINT AS exact FROM ({net_sql('c1t')}) GROUP BY j) x JOIN ({l0.estimate_sql(l0.build_sql(C1T[1], 'j'), 'j')}) e ON x.j = e.j")
@@ -152,7 +172,7 @@ add("insertion_only_bitmap", lambda s, d: baselines.bitmap_union(C1[0](s, d), [1
 add("large_small_rows", lambda s, d: rowsample.large_and_small(net(C1T[0](s, d)), P1), f"SELECT count(*) FILTER (n * {P1.k} >= {P1.d})::BIGINT AS large_rows, count(*) FILTER (n * {P1.k} < {P1.d})::BIGINT AS small_rows, coalesce(sum(n) FILTER (n * {P1.k} >= {P1.d}), 0)::BIGINT AS large_entries, coalesce(sum(n) FILTER (n * {P1.k} < {P1.d}), 0)::BIGINT AS small_entries FROM (SELECT i, count(*) AS n FROM ({net_sql('c1t')}) GROUP BY i)")
 add("row_isolation", lambda s, d: rowsample.isolation(net(C1T[0](s, d)), P1), rowsample.isolation_sql(net_sql("c1t"), P1))
 add("coverage_ratio", lambda s, d: measures.ratio(C1[0](s, d), [1, 2, 3], [98, 26, 16]), "SELECT count(DISTINCT i) FILTER (j IN (1, 2, 3))::BIGINT AS covered, count(DISTINCT i) FILTER (j IN (98, 26, 16))::BIGINT AS reference, round(count(DISTINCT i) FILTER (j IN (1, 2, 3))::DOUBLE / nullif(count(DISTINCT i) FILTER (j IN (98, 26, 16)), 0), 6) AS ratio FROM (SELECT l_partkey AS i, l_suppkey AS j FROM lineitem)")
-add("sketch_size_c1t", lambda s, d: measures.sketch_size(coverage.build_sketch(C1T[0](s, d), P1)[0], P1.n, P1.d), f"SELECT count(*)::BIGINT AS cells, {P1.n * P1.d} AS matrix_cells, round(count(*)::DOUBLE / {P1.n * P1.d}, 6) AS share FROM ({coverage.sketch_sql(C1T[1], P1)})")
+add("sketch_size_c1t", _sketch_size, f"SELECT count(*)::BIGINT AS cells, {P1.n * P1.d} AS matrix_cells, round(count(*)::DOUBLE / {P1.n * P1.d}, 6) AS share FROM ({coverage.sketch_sql(C1T[1], P1)})")
 
 
 def _noisy(s: SparkSession, d: str, fn: str, fresh: bool) -> DataFrame:
