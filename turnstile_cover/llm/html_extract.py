@@ -12,14 +12,17 @@ from __future__ import annotations
 import html as htmllib
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(?:![^>]*|\?[^>]*)>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)([^>]*)>", re.S)
+UNCLOSED = re.compile(r"<!--.*", re.S)
 ATTRIBUTE = re.compile(r"(?:class|id|role|itemprop|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+))", re.I)
 WORDS = re.compile(r"[A-Za-z]+")
 #: HTML's block-level elements, elements without content, and raw-text elements.
@@ -34,61 +37,86 @@ MAIN_WORDS = frozenset("article articlebody entry main post story".split())
 FEATURES = 1 << 12
 
 
+class Node:
+    """An open element of a page: its tag, class words and the element around it. Blocks share nodes, so depth costs no copies."""
+
+    __slots__ = ("up", "tag", "words", "state")
+
+    def __init__(self, up: Node | None, tag: str, words: frozenset[str] = frozenset()):
+        self.up, self.tag, self.words = up, tag, words
+        self.state: tuple[int, int, bool, int] | None = None
+
+
+def chain(node: Node | None, most: int | None = None) -> list[Node]:
+    """Ancestors from the root, the node included; the first ones only with most."""
+    out = []
+    while node is not None:
+        out.append(node)
+        node = node.up
+    return out[::-1][:most]
+
+
 @dataclass
 class Block:
     text: str
-    path: tuple[tuple[str, frozenset[str]], ...]
+    path: Node | None
     linked: int
 
 
 def blocks_of(page: str) -> list[Block]:
     """Leaf blocks in page order; broken markup closes at the next block-level tag."""
     out: list[Block] = []
-    stack: list[tuple[str, frozenset[str]]] = []
+    stack: list[Node] = []
+    open_: Counter[str] = Counter()
     parts: list[str] = []
-    path: tuple | None = None
+    path: Node | None = None
+    seen = False
     linked = at = 0
     none: frozenset[str] = frozenset()
 
     def text(piece: str) -> None:
-        nonlocal path, linked
+        nonlocal path, linked, seen
         if not piece:
             return
-        if path is None and not piece.isspace():
-            path = tuple(stack)
+        if not seen and not piece.isspace():
+            path, seen = stack[-1] if stack else None, True
         parts.append(piece)
-        if any(t == "a" for t, _ in stack):
+        if open_["a"]:
             linked += len(piece.strip())
 
     def close() -> None:
-        nonlocal path, linked
-        joined = "".join(parts)
-        if path is not None:
+        nonlocal path, linked, seen
+        if seen:
+            joined = "".join(parts)
             words = " ".join((htmllib.unescape(joined) if "&" in joined else joined).split())
             if words:
                 out.append(Block(words, path, linked))
         parts.clear()
-        path, linked = None, 0
+        path, linked, seen = None, 0, False
+
+    def shut(k: int) -> None:
+        for x in stack[k:]:
+            open_[x.tag] -= 1
+        del stack[k:]
 
-    n = len(page)
+    n, last = len(page), page.rfind(">")
     while at < n:
-        m = TAG.search(page, at)
+        # no tag ends after the last ">", but a comment that never closes hides the rest
+        m = TAG.search(page, at) if at <= last else UNCLOSED.search(page, at)
         if not m:
             text(page[at:])
             break
         text(page[at : m.start()])
         at = m.end()
-        name = m[2] or m[5]
+        name = (m[2] or m[5]) if m.re is TAG else None
         if not name:
             continue
         name, ending, rest = name.lower(), m[1] or m[4], m[3] or m[6] or ""
         if ending:
             if name in BLOCK:
                 close()
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == name:
-                    del stack[k:]
-                    break
+            if open_[name] > 0:
+                shut(next(k for k in range(len(stack) - 1, -1, -1) if stack[k].tag == name))
             continue
         if name in RAW:
             if not rest.endswith("/"):
@@ -99,68 +127,80 @@ def blocks_of(page: str) -> list[Block]:
             text(" ")
         if name in BLOCK:
             close()
-            if stack and name != "title":
+            repeats = name in ("li", "td", "th", "tr", "dt", "dd", "option") and open_[name] > 0
+            if name != "title" and (open_["p"] > 0 or repeats):
                 for k in range(len(stack) - 1, -1, -1):
-                    if stack[k][0] == "p" or stack[k][0] == name and name in ("li", "td", "th", "tr", "dt", "dd", "option"):
-                        del stack[k:]
+                    if stack[k].tag == "p" or repeats and stack[k].tag == name:
+                        shut(k)
                         break
-                    if stack[k][0] in BLOCK:
+                    if stack[k].tag in BLOCK:
                         break
-                if name == "body":
-                    stack = [x for x in stack if x[0] != "head"]
+            if name == "body" and open_["head"] > 0:
+                shut(next(k for k, x in enumerate(stack) if x.tag == "head"))
         if name in VOID or rest.endswith("/"):
             continue
         words = frozenset(w.lower() for a in ATTRIBUTE.findall(rest) for w in WORDS.findall("".join(a))) if "=" in rest else none
-        stack.append((name, words))
+        stack.append(Node(stack[-1] if stack else None, name, words))
+        open_[name] += 1
     close()
     return out
 
 
+@lru_cache(50_000)
 def bucket(name: str) -> int:
     return zlib.crc32(name.encode()) % FEATURES
 
 
+@lru_cache(50_000)
+def element(tag: str, words: frozenset[str]) -> tuple[bool, bool, int]:
+    """Does the element mark the article, does it set its content apart, and its features as bits of an integer."""
+    main = tag in MAIN_TAGS or bool(words & MAIN_WORDS) and not words & ASIDE_WORDS
+    names = [f"up:{tag}", *(f"word:{w}" for w in words), *(["in:main"] if main else [])]
+    return main, tag in ASIDE_TAGS or bool(words & ASIDE_WORDS), sum({1 << bucket(x) for x in names})
+
+
+def state_of(node: Node | None) -> tuple[int, int, bool, int]:
+    """Of a node and all around it: features, features with the article's mark hidden, inside an article, and the page's own
+    label: 0 outside, 1 inside, 2 inside something set apart. Worked out once a node, from the root down."""
+    todo = []
+    while node is not None and node.state is None:
+        todo.append(node)
+        node = node.up
+    shown, hidden, inside, label = node.state if node is not None else (0, 0, False, 0)
+    for x in reversed(todo):
+        main, aside, bits = element(x.tag, x.words)
+        inside = inside or main
+        if aside or x.tag == "header" and not inside:
+            bits |= 1 << bucket("in:aside")
+        shown |= bits
+        hidden |= 0 if main else bits
+        label = 2 if label == 2 or aside and not main else 1 if main else label
+        x.state = (shown, hidden, inside, label)
+    return shown, hidden, inside, label
+
+
 @dataclass
 class Features:
-    known: dict[str, int] = field(default_factory=dict)
-    paths: dict[tuple, list[int]] = field(default_factory=dict)
-
-    def of(self, name: str) -> int:
-        b = self.known.get(name)
-        if b is None:
-            if len(self.known) > 50_000:
-                self.known.clear()
-            b = self.known[name] = bucket(name)
-        return b
-
-    def ancestors(self, path: tuple, hide: bool) -> list[int]:
-        have = self.paths.get((path, hide))
+    sets: dict[int, list[int]] = field(default_factory=dict)
+
+    def listed(self, bits: int) -> list[int]:
+        """Places of an integer's bits."""
+        have = self.sets.get(bits)
         if have is None:
-            names = set()
-            inside = False
-            for tag, words in path:
-                main = tag in MAIN_TAGS or bool(words & MAIN_WORDS) and not words & ASIDE_WORDS
-                inside |= main
-                if main and hide:
-                    continue
-                names.add(f"up:{tag}")
-                names.update(f"word:{w}" for w in words)
-                if main:
-                    names.add("in:main")
-                if tag in ASIDE_TAGS or words & ASIDE_WORDS or tag == "header" and not inside:
-                    names.add("in:aside")
-            names.add(f"leaf:{path[-1][0] if path else ''}")
-            if len(self.paths) > 20_000:
-                self.paths.clear()
-            have = self.paths[(path, hide)] = [self.of(x) for x in sorted(names)]
+            if len(self.sets) > 2_000:
+                self.sets.clear()
+            have = self.sets[bits] = [i for i, c in enumerate(reversed(bin(bits)[2:])) if c == "1"]
         return have
 
+    def ancestors(self, path: Node | None, hide: bool) -> list[int]:
+        return [*self.listed(state_of(path)[hide]), bucket(f"leaf:{path.tag if path else ''}")]
+
     def vector(self, b: Block, hide: bool = False) -> list[int]:
         t = b.text
         n = len(t)
         ends = t[-1] in ".!?:;\"'»)"
         link = b.linked * 4 // max(1, n)
-        return [*self.ancestors(b.path, hide), self.of("bias"), self.of(f"len:{n.bit_length()}"), self.of(f"link:{min(4, link)}"), self.of(f"end:{ends}"), self.of(f"stop:{min(3, t.count('. '))}"), self.of(f"copy:{'©' in t}")]
+        return [*self.ancestors(b.path, hide), bucket("bias"), bucket(f"len:{n.bit_length()}"), bucket(f"link:{min(4, link)}"), bucket(f"end:{ends}"), bucket(f"stop:{min(3, t.count('. '))}"), bucket(f"copy:{'©' in t}")]
 
 
 @dataclass
@@ -211,21 +251,18 @@ def gradient(field_: Field, vectors: list[list[int]], labels: list[int]) -> tupl
 
 def marked(b: Block) -> int:
     """A page's own label of a block: inside the element that marks the article and nothing that sets it apart."""
-    inside = False
-    for tag, words in b.path:
-        if tag in MAIN_TAGS or words & MAIN_WORDS and not words & ASIDE_WORDS:
-            inside = True
-        elif tag in ASIDE_TAGS or words & ASIDE_WORDS:
-            return 0
-    return int(inside)
+    return int(state_of(b.path)[3] == 1)
 
 
 def with_moved(blocks: list[Block], labels: list[int]) -> tuple[list[Block], list[int]]:
     """The page with its first article block copied into a page header and its last ones into reader comments."""
-    top = blocks[0].path[:2]
+    top = None
+    for x in chain(blocks[0].path, 2):
+        top = Node(top, x.tag, x.words)
+    header, comments = Node(top, "header"), Node(top, "div", frozenset(["comments"]))
+    below = lambda up, b: Block(b.text, Node(up, b.path.tag, b.path.words), 0)
     main = [b for b, y in zip(blocks, labels, strict=True) if y]
-    head = [Block(b.text, (*top, ("header", frozenset()), b.path[-1]), 0) for b in main[:1]]
-    tail = [Block(b.text, (*top, ("div", frozenset(["comments"])), b.path[-1]), 0) for b in main[-2:]]
+    head, tail = [below(header, b) for b in main[:1]], [below(comments, b) for b in main[-2:]]
     return [*head, *blocks, *tail], [0] * len(head) + labels + [0] * len(tail)
 
 
@@ -250,20 +287,28 @@ def train(pages: list[tuple[list[Block], list[int]]], epochs: int = 5, rate: flo
     return f
 
 
+def training_pages(source: DataFrame, max_pages: int, max_page_chars: int) -> list[str]:
+    """At most max_pages different pages that mark their article, those of the smallest hashes: copies count once, and
+    the rate of the hashes looked at follows the number of marked pages, however rare they are."""
+    h = F.xxhash64("html")
+    chosen = source.select("html", h.alias("h"), F.pmod(h, F.lit(1 << 30)).alias("at")).where(F.col("html").rlike("(?i)<(article|main)[ >]") & (F.length("html") <= max_page_chars))
+    found = chosen.agg(F.approx_count_distinct("h")).first()[0]
+    near = chosen.where(F.col("at") <= int(min(1.0, 4 * max_pages / max(1, found)) * (1 << 30)))
+    keys = [r[0] for r in near.select("at", "h").distinct().orderBy("at", "h").limit(max_pages).select("h").collect()]
+    rows = near.where(F.col("h").isin(keys)).groupBy("h").agg(F.min("html").alias("html")).collect() if keys else []  # at most max_pages
+    return [r["html"] for r in sorted(rows, key=lambda r: (r["h"], r["html"]))]
+
+
 def extract(pages: DataFrame, labelled: DataFrame | None = None, max_pages: int = 200, max_page_chars: int = 100_000, keep: tuple[str, ...] = ()) -> DataFrame:
     """Per row: page_id, columns of keep, text, n_blocks and n_main.
 
-    The field is fitted on at most max_pages pages of labelled (html column; default: pages itself) that mark
-    their article, in hashed order and of at most max_page_chars characters; every page is decoded in full.
-    A null or empty page has an empty text. With no page to learn from, the pages' own marks decide.
+    The field is fitted on at most max_pages different pages of labelled (html column; default: pages itself) that
+    mark their article, in hashed order and of at most max_page_chars characters; every page is decoded in full, however
+    long or deep. A null or empty page has an empty text, repeated rows the same text; blocks of equal scores are no
+    main text. With no page to learn from, the pages' own marks decide.
     """
     spark = pages.sparkSession
-    source = labelled if labelled is not None else pages
-    chosen = source.select("html").where(F.col("html").rlike("(?i)<(article|main)[ >]") & (F.length("html") <= max_page_chars))
-    rate = min(1.0, 4 * max_pages / max(1, source.count()))  # so that no task sends the driver more than its share
-    chosen = chosen.where(F.pmod(F.xxhash64("html"), F.lit(1 << 20)) < int(rate * (1 << 20)) + 1)
-    sample = [r[0] for r in chosen.orderBy(F.xxhash64("html"), "html").limit(max_pages).collect()]
-    cases = [(bs, [marked(b) for b in bs]) for bs in map(blocks_of, sample) if bs]
+    cases = [(bs, [marked(b) for b in bs]) for bs in map(blocks_of, training_pages(labelled if labelled is not None else pages, max_pages, max_page_chars)) if bs]
     shared = spark.sparkContext.broadcast(train(cases) if cases else None)
     carried = list(dict.fromkeys(("page_id", *keep)))
     rows = pages.select(*dict.fromkeys((*carried, "html")))
