@@ -13,7 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from .textkit import U, Chunk, chunks
 
@@ -158,22 +158,29 @@ def document_frequencies(training: DataFrame) -> tuple[int, np.ndarray]:
     return int(out[-1]), out[:-1]
 
 
-def fit(training: DataFrame, max_rows: int = 4000, max_chars: int = 20_000, ftrl: Ftrl = Ftrl()) -> LanguageModel | None:
+def fit(training: DataFrame, max_rows: int = 4000, max_chars: int = 20_000, min_rows: int = 20, ftrl: Ftrl = Ftrl()) -> LanguageModel | None:
     """A model of training's text and lang (nulls left out); None if there is nothing to learn.
 
-    The fit sees at most max_rows rows of at most max_chars characters, spread evenly over the languages in hashed order;
-    document frequencies cover all rows.
+    The fit sees at most max_rows different texts (copies count once), spread evenly over the languages in hashed order, of
+    at most max_chars characters; a language with fewer than min_rows such texts adds up to so many longer ones, whole.
+    Document frequencies cover all rows.
     """
     rows = training.select("text", "lang").where(F.col("text").isNotNull() & F.col("lang").isNotNull())
     docs, df = document_frequencies(rows)
-    counts = {r[0]: r[1] for r in rows.where(F.length("text") <= max_chars).groupBy("lang").count().collect()}
+    h, long = F.xxhash64("text"), F.length("text") > max_chars
+    texts = rows.select("lang", "text", h.alias("h"), long.alias("long"), (F.pmod(h, F.lit(1 << 30)) / (1 << 30)).alias("at"))
+    counts = {(r[0], r[1]): r[2] for r in texts.groupBy("lang", "long").agg(F.approx_count_distinct("h")).collect()}  # two rows a language
     if not counts:
         return None
-    languages = sorted(counts)
-    quota = max(20, max_rows // len(languages))
-    spread = F.pmod(F.xxhash64("text"), F.lit(1 << 30)) / (1 << 30)
-    rate = F.create_map(*[F.lit(x) for k in languages for x in (k, min(1.0, 1.3 * quota / counts[k]))])[F.col("lang")]
-    picked = rows.where((F.length("text") <= max_chars) & (spread <= rate))
+    languages = sorted({k for k, _ in counts})
+    quota = {(k, False): max(min_rows, max_rows // len(languages)) for k in languages}
+    quota |= {(k, True): min_rows for k in languages if counts.get((k, False), 0) < min_rows}
+    groups = [x for x in sorted(quota) if x in counts]
+    of = lambda value: F.create_map(*[F.lit(x) for k, y in groups for x in (f"{k}/{y}", value((k, y)))])[F.concat("lang", F.lit("/"), F.when(F.col("long"), "True").otherwise("False"))]
+    near = texts.where(F.col("at") <= of(lambda g: min(1.0, 1.3 * (quota[g] + 10) / counts[g])))
+    different = near.groupBy("lang", "long", "at", "h").agg(F.min("text").alias("text"))  # copies collapse before anything is sent
+    place = F.row_number().over(Window.partitionBy("lang", "long").orderBy("at", "h"))  # a little over the quota in each group
+    picked = different.withColumn("place", place).where(F.col("place") <= of(lambda g: quota[g])).select("lang", "text", F.col("place").alias("order"))
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -186,11 +193,9 @@ def fit(training: DataFrame, max_rows: int = 4000, max_chars: int = 20_000, ftrl
             if at:
                 yield pa.RecordBatch.from_arrays([batch.column("lang"), batch.column("order"), pa.array(at, pa.binary()), pa.array(value, pa.binary())], ["lang", "ordered", "at", "value"])
 
-    ordered = picked.withColumn("order", F.xxhash64("text"))
     sample: dict[str, list] = {k: [] for k in languages}
-    for r in sorted(ordered.mapInArrow(features, "lang string, ordered long, at binary, value binary").collect(), key=lambda r: (r[0], r[1])):
-        if len(sample[r[0]]) < quota:
-            sample[r[0]].append(r)
+    for r in sorted(picked.mapInArrow(features, "lang string, ordered int, at binary, value binary").collect()):  # at most the quotas
+        sample[r[0]].append(r)
     idf = np.log((1 + docs) / (1 + df))
     data, labels, back, back_labels = [], [], [], []
     for y, k in enumerate(languages):
@@ -207,7 +212,8 @@ def fit(training: DataFrame, max_rows: int = 4000, max_chars: int = 20_000, ftrl
 def identify(documents: DataFrame, model: LanguageModel | None, keep: tuple[str, ...] = ()) -> DataFrame:
     """Per row: doc_id, columns of keep, lang_pred and score.
 
-    A null text, one without a letter, or any text where nothing was learned is `und` with score 0.
+    A null text, one without a letter, or any text where nothing was learned is `und` with score 0; repeated rows get the
+    same answer, ties go to the first language by name, and texts of any length are read whole.
     """
     shared = documents.sparkSession.sparkContext.broadcast(model)
     carried = list(dict.fromkeys(("doc_id", *keep)))
