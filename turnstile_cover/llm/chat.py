@@ -9,8 +9,11 @@ JSON (keys sorted, no blanks). Messages stay rows: no conversation is ever gathe
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, functions as F
 
+from .bitfilter import text_key
 from .store import materialize
 
 #: JSON schema types and the prefix of the variant types that satisfy them.
@@ -34,13 +37,23 @@ def written(parts: dict[str, Column]) -> Column:
     return F.concat(*pieces, F.lit("}"))
 
 
+def meet(left: DataFrame, right: DataFrame, on: list[str], how: str = "left") -> DataFrame:
+    """Equi-join in which nulls of the keys are equal; right's keys are dropped."""
+    renamed = right.select(*(F.col(c).alias(f"r_{c}") if c in on else F.col(c) for c in right.columns))
+    same = [F.col(c).eqNullSafe(F.col(f"r_{c}")) for c in on]
+    return left.join(renamed, same, how).drop(*(f"r_{c}" for c in on))
+
+
 def tool_calls(conversations: DataFrame) -> DataFrame:
-    """One row per call of assistant messages: conv_id, turn, place, id, name, arguments (canonical), needs (ids)."""
-    spoken = conversations.where((F.col("role") == "assistant") & F.col("text").contains("<tool_call>"))
-    bodies = spoken.select("conv_id", "turn", F.posexplode(F.regexp_extract_all("text", F.lit(CALL), F.lit(1))).alias("place", "body")).where(F.try_parse_json("body").isNotNull())
-    arguments = F.coalesce(F.get_json_object("body", "$.arguments"), F.lit("{}"))
-    made = bodies.select("conv_id", "turn", "place", F.get_json_object("body", "$.id").alias("id"), F.get_json_object("body", "$.name").alias("name"), canonical(arguments).alias("arguments"))
-    return made.withColumn("needs", F.array_distinct(F.regexp_extract_all(F.coalesce("arguments", F.lit("")), F.lit(r'"\$([A-Za-z0-9_-]+)"'), F.lit(1))))
+    """One row per call of different assistant messages: conv_id, turn, th (of its text), place, id, name, arguments (canonical),
+    readable (are they a JSON object), needs (ids). Arguments that are no JSON are kept as a JSON string."""
+    spoken = conversations.where((F.col("role") == "assistant") & F.col("text").contains("<tool_call>")).select("conv_id", "turn", text_key().alias("th"), "text")
+    spoken = spoken.dropDuplicates(["conv_id", "turn", "th"])  # a repeated message makes its calls once
+    bodies = spoken.select("conv_id", "turn", "th", F.posexplode(F.regexp_extract_all("text", F.lit(CALL), F.lit(1))).alias("place", "body")).where(F.try_parse_json("body").isNotNull())
+    given = F.coalesce(F.get_json_object("body", "$.arguments"), F.lit("{}"))
+    made = bodies.select("conv_id", "turn", "th", "place", F.get_json_object("body", "$.id").alias("id"), F.get_json_object("body", "$.name").alias("name"), F.coalesce(canonical(given), quoted(given)).alias("arguments"))
+    made = made.withColumn("readable", F.col("arguments").startswith("{"))
+    return made.withColumn("needs", F.array_distinct(F.regexp_extract_all("arguments", F.lit(r'"\$([A-Za-z0-9_-]+)"'), F.lit(1))))
 
 
 def tool_results(conversations: DataFrame) -> DataFrame:
@@ -50,10 +63,10 @@ def tool_results(conversations: DataFrame) -> DataFrame:
 
 
 def argument_faults(schemas: dict[str, dict[str, tuple[str, bool]]]) -> Column:
-    """Faults of a call's arguments: not JSON, missing, unknown or of another type; null for a tool without a schema."""
-    fault = F.lit(None).cast("array<string>")
+    """Faults of a call's arguments: not a JSON object, missing, unknown or of another type; only the first without a schema."""
+    fault = F.array().cast("array<string>")
     for tool, fields in sorted(schemas.items()):
-        values = F.from_json("arguments", "map<string,variant>")
+        values = F.from_json(F.when(F.col("readable"), F.col("arguments")).otherwise("{}"), "map<string,variant>")
         keys = F.map_keys(values)
         checks = [F.array_except(keys, F.array(*map(F.lit, sorted(fields))).cast("array<string>"))]
         checks[0] = F.transform(checks[0], lambda k: F.concat(F.lit("unknown:"), k))
@@ -62,48 +75,51 @@ def argument_faults(schemas: dict[str, dict[str, tuple[str, bool]]]) -> Column:
             wrong = F.array_contains(keys, name) & ~F.schema_of_variant(value).rlike(f"^({TYPES[kind]})")
             missing = F.lit(required) & ~F.array_contains(keys, name)
             checks.append(F.when(missing, F.array(F.lit(f"missing:{name}"))).when(wrong, F.array(F.lit(f"type:{name}"))).otherwise(F.array().cast("array<string>")))
-        found = F.when(values.isNull(), F.array(F.lit("not_json"))).otherwise(F.concat(*checks))
-        fault = F.when(F.col("name") == tool, found).otherwise(fault)
-    return fault
+        fault = F.when(F.col("name") == tool, F.concat(*checks)).otherwise(fault)
+    return F.when(~F.col("readable"), F.array(F.lit("not_json"))).otherwise(fault)
 
 
 def ordered_calls(calls: DataFrame) -> DataFrame:
-    """calls with depth: 0 without needs inside the conversation, else one more than the deepest; null on a cycle."""
-    known = calls.select("conv_id", "id").where("id is not null").distinct()
-    edges = materialize(calls.select("conv_id", "id", F.explode("needs").alias("need")).where("id is not null").distinct().join(known.withColumnRenamed("id", "need"), ["conv_id", "need"], "left_semi"), "chat-edges")
-    waiting = edges.select("conv_id", "id").distinct()
-    depth = materialize(known.join(waiting, ["conv_id", "id"], "left_anti").withColumn("depth", F.lit(0)), "chat-depth")
-    open_ = waiting
+    """calls with depth: 0 without needs inside the conversation, else one more than the deepest; null on a cycle or after one.
+
+    Level by level: a round keeps only the needs still open, and writes the calls that it freed, so all rounds together
+    write each need as often as it is deep and each call once.
+    """
+    key = ["conv_id", "id"]
+    known = calls.select(*key).where("id is not null").distinct()
+    needs = calls.select(*key, F.explode("needs").alias("need")).where("id is not null").distinct()
+    open_ = materialize(meet(needs, known.withColumnRenamed("id", "need"), ["conv_id", "need"], "left_semi"), "chat-needs")
+    levels = [materialize(meet(known, open_.select(*key).distinct(), key, "left_anti").withColumn("depth", F.lit(0)), "chat-level")]
     while not open_.isEmpty():
-        reached = edges.join(depth.withColumnRenamed("id", "need"), ["conv_id", "need"], "left").groupBy("conv_id", "id").agg(F.max("depth").alias("d"), F.max(F.col("depth").isNull()).alias("stuck"))
-        new = materialize(reached.where("not stuck").join(depth, ["conv_id", "id"], "left_anti").select("conv_id", "id", (F.col("d") + 1).alias("depth")), "chat-depth")
-        if new.isEmpty():
+        left = materialize(meet(open_, levels[-1].select("conv_id", F.col("id").alias("need")), ["conv_id", "need"], "left_anti"), "chat-needs")
+        freed = materialize(meet(open_.select(*key).distinct(), left.select(*key).distinct(), key, "left_anti").withColumn("depth", F.lit(len(levels))), "chat-level")
+        if freed.isEmpty():
             break
-        depth = materialize(depth.unionByName(new), "chat-depth")
-        open_ = waiting.join(depth, ["conv_id", "id"], "left_anti")
-    return calls.join(depth, ["conv_id", "id"], "left")
+        levels.append(freed)
+        open_ = left
+    return meet(calls, reduce(DataFrame.unionByName, levels), key)
 
 
 def format_chats(conversations: DataFrame, schemas: dict[str, dict[str, tuple[str, bool]]] | None = None) -> DataFrame:
     """Per message: conv_id, turn, role, n_calls, n_linked, n_faulty, is_orphan and line (canonical JSON).
 
-    Calls of a message are listed by depth, then place; those on a cycle or without an id come last. A result without a
-    call is an orphan; so is one without an identifier. Null texts and roles are empty strings in the line; repeated
-    rows give repeated lines. Text that is not a call, or a call that is not JSON, stays text.
+    Calls of a message are listed by depth, then place; those on a cycle or without an id come last, with depth -1. A result
+    without a call is an orphan; so is one without an identifier. A null conv_id is one conversation, a null turn one turn.
+    Null texts and roles are empty strings in the line. Repeated rows give repeated lines with the same calls; two texts of
+    one turn have their own. Arguments that are no JSON object are the fault not_json; a call that is not JSON stays text.
     """
     rows = conversations.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    calls = materialize(tool_calls(rows).where("arguments is not null"), "chat-calls")
-    results = tool_results(rows)
-    linked = ordered_calls(calls).join(results, ["conv_id", "id"], "left").withColumn("faults", argument_faults(schemas or {}))
-    faults = F.array_join(F.transform(F.coalesce("faults", F.array().cast("array<string>")), quoted), ",")
+    calls = materialize(tool_calls(rows), "chat-calls")
+    linked = meet(ordered_calls(calls), tool_results(rows), ["conv_id", "id"]).withColumn("faults", argument_faults(schemas or {}))
+    faults = F.array_join(F.transform("faults", quoted), ",")
     parts = {"arguments": F.col("arguments"), "depth": F.coalesce("depth", F.lit(-1)).cast("string"), "faults": F.concat(F.lit("["), faults, F.lit("]"))}
     parts |= {"id": quoted(F.coalesce("id", F.lit(""))), "name": quoted(F.coalesce("name", F.lit(""))), "result": quoted(F.coalesce("content", F.lit("")))}
     ranked = F.struct(F.coalesce("depth", F.lit(2**31 - 1)).alias("d"), F.col("place"), written(parts).alias("json"))
-    by_message = linked.groupBy("conv_id", "turn").agg(F.count("*").alias("n_calls"), F.count("result_turn").alias("n_linked"), F.count_if(F.size("faults") > 0).alias("n_faulty"), F.array_sort(F.collect_set(ranked)).alias("calls"))
-    orphan_key = F.when(F.col("role") == "tool", F.coalesce(F.get_json_object("text", "$.tool_call_id"), F.lit("")))
-    keyed = rows.withColumn("answers", orphan_key)
+    by_message = linked.groupBy("conv_id", "turn", "th").agg(F.count("*").alias("n_calls"), F.count("n_results").alias("n_linked"), F.count_if(F.size("faults") > 0).alias("n_faulty"), F.array_sort(F.collect_list(ranked)).alias("calls"))
+    orphan_key = F.when(F.col("role") == "tool", F.coalesce(F.get_json_object("text", "$.tool_call_id"), F.lit(""))).otherwise(F.concat(F.lit("\0"), F.coalesce(F.col("turn").cast("string"), F.lit(""))))
+    keyed = rows.withColumns({"answers": orphan_key, "th": F.when((F.col("role") == "assistant") & F.col("text").contains("<tool_call>"), text_key())})
     called = calls.where("id is not null").select("conv_id", F.col("id").alias("answers"), F.lit(True).alias("called")).distinct()
-    joined = keyed.join(by_message, ["conv_id", "turn"], "left").join(called, ["conv_id", "answers"], "left")
+    joined = meet(meet(keyed, by_message, ["conv_id", "turn", "th"]), called, ["conv_id", "answers"])
     mine = F.when(F.col("role") == "assistant", F.col("calls"))
     listed = F.coalesce(F.array_join(F.transform(mine, lambda c: c["json"]), ","), F.lit(""))
     parts = {"content": quoted(F.col("text")), "conv_id": F.coalesce(F.col("conv_id").cast("string"), F.lit("null")), "role": quoted(F.col("role")), "tool_calls": F.concat(F.lit("["), listed, F.lit("]")), "turn": F.coalesce(F.col("turn").cast("string"), F.lit("null"))}

@@ -71,8 +71,17 @@ def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_shingles", "component_id")
 
 
+#: Production schemas of op10: for each tool its arguments, their JSON types and whether they must be there.
+TOOLS = {
+    "search": {"query": ("string", True), "limit": ("integer", False)},
+    "calculate": {"expression": ("string", True)},
+    "fetch": {"url": ("string", True), "headers": ("object", False)},
+    "run_code": {"language": ("string", True), "source": ("string", True), "timeout": ("number", False)},
+}
+
+
 def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return format_chats(table(spark, sf_dir, "conversations"))
+    return format_chats(table(spark, sf_dir, "conversations"), TOOLS)
 
 
 QUERIES = {f.__name__: f for f in (op1_language_id, op2_quality_rules, op3_pii, op4_decontamination, op5_substring_dedup, op6_packing, op7_html_extraction, op8_lm_scoring, op9_ngram_jaccard_join, op10_chat_formatting)}
