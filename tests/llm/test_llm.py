@@ -256,7 +256,10 @@ def test_language_model(spark, docs):
         base = sum(np.log10((counts[x] + 0.1) / (n + 0.1 * (v + 1))) for x in w)
         r = got[i]
         assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(w), sum(counts[x] > 0 for x in w), n) and abs(r["base_score"] - base) < 1e-6 * max(1, abs(base))
-    assert sum(r["score"] for r in got.values()) > sum(r["base_score"] for r in got.values())
+    again = {r["doc_id"]: r["score"] for r in lm.score(df.repartition(7), train.repartition(5), lm.MaxEntSettings(head=300)).collect()}
+    assert max(abs(again[i] - r["score"]) for i, r in got.items()) < 1e-3
+    empty = frame(spark, []).withColumns({"n_tokens": F.lit(1), "at": F.lit("x"), "shard": F.lit(2)})
+    assert lm.score(empty, train).count() == 0 and lm.score(frame(spark, ["x y", "x y", "long " * 60_000], extra=True).withColumn("shard", F.lit("s")), train, keep=("shard",)).count() == 3
     none = lm.score(df, df.where("false")).collect()
     assert len(none) == len(texts) and all(r["n_known"] == 0 for r in none)
 
@@ -276,6 +279,35 @@ def test_chats(spark, sf):
     assert sorted(map(tuple, QUERIES["op10_chat_formatting"](spark, sf).collect())) == sorted(want.fetchall())
 
 
+def test_language_model_beats_counts_and_sums_to_one(spark, sf):
+    df = table(spark, sf, "documents").select("doc_id", "text")
+    held = langid.fold("doc_id", 10) == 0
+    settings = lm.MaxEntSettings()
+    score, base = lm.score(df.where(held), df.where(~held), settings).agg(F.sum("score"), F.sum("base_score")).first()
+    assert 0 > score > 0.99 * base  # a hundredth better at least on rows that training did not see
+    train = df.where("doc_id < 60")
+    counts = lm.materialize(lm.word_counts(train, settings), "t")
+    v, _ = lm.vocabulary(counts, settings)
+    model = lm.MaxEnt(v, settings, lm.train(train, v, settings))
+    words = sorted({w for r in train.collect() for w in WORD.findall(low(r["text"]))})
+    assert len(words) + 1 == v.distinct
+    unknown, fresh = {}, 0
+    while len(unknown) < settings.suffix_classes:  # one unknown word of each class
+        c = next(lm.chunks(lm.pa.array([f"q{fresh}zz{fresh * 7919 % 1000}"])))
+        unknown.setdefault(int(lm.tokens(c, settings.suffix_classes)[1][0]), f"q{fresh}zz{fresh * 7919 % 1000}")
+        fresh += 1
+    history = f"{words[1]} {words[7]}"
+    column, total = lm.pa.array([f"{history} {w}" for w in [*words, *unknown.values()]] + [history]), 0.0
+    for c in lm.chunks(column):
+        h, suffix, at = lm.tokens(c, settings.suffix_classes)
+        logs, mass = model.log10_p(h, suffix, at)
+        place = np.minimum(np.searchsorted(v.head, h), len(v.head) - 1)
+        n = np.where(v.head[place] == h, v.head_n[place], 0)
+        logs += np.where(np.isnan(mass), 0, np.log10(n + settings.smoothing) - np.nan_to_num(mass))
+        total += float((10 ** logs[at[:-1] + 2]).sum())  # the third token: each word, an unknown one of each class, the end
+    assert abs(total - 1) < 1e-3
+
+
 def brute_chats(rows, schemas):
     """Linked messages by plain loops: (conv, turn, role) -> counts, orphan and the calls listed."""
     kinds = {"string": str, "integer": int, "number": (int, float), "boolean": bool, "object": dict, "array": list}
@@ -365,7 +397,7 @@ def test_language_sample_takes_copies_once(spark):
     model = langid.fit(df, max_rows=90, min_rows=10, ftrl=type("Spy", (langid.Ftrl,), {"fit": lambda self, r, y, c: (seen.append(Counter(y)), langid.Ftrl.fit(self, r, y, c))[1]})())
     assert model.languages == ["aa", "bb", "cc"] and seen[0] == {0: 24, 1: 24, 2: 5}  # of 30, 30 and 6, a fifth is held back
     ask = spark.createDataFrame([(1, "mumu kuku"), (2, "alpha gamma"), (2, "alpha gamma"), (3, "dos uno " * 50_000)], "doc_id long, text string").withColumns({"score": F.lit("x"), "lang_pred": F.lit(1)})
-    assert sorted(r["lang_pred"] for r in langid.identify(ask, model).collect()) == ["aa", "aa", "bb", "cc"]
+    assert sorted(r["lang_pred"] for r in langid.identify(ask, model).select("lang_pred").collect()) == ["aa", "aa", "bb", "cc"]
     assert langid.identify(ask.where("false"), model).count() == 0
 
 
