@@ -1,8 +1,8 @@
 """Seeded hash families as column expressions that stay inside whole-stage codegen.
 
 ``poly4`` is a cubic polynomial modulo a Mersenne prime (four-wise independent); other engines
-can evaluate it bit for bit. Ids must be non-negative and below the prime; wider ids take
-``xx64``, or a dictionary first.
+can evaluate it bit for bit. Ids must be non-negative and below the prime; wider ids (below 2**62) are
+folded first: low part plus a random multiple of the high part, modulo the prime.
 """
 
 from __future__ import annotations
@@ -30,29 +30,33 @@ class Seed:
             out.append(1 + (z ^ (z >> 31)) % (PRIME - 1))
         return cls(tuple(out))
 
-    def sql(self, x: str) -> str:
+    @property
+    def multiple(self) -> int:
+        return 1 + (self.coefficients[0] * 48_271 + self.coefficients[1]) % (PRIME - 1)
+
+    def sql(self, x: str, wide: bool = False) -> str:
         """The same polynomial as SQL text."""
         a, b, c, d = self.coefficients
+        x = f"((({x}) % {PRIME} + ({x}) // {PRIME} * {self.multiple}) % {PRIME})" if wide else x
         return f"(((((({a} * ({x}) + {b}) % {PRIME}) * ({x}) + {c}) % {PRIME}) * ({x}) + {d}) % {PRIME})"
 
-    def value(self, x: int) -> int:
+    def value(self, x: int, wide: bool = False) -> int:
         h = 0
+        x = (x % PRIME + x // PRIME * self.multiple) % PRIME if wide else x
         for k in self.coefficients:
             h = (h * x + k) % PRIME
         return h
 
 
-def poly4(x: Column | str, seed: Seed) -> Column:
+def poly4(x: Column | str, seed: Seed, wide: bool = False) -> Column:
     x = (F.col(x) if isinstance(x, str) else x).cast("long")
+    if wide:
+        low = x % PRIME
+        x = (low + F.call_function("div", x - low, F.lit(PRIME)) * seed.multiple % PRIME) % PRIME
     a, b, c, d = (F.lit(k).cast("long") for k in seed.coefficients)
     return (((((a * x + b) % PRIME) * x + c) % PRIME) * x + d) % PRIME
 
 
-def xx64(x: Column | str, seed: int) -> Column:
-    """For ids of 31 bits and more: xxhash with the seed mixed in, as 31 bits."""
-    return F.pmod(F.xxhash64(x, F.lit(seed)), F.lit(PRIME))
-
-
 def sign(h: Column) -> Column:
     """+1 or -1 from a hash."""
     return F.lit(2) * h.bitwiseAND(1) - 1

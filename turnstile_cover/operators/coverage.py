@@ -11,7 +11,7 @@ from . import l0
 from .cells import SUMS, accumulate, decode, expand, recovery_places, recovery_terms
 from .combine import columns
 from .greedy import cover_df, cover_local
-from .rowsample import bucketed_sample, cap_and_budget, capped_sample
+from .rowsample import bucketed_sample, cap_and_budget, cap_and_budget_sql, capped_sample
 
 ROLE = 5
 FULL = 0.5
@@ -32,34 +32,30 @@ def cover_from_sample(entries: DataFrame, params: Params, sample: str = "capped"
 
 
 def entry_id(params: Params):
-    """Rows and columns below 2**31 together: i * width + j; a column that does not fit the width is an error, not another row's."""
-    w = width(params)
+    """i * width + j, below 2**62; a column that does not fit the width is an error, not another row's."""
+    w = params.width
     fits = (F.col("j") >= 0) & (F.col("j") < w)
     return F.when(fits, F.col("i") * w + F.col("j")).otherwise(F.raise_error(F.lit(f"a column does not fit the width {w} of the sketch")).cast("long"))
 
 
-def width(params: Params) -> int:
-    return 1 << max(1, (params.d + 1).bit_length())
-
-
 def build_sketch(u: DataFrame, params: Params) -> tuple[DataFrame, DataFrame]:
     """The state of a stream of updates (i, j, c): recovery cells (rlvl, rep, bucket, elvl, slot, s0..s2) and column L0 cells.
 
     Row levels, bucket repetitions and entry levels are keys, so all parallel structures are one aggregate and
     an update touches reps * 3 recovery cells and l0_reps L0 cells.
     """
-    s = params.seed
-    rows = u.select("i", "j", "c", entry_id(params).alias("e"), level(poly4("i", Seed.of(s, 20)), params.levels).alias("rlvl"))
-    reps = F.explode(F.array(*(F.struct(F.lit(r).alias("rep"), (poly4("i", Seed.of(s, 30 + r)) % params.buckets).cast("int").alias("bucket"), level(poly4("e", Seed.of(s, 50 + r)), params.levels).alias("elvl")) for r in range(params.reps))))
-    spread = recovery_terms(rows.withColumn("x", reps).select("e", "c", "rlvl", "x.*"), "e", params.slots, s, ROLE)
-    cells = accumulate(spread, ["rlvl", "rep", "bucket", "elvl", "slot"], {x: F.col(f"t{n}") for n, x in enumerate(SUMS)})
-    return cells, l0.build(u, ["j"], "i", params.l0_slots, params.l0_reps, params.levels, s)
+    s, wide = params.seed, params.wide
+    rows = u.select("i", "j", "c", entry_id(params).alias("e"), level(poly4("i", Seed.of(s, 20), wide), params.levels).alias("rlvl"))
+    reps = F.explode(F.array(*(F.struct(F.lit(r).alias("rep"), (poly4("i", Seed.of(s, 30 + r), wide) % params.buckets).cast("int").alias("bucket"), level(poly4("e", Seed.of(s, 50 + r), wide), params.levels).alias("elvl")) for r in range(params.reps))))
+    spread = recovery_terms(rows.withColumn("x", reps).select("e", "c", "rlvl", "x.*"), "e", params.slots, s, ROLE, wide)
+    cells = accumulate(spread, ["rlvl", "rep", "bucket", "elvl", "slot"], {x: F.col(f"t{n}") for n, x in enumerate(SUMS)}, wide)
+    return cells, l0.build(u, ["j"], "i", params.l0_slots, params.l0_reps, params.levels, s, wide)
 
 
 def sketch_sql(u: str, params: Params) -> str:
     from .cells import recovery_print
 
-    s, e = params.seed, f"(i * {width(params)} + j)"
+    s, e = params.seed, f"(i * {params.width} + j)"
     parts = [f"SELECT {level_sql(Seed.of(s, 20).sql('i'), params.levels)} AS rlvl, {r} AS rep, CAST({Seed.of(s, 30 + r).sql('i')} % {params.buckets} AS INT) AS bucket, {level_sql(Seed.of(s, 50 + r).sql(e), params.levels)} AS elvl, CAST({p * params.slots} + {place.sql(e)} % {params.slots} AS INT) AS slot, c, c * {e} AS t1, c * {recovery_print(s, ROLE).sql(e)} AS t2 FROM ({u})" for r in range(params.reps) for p, place in enumerate(recovery_places(s, ROLE))]
     return f"SELECT rlvl, rep, bucket, elvl, slot, sum(c)::BIGINT AS s0, sum(t1)::BIGINT AS s1, sum(t2)::BIGINT AS s2 FROM ({' UNION ALL '.join(parts)}) GROUP BY ALL HAVING sum(c) <> 0 OR sum(t1) <> 0 OR sum(t2) <> 0"
 
@@ -73,15 +69,15 @@ def pick_level(cells: DataFrame, params: Params) -> DataFrame:
 def recover(cells: DataFrame, params: Params) -> DataFrame:
     """Entries (m, i, j) that the sketch gives back at every row level m, from all buckets and repetitions."""
     levels = expand(expand(cells, "rlvl"), "elvl")
-    picked = levels.join(pick_level(levels, params), ["rlvl", "rep", "bucket", "elvl"])
-    found = decode(picked, ["rlvl", "rep", "bucket"], params.slots, params.seed, ROLE, ["rlvl", "rep"])
-    w = width(params)
-    return found.select(F.col("rlvl").alias("m"), F.floor(F.col("item") / w).alias("i"), (F.col("item") % w).alias("j")).distinct()
+    picked = levels.join(pick_level(levels, params), ["rlvl", "rep", "bucket", "elvl"]).withColumn("part", F.col("bucket") % 16)
+    found = decode(picked, ["rlvl", "rep", "bucket"], params.slots, params.seed, ROLE, ["rlvl", "rep", "part"], params.wide)
+    w = params.width
+    return found.select(F.col("rlvl").alias("m"), F.call_function("div", F.col("item"), F.lit(w)).alias("i"), (F.col("item") % w).alias("j")).distinct()
 
 
 def recovered_sql(net: str, params: Params) -> str:
     """The same entries by filtering the net matrix at the levels that the tables' filling picks."""
-    s, e = params.seed, f"(i * {width(params)} + j)"
+    s, e = params.seed, f"(i * {params.width} + j)"
     first = recovery_places(s, ROLE)[0]
     reps = " UNION ALL ".join(f"SELECT i, j, v, {level_sql(Seed.of(s, 20).sql('i'), params.levels)} AS rl, {r} AS rep, {Seed.of(s, 30 + r).sql('i')} % {params.buckets} AS bucket, {level_sql(Seed.of(s, 50 + r).sql(e), params.levels)} AS el, {first.sql(e)} % {params.slots} AS slot FROM n" for r in range(params.reps))
     return f"""WITH n AS ({net}), a AS ({reps}), b AS (SELECT *, unnest(range(0, rl + 1))::INT AS m FROM a), x AS (SELECT *, unnest(range(0, el + 1))::INT AS q FROM b),
@@ -99,7 +95,7 @@ def union_size(column_cells: DataFrame, chosen: DataFrame, params: Params) -> Da
 def max_coverage(state: tuple[DataFrame, DataFrame], params: Params) -> DataFrame:
     """m, cols (in order of picking), est and profile: greedy at every row level, the best by the union L0 of the real columns."""
     cells, column_cells = state
-    samples = cap_and_budget(recover(cells, params), params.cap, params.budget, params.seed, ["m"])
+    samples = cap_and_budget(recover(cells, params), params.cap, params.budget, params.seed, ["m"], params.wide)
     k = params.k
 
     def pick(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -116,3 +112,24 @@ def max_coverage(state: tuple[DataFrame, DataFrame], params: Params) -> DataFram
 def max_coverage_batch(u: DataFrame, params: Params) -> DataFrame:
     """The whole input as one list of updates."""
     return max_coverage(build_sketch(u, params), params)
+
+
+def union_size_sql(column_cells: str, chosen: str, by: str, params: Params) -> str:
+    """by and l0 of the union of each set of chosen (by, j); column_cells: a query of (j, rep, lvl, slot, s0)."""
+    w = f"({Seed.of(params.seed, 9).sql('j')} % {1 << 20} + 1)"
+    combined = f"SELECT {by}, rep, lvl, slot, sum(s0::HUGEINT * {w}) AS s0 FROM ({column_cells}) JOIN ({chosen}) USING (j) GROUP BY ALL HAVING sum(s0::HUGEINT * {w}) <> 0"
+    return l0.estimate_sql(combined, by, params.l0_slots)
+
+
+def answer_sql(u: str, net: str, params: Params) -> str:
+    """The answer of the sketch: entries recovered at every row level, greedy on each, the best by the union of the real columns."""
+    column_cells = l0.build_sql(u, "j", slots=params.l0_slots, reps=params.l0_reps, levels=params.levels, seed=params.seed)
+    parts = [f"a AS MATERIALIZED ({cap_and_budget_sql(recovered_sql(net, params), params.cap, params.budget, params.seed, 'm, ')})"]
+    for r in range(1, params.k + 1):
+        taken = " UNION ALL ".join(f"SELECT m, j FROM r{x}" for x in range(1, r)) or "SELECT m, j FROM a WHERE false"
+        done = f"SELECT m, i FROM a JOIN ({taken}) USING (m, j)"
+        gain = "count(*) FILTER (o.i IS NULL)"
+        parts.append(f"r{r} AS MATERIALIZED (SELECT m, j FROM (SELECT a.m, a.j, row_number() OVER (PARTITION BY a.m ORDER BY {gain} DESC, a.j) AS rn FROM a LEFT JOIN (SELECT DISTINCT m, i FROM ({done})) o ON a.m = o.m AND a.i = o.i WHERE (a.m, a.j) NOT IN (SELECT (m, j) FROM ({taken})) GROUP BY a.m, a.j) WHERE rn = 1)")
+    picks = " UNION ALL ".join(f"SELECT m AS cand, {r} AS round, j FROM r{r}" for r in range(1, params.k + 1))
+    parts += [f"picks AS MATERIALIZED ({picks})", f"scores AS ({union_size_sql(column_cells, 'SELECT cand, j FROM picks', 'cand', params)})"]
+    return f"WITH {', '.join(parts)} SELECT cand::INT AS m, string_agg(j::VARCHAR, ',' ORDER BY round) AS cols, any_value(l0) AS est, '{params.profile}' AS profile FROM picks JOIN scores USING (cand) GROUP BY cand ORDER BY est DESC, m LIMIT 1"

@@ -7,23 +7,35 @@ from math import log
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import Seed, level, level_sql, poly4
-from .cells import accumulate, expand
+from .cells import accumulate, decode, expand
 
 FULL = 0.7
 
 
+def exact_small(sampler_cells: DataFrame, by: list[str], size: int = 256, seed: int = 1) -> DataFrame:
+    """by, l0 and exact: the number of nonzero coordinates by decoding level 0 of a sampler's state, where it holds all of them.
+
+    With at most about size / 2 nonzeros the table decodes in full and l0 is the count; else exact is false and l0 null.
+    """
+    from .l0sampler import ROLE
+
+    found = decode(expand(sampler_cells, "lvl").where("lvl = 0"), by, size, seed, ROLE)
+    return found.groupBy(*by).agg(F.min("complete").alias("exact"), F.count("*").alias("l0")).select(*by, F.when(F.col("exact"), F.col("l0")).alias("l0"), "exact")
+
+
 def _seeds(seed: int, rep: int) -> tuple[Seed, Seed, Seed]:
     return tuple(Seed.of(seed, 10 * rep + r) for r in (1, 2, 3))
 
 
 def build(u: DataFrame, by: list[str], item: str = "i", slots: int = 1024, reps: int = 3, levels: int = 20, seed: int = 1, wide: bool = False) -> DataFrame:
-    """Cells (by, rep, lvl, slot, s0) of updates with column c; every group shares the seeds, so groups can be combined."""
+    """Cells (by, rep, lvl, slot, s0) of updates with column c; every group shares the seeds, so groups can be combined. wide: items up to
+    2**62, and sums in decimals."""
     spread = []
     for r in range(reps):
         where, place, weight = _seeds(seed, r)
-        spread.append(F.struct(F.lit(r).alias("rep"), level(poly4(item, where), levels).alias("lvl"), (poly4(item, place) % slots).cast("int").alias("slot"), (poly4(item, weight) + 1).alias("w")))
+        spread.append(F.struct(F.lit(r).alias("rep"), level(poly4(item, where, wide), levels).alias("lvl"), (poly4(item, place, wide) % slots).cast("int").alias("slot"), (poly4(item, weight, wide) + 1).alias("w")))
     rows = u.select(*by, "c", F.explode(F.array(*spread)).alias("x")).select(*by, "c", "x.*")
-    return accumulate(rows, [*by, "rep", "lvl", "slot"], {"s0": F.col("c") * F.col("w")}, wide)
+    return accumulate(rows, [*by, "rep", "lvl", "slot"], {"s0": (F.col("c").cast("decimal(19,0)") if wide else F.col("c")) * F.col("w")}, wide)
 
 
 def build_sql(u: str, by: str, item: str = "i", slots: int = 1024, reps: int = 3, levels: int = 20, seed: int = 1) -> str:

@@ -18,6 +18,14 @@ def build(u: DataFrame, by: list[str], item: str = "i", size: int = 256, levels:
     return accumulate(rows, [*by, "lvl", "slot"], {s: F.col(f"t{n}") for n, s in enumerate(SUMS)})
 
 
+def build_sql(u: str, by: str, item: str = "i", size: int = 256, levels: int = 20, seed: int = 1) -> str:
+    from .cells import recovery_print
+
+    lvl = level_sql(Seed.of(seed, 6).sql(item), levels)
+    parts = [f"SELECT {by}, {lvl} AS lvl, CAST({p * size} + {place.sql(item)} % {size} AS INT) AS slot, c, c * {item} AS t1, c * {recovery_print(seed, ROLE).sql(item)} AS t2 FROM ({u})" for p, place in enumerate(recovery_places(seed, ROLE))]
+    return f"SELECT {by}, lvl, slot, sum(c)::BIGINT AS s0, sum(t1)::BIGINT AS s1, sum(t2)::BIGINT AS s2 FROM ({' UNION ALL '.join(parts)}) GROUP BY ALL HAVING sum(c) <> 0 OR sum(t1) <> 0 OR sum(t2) <> 0"
+
+
 def draw_batch(state: DataFrame, by: list[str], size: int = 256, seed: int = 1) -> DataFrame:
     """A sample without replacement of each group: by, lvl, i, v and status (OK or FAIL).
 

@@ -11,25 +11,25 @@ BINS = 1024
 SHIFT = 21
 
 
-def entry_hash(seed: int, role: int = 1):
+def entry_hash(seed: int, role: int = 1, wide: bool = False):
     """A hash of the entry from hashes of its row and column."""
-    return poly4((poly4("i", Seed.of(seed, role)) + poly4("j", Seed.of(seed, role + 1))) % ((1 << 31) - 1), Seed.of(seed, role + 2))
+    return poly4((poly4("i", Seed.of(seed, role), wide) + poly4("j", Seed.of(seed, role + 1), wide)) % ((1 << 31) - 1), Seed.of(seed, role + 2))
 
 
 def entry_hash_sql(seed: int, role: int = 1) -> str:
     return Seed.of(seed, role + 2).sql(f"(({Seed.of(seed, role).sql('i')} + {Seed.of(seed, role + 1).sql('j')}) % {(1 << 31) - 1})")
 
 
-def cap_and_budget(entries: DataFrame, cap: int, budget: int, seed: int, by: list[str] | None = None) -> DataFrame:
+def cap_and_budget(entries: DataFrame, cap: int, budget: int, seed: int, by: list[str] | None = None, wide: bool = False) -> DataFrame:
     """At most cap entries a row (smallest entry hashes first), rows in hash order until budget entries are reached.
 
     by: columns of independent samples. The running total is taken inside bins of the row hash over the bins' own totals, so no
     window spans the whole sample.
     """
     by = by or []
-    w = Window.partitionBy(*by, "i").orderBy(entry_hash(seed), "j")
+    w = Window.partitionBy(*by, "i").orderBy(entry_hash(seed, wide=wide), "j")
     kept = entries.withColumn("rn_", F.row_number().over(w)).where(F.col("rn_") <= cap).drop("rn_")
-    kept = kept.withColumn("rh", poly4("i", Seed.of(seed, 4)))
+    kept = kept.withColumn("rh", poly4("i", Seed.of(seed, 4), wide))
     rows = kept.groupBy(*by, "rh", "i").agg(F.count("*").alias("n")).withColumn("bin", F.shiftright("rh", SHIFT))
     bins = rows.groupBy(*by, "bin").agg(F.sum("n").alias("in_bin"))
     base = bins.withColumn("base", F.sum("in_bin").over(Window.partitionBy(*by).orderBy("bin").rowsBetween(Window.unboundedPreceding, -1))).select(*by, "bin", F.coalesce("base", F.lit(0)).alias("base"))
@@ -40,10 +40,17 @@ def cap_and_budget(entries: DataFrame, cap: int, budget: int, seed: int, by: lis
 
 def capped_sample(entries: DataFrame, params: Params) -> DataFrame:
     """The sample of the matrix (i, j) that greedy needs, by direct access."""
-    return cap_and_budget(entries.select("i", "j").distinct(), params.cap, params.budget, params.seed)
+    return cap_and_budget(entries.select("i", "j").distinct(), params.cap, params.budget, params.seed, wide=params.wide)
 
 
-def cap_and_budget_sql(entries: str, cap: int, budget: int, seed: int) -> str:
+def cap_and_budget_sql(entries: str, cap: int, budget: int, seed: int, by: str = "") -> str:
+    """by: a column of independent samples, with a comma after it."""
+    if by:
+        col = by.rstrip(", ")
+        return f"""WITH q AS (SELECT {by} i, j, row_number() OVER (PARTITION BY {by} i ORDER BY {entry_hash_sql(seed)}, j) AS rn, {Seed.of(seed, 4).sql('i')} AS rh FROM (SELECT DISTINCT {by} i, j FROM ({entries}))),
+        kept AS (SELECT {by} i, j, rh FROM q WHERE rn <= {cap}), rs AS (SELECT {by} rh, i, count(*) AS n FROM kept GROUP BY ALL),
+        b AS (SELECT {by} i, coalesce(sum(n) OVER (PARTITION BY {col} ORDER BY rh, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM rs)
+        SELECT {by} i, j FROM kept JOIN b USING ({by} i) WHERE before < {budget}"""
     return f"""WITH q AS (SELECT i, j, row_number() OVER (PARTITION BY i ORDER BY {entry_hash_sql(seed)}, j) AS rn, {Seed.of(seed, 4).sql('i')} AS rh FROM (SELECT DISTINCT i, j FROM ({entries}))),
     kept AS (SELECT i, j, rh FROM q WHERE rn <= {cap}), rs AS (SELECT rh, i, count(*) AS n FROM kept GROUP BY ALL),
     b AS (SELECT i, coalesce(sum(n) OVER (ORDER BY rh, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM rs)
@@ -54,12 +61,12 @@ def bucketed_sample(entries: DataFrame, params: Params, row_level: int = 0, buck
     """Two-level hashing: rows of row_level and more fall into buckets, each keeps bucket_cap entries; of its repetitions a row
     takes the one where most of its entries survive, the first on a tie; then cap and budget."""
     most, seed = bucket_cap or 8 * -(-params.d // params.k), params.seed
-    a = entries.select("i", "j").distinct().where(level(poly4("i", Seed.of(seed, 20)), params.levels) >= row_level)
-    reps = F.explode(F.array(*(F.struct(F.lit(r).alias("rep"), (poly4("i", Seed.of(seed, 30 + r)) % params.buckets).alias("bucket")) for r in range(params.reps))))
-    spread = a.withColumn("x", reps).select("i", "j", "x.rep", "x.bucket", entry_hash(seed, 40).alias("eh"))
+    a = entries.select("i", "j").distinct().where(level(poly4("i", Seed.of(seed, 20), params.wide), params.levels) >= row_level)
+    reps = F.explode(F.array(*(F.struct(F.lit(r).alias("rep"), (poly4("i", Seed.of(seed, 30 + r), params.wide) % params.buckets).alias("bucket")) for r in range(params.reps))))
+    spread = a.withColumn("x", reps).select("i", "j", "x.rep", "x.bucket", entry_hash(seed, 40, params.wide).alias("eh"))
     kept = spread.withColumn("rn", F.row_number().over(Window.partitionBy("rep", "bucket").orderBy("eh", "i", "j"))).where(F.col("rn") <= most)
     best = kept.groupBy("i", "rep").agg(F.count("*").alias("n")).groupBy("i").agg(F.max_by("rep", F.struct("n", -F.col("rep"))).alias("rep"))
-    return cap_and_budget(kept.join(best, ["i", "rep"], "left_semi").select("i", "j"), params.cap, params.budget, seed)
+    return cap_and_budget(kept.join(best, ["i", "rep"], "left_semi").select("i", "j"), params.cap, params.budget, seed, wide=params.wide)
 
 
 def bucketed_sample_sql(entries: str, params: Params, row_level: int = 0, bucket_cap: int | None = None) -> str:
@@ -85,7 +92,7 @@ def isolation(entries: DataFrame, params: Params, bucket_cap: int | None = None)
     """One row: nonzero rows, and those that share no bucket with another large row and few small entries in some repetition."""
     most = bucket_cap or 8 * -(-params.d // params.k)
     rows = entries.select("i", "j").distinct().groupBy("i").agg(F.count("*").alias("n")).withColumn("large", F.col("n") * params.k >= params.d)
-    reps = F.explode(F.array(*(F.struct(F.lit(r).alias("rep"), (poly4("i", Seed.of(params.seed, 30 + r)) % params.buckets).alias("bucket")) for r in range(params.reps))))
+    reps = F.explode(F.array(*(F.struct(F.lit(r).alias("rep"), (poly4("i", Seed.of(params.seed, 30 + r), params.wide) % params.buckets).alias("bucket")) for r in range(params.reps))))
     placed = rows.withColumn("x", reps).select("i", "n", "large", "x.*")
     full = placed.groupBy("rep", "bucket").agg(F.count_if("large").alias("nl"), F.coalesce(F.sum(F.when(~F.col("large"), F.col("n"))), F.lit(0)).alias("ns"))
     alone = (F.col("nl") - F.col("large").cast("int") == 0) & (F.col("ns") - F.when(F.col("large"), 0).otherwise(F.col("n")) <= most)

@@ -84,6 +84,21 @@ class ExactFn:
         return self.evaluate(sets)
 
 
+def sketch_sql(u: str, params: Params, k: int, fresh: bool) -> str:
+    """The noisy greedy on column L0 states as one SQL text: round, col, and the total after it, to whole rows."""
+    from .coverage import union_size_sql
+
+    parts = [f"cols AS MATERIALIZED (SELECT DISTINCT j FROM ({u}))"]
+    for r in range(1, k + 1):
+        seed = params.seed + 1000 * (r if fresh else 1)
+        cells = l0.build_sql(u, "j", slots=params.l0_slots, reps=params.l0_reps, levels=params.levels, seed=seed)
+        have = " UNION ALL ".join(f"SELECT j FROM r{x}" for x in range(1, r)) or "SELECT j FROM cols WHERE false"
+        sets = f"SELECT j AS cand, j FROM cols WHERE j NOT IN ({have}) UNION ALL SELECT c.j AS cand, h.j FROM cols c, ({have}) h WHERE c.j NOT IN ({have})"
+        parts.append(f"r{r} AS MATERIALIZED (SELECT cand AS j, l0 FROM ({union_size_sql(cells, sets, 'cand', params)}) ORDER BY l0 DESC, cand LIMIT 1)")
+    rows = " UNION ALL ".join(f"SELECT {r}::INT AS round, j AS col, l0 FROM r{r}" for r in range(1, k + 1))
+    return f"WITH {', '.join(parts)} SELECT round, col, round(l0 - coalesce(lag(l0) OVER (ORDER BY round), 0))::BIGINT AS gain, round(l0)::BIGINT AS total FROM ({rows})"
+
+
 def gain(fn: SketchableFunction, columns_: DataFrame, picked: list, state) -> DataFrame:
     """cand and value of picked with each further column: one job scores all candidates."""
     spark = columns_.sparkSession

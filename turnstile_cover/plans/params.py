@@ -26,9 +26,21 @@ class Params:
     seed: int = 1
 
     def __post_init__(self):
+        if self.n * self.width >= 1 << 62:
+            raise ValueError(f"{self.n} rows and {self.d} columns do not fit 62 bits")
         if not 0 < self.eps < 1 or self.k < 1 or self.k > self.d or self.n < 0:
             raise ValueError(f"need 0 < eps < 1 and 1 <= k <= d, got eps={self.eps}, k={self.k}, d={self.d}")
 
+    @property
+    def width(self) -> int:
+        """Entries (i, j) are coded i * width + j."""
+        return 1 << max(1, (self.d + 1).bit_length())
+
+    @property
+    def wide(self) -> bool:
+        """Do codes pass the hash's prime? Then they are folded, and all sums are decimals."""
+        return self.n * self.width >= (1 << 31) - 1
+
     @staticmethod
     def delta_multiplier(n: int, d: int, eps: float) -> float:
         """(2 + ln d) times the logarithm of the number of levels to base 1 / (1 - eps), at least ln 2."""

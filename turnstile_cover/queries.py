@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from .operators import baselines, cluster, countsketch, coverage, fingerprint, greedy, l0, l0sampler, measures, moments, rowsample, submodular, targeted
+from .operators import baselines, cluster, combine, countsketch, coverage, fingerprint, generalsketch, greedy, l0, l0sampler, measures, moments, rowsample, submodular, targeted
 from .operators.cells import merge, subtract
 from .operators.relational import CATALOGUE
 from .plans import workloads
@@ -66,13 +68,20 @@ add("cover_from_sample_lazy_c1", lambda s, d: coverage.cover_from_sample(net(C1[
 add("cover_bucketed_sample_c1", lambda s, d: rowsample.bucketed_sample(net(C1[0](s, d)), P1, bucket_cap=160), rowsample.bucketed_sample_sql(net_sql("c1"), P1, bucket_cap=160))
 add("cover_sketch_cells_c1t", lambda s, d: coverage.build_sketch(C1T[0](s, d), sized(C1T[0](s, d)))[0], coverage.sketch_sql(C1T[1], P1))
 add("cover_sketch_recovered_c1t", _recovered, coverage.recovered_sql(net_sql("c1t"), P1))
-add("cover_answer_c1t", lambda s, d: coverage.max_coverage_batch(C1T[0](s, d), sized(C1T[0](s, d))))
-add("union_size_c1t", lambda s, d: coverage.union_size(l0.build(C1T[0](s, d), ["j"], levels=P1.levels), table(s, d, "supplier").where("s_suppkey <= 3").select(F.lit(0).alias("cand"), F.col("s_suppkey").alias("j")), P1))
+
+
+def joined(answer: DataFrame) -> DataFrame:
+    return answer.withColumn("cols", F.array_join("cols", ","))
+
+
+add("cover_answer_c1t", lambda s, d: joined(coverage.max_coverage_batch(C1T[0](s, d), sized(C1T[0](s, d)))), coverage.answer_sql(C1T[1], net_sql("c1t"), P1))
+add("union_size_c1t", lambda s, d: coverage.union_size(l0.build(C1T[0](s, d), ["j"], levels=P1.levels), table(s, d, "supplier").where("s_suppkey <= 3").select(F.lit(0).alias("cand"), F.col("s_suppkey").alias("j")), P1), coverage.union_size_sql(l0.build_sql(C1T[1], "j", levels=P1.levels), "SELECT 0 AS cand, s_suppkey AS j FROM supplier WHERE s_suppkey <= 3", "cand", P1))
+add("l0_exact_small_c4t", lambda s, d: l0.exact_small(l0sampler.build(WORKLOADS["c4t"][0](s, d), ["j"], size=1024), ["j"], 1024), f"SELECT j, count(*)::BIGINT AS l0, true AS exact FROM ({net_sql('c4t')}) GROUP BY j")
 add("l0_per_column_c1t", lambda s, d: l0.estimate(l0.build(C1T[0](s, d), ["j"]), ["j"]), l0.estimate_sql(l0.build_sql(C1T[1], "j"), "j"))
 add("l0_rel_error_c1t", lambda s, d: measures.l0_error(C1T[0](s, d), "j"), f"SELECT x.j, x.exact, e.l0, round(abs(l0 - exact) / exact, 6) AS rel_err FROM (SELECT j, count(*)::BIGINT AS exact FROM ({net_sql('c1t')}) GROUP BY j) x JOIN ({l0.estimate_sql(l0.build_sql(C1T[1], 'j'), 'j')}) e ON x.j = e.j")
 _PART = "SELECT l_partkey AS i, 1 AS c FROM lineitem"
 add("countsketch_part_freq", lambda s, d: countsketch.estimate(countsketch.build(C1[0](s, d).select("i", "c"), "i"), C1[0](s, d).select("i").distinct(), "i"), countsketch.estimate_sql(_PART, f"SELECT DISTINCT i FROM ({_PART})", "i"))
-add("countsketch_error", lambda s, d: measures.countsketch_error(C1[0](s, d).select("i", "c"), "i"))
+add("countsketch_error", lambda s, d: measures.countsketch_error(C1[0](s, d).select("i", "c"), "i").withColumn("bound", F.round("bound", 6)), f"WITH f AS (SELECT i, sum(c) AS f FROM ({_PART}) GROUP BY i), e AS ({countsketch.estimate_sql(_PART, f'SELECT DISTINCT i FROM ({_PART})', 'i')}), t AS (SELECT f, row_number() OVER (ORDER BY abs(f) DESC, i) AS r FROM f) SELECT (SELECT max(abs(f - estimate))::DOUBLE FROM f JOIN e USING (i)) AS max_error, round(sqrt(sum(f::DOUBLE * f)) / 16, 6) AS bound FROM t WHERE r > 64")
 add("l0_sample_events", lambda s, d: l0sampler.draw_batch(l0sampler.build(WORKLOADS["c4t"][0](s, d), ["j"]), ["j"]), l0sampler.draw_sql(net_sql("c4t"), "j"))
 add("sampler_failure_rate", lambda s, d: measures.failure_rate(l0sampler.draw_batch(l0sampler.build(C1T[0](s, d), ["j"]), ["j"]), ["j"]), f"SELECT count(DISTINCT j)::BIGINT AS trials, 0::BIGINT AS failures, 0.0::DOUBLE AS rate FROM ({net_sql('c1t')})")
 
@@ -104,13 +113,45 @@ add("targeted_matching_users", lambda s, d: targeted.matching_users(features.peo
 add("targeted_pct_separated", lambda s, d: measures.pct_separated(features.people(s, d), 0, ["nation", "month", "year"]), f"WITH w AS ({PEOPLE.sql}), t AS (SELECT * FROM w WHERE uid = 0), x AS (SELECT w.nation <> t.nation AS a, w.month <> t.month AS b, w.year <> t.year AS c FROM w, t WHERE w.uid <> 0) SELECT 1 AS k, round(100.0::DOUBLE * count(*) FILTER (a) / count(*), 6) AS pct FROM x UNION ALL SELECT 2, round(100.0::DOUBLE * count(*) FILTER (a OR b) / count(*), 6) FROM x UNION ALL SELECT 3, round(100.0::DOUBLE * count(*) FILTER (a OR b OR c) / count(*), 6) FROM x")
 
 
+FIVE = ("nation", "month", "year", "dow", "balbin")
+_FIVE_SQL = " UNION ALL ".join(f"SELECT uid AS i, {n}::BIGINT AS j, ({c} + {o})::BIGINT AS c FROM w" for n, (c, o) in enumerate(zip(FIVE, (1, 0, 0, 1, 100), strict=True)))
+PT = Params.explicit(2_000_000, 5, 3, 5, 5_000, slots=256)
+
+
+def five_columns(w: features.Wide) -> DataFrame:
+    """Updates (i, j, c) of five attributes as values that are never zero."""
+    values = F.array(F.col("nation") + 1, F.col("month"), F.col("year"), F.col("dow") + 1, F.col("balbin") + 100)
+    return w.df.select(F.col("uid").alias("i"), F.posexplode(values).alias("j", "c")).select("i", F.col("j").cast("long").alias("j"), F.col("c").cast("long").alias("c"))
+
+
 def _targeted_sketch(s: SparkSession, d: str) -> DataFrame:
     w = features.people(s, d)
-    long = w.df.select(F.col("uid").alias("i"), F.posexplode(F.array(F.col("nation") + 1, F.col("month"), F.col("year"), F.col("dow") + 1, F.col("balbin") + 100)).alias("j", "c")).select("i", F.col("j").cast("long").alias("j"), F.col("c").cast("long").alias("c"))
-    return targeted.fingerprint(long, w.df.select(F.col("uid").alias("i")), targeted.track_row(long, 0), Params.explicit(2_000_000, 5, 3, 5, 5_000, slots=256))
+    long = five_columns(w)
+    return joined(targeted.fingerprint(long, w.df.select(F.col("uid").alias("i")), targeted.track_row(long, 0), PT))
+
+
+def _targeted_given(s: SparkSession, d: str) -> DataFrame:
+    """A reference row that is nobody's: nation 3, month 5, 1995, Monday, bin 1."""
+    w = features.people(s, d)
+    row = s.createDataFrame([(0, 4), (1, 5), (2, 1995), (3, 2), (4, 101)], "j long, v long")
+    return joined(targeted.fingerprint(five_columns(w), w.df.select(F.col("uid").alias("i")), row, PT))
+
 
+def _difference_sql(row: str) -> str:
+    """Updates of the columns less the row's values for every user."""
+    return f"WITH w AS ({PEOPLE.sql}), l AS ({_FIVE_SQL}), t AS ({row}) SELECT i, j, c FROM l UNION ALL SELECT uid, j, -v FROM w, t"
 
-add("targeted_sketch_f1_u0", _targeted_sketch)
+
+def _difference_net(row: str) -> str:
+    return f"SELECT i, j, sum(c)::BIGINT AS v FROM ({_difference_sql(row)}) GROUP BY i, j HAVING sum(c) <> 0"
+
+
+_MINE = "SELECT j, c AS v FROM l WHERE i = 0"
+_GIVEN = "SELECT * FROM (VALUES (0, 4), (1, 5), (2, 1995), (3, 2), (4, 101)) AS t(j, v)"
+add("targeted_sketch_f1_u0", _targeted_sketch, coverage.answer_sql(_difference_sql(_MINE), _difference_net(_MINE), PT))
+add("targeted_sketch_given_row", _targeted_given, coverage.answer_sql(_difference_sql(_GIVEN), _difference_net(_GIVEN), PT))
+add("targeted_track_row", lambda s, d: targeted.track_row(five_columns(features.people(s, d)), 0), f"WITH w AS ({PEOPLE.sql}), l AS ({_FIVE_SQL}) SELECT j, sum(c)::BIGINT AS v FROM l WHERE i = 0 GROUP BY j")
+add("targeted_shifted_columns", lambda s, d: targeted.shifted_columns(five_columns(features.people(s, d)), features.people(s, d).df.select(F.col("uid").alias("i")), targeted.track_row(five_columns(features.people(s, d)), 0), PT).select("j", "rep", "lvl", "slot", F.col("s0").cast("long").alias("s0")), l0.build_sql(_difference_sql(_MINE), "j", slots=PT.l0_slots, reps=PT.l0_reps, levels=PT.levels, seed=PT.seed))
 add("general_exact_f1", lambda s, d: fingerprint.greedy_raw(features.people(s, d), 5), fingerprint.greedy_raw_sql(PEOPLE, 5))
 add("general_exact_cached_f1", lambda s, d: baselines.general_exact(features.people(s, d), 3, variant="cached_classes"), fingerprint.greedy_raw_sql(PEOPLE, 3))
 add("general_exact_onehot_f1", lambda s, d: fingerprint.greedy_onehot(features.people(s, d), 10), fingerprint.greedy_onehot_sql(PEOPLE, 10))
@@ -119,6 +160,52 @@ add("general_exact_f2s", lambda s, d: fingerprint.greedy_raw(features.lines_only
 for _r in (300, 600, 900, 1250):
     _w = features.Wide(None, PEOPLE.attributes, PEOPLE.text, fingerprint.row_sample_sql(PEOPLE, _r))
     add(f"general_rowhash_f1_{_r}", lambda s, d, r=_r: fingerprint.select_rowhash(features.people(s, d), 10, r), fingerprint.greedy_onehot_sql(_w, 10))
+GS = generalsketch.GeneralSizes(15_000, size=512, slots=512, levels=16)
+
+
+def general_sizes(w: features.Wide, **more) -> generalsketch.GeneralSizes:
+    return replace(GS, n=w.df.count(), **more)
+
+
+def _general_state(s: SparkSession, d: str):
+    w = features.people(s, d)
+    return generalsketch.build(five_columns(w), w.df.select(F.col("uid").alias("i")), GS)
+
+
+def _general_cells(s: SparkSession, d: str) -> DataFrame:
+    state = _general_state(s, d)
+    return state.counts[0].withColumn("half", F.lit(0)).unionByName(state.counts[1].withColumn("half", F.lit(1)))
+
+
+def _general_pairs(s: SparkSession, d: str, **more) -> DataFrame:
+    """Estimated against exact pairs for one, two and three columns."""
+    w = features.people(s, d)
+    sizes = general_sizes(w, **more)
+    sets = s.createDataFrame([(c, j) for c in range(3) for j in range(c + 1)], "cand int, j long")
+    got = generalsketch.separated_pairs(generalsketch.build(five_columns(w), w.df.select(F.col("uid").alias("i")), sizes), sets, sizes)
+    exact = reduce(DataFrame.unionByName, [fingerprint.separated_pairs(w.df, list(FIVE[: c + 1])).withColumn("cand", F.lit(c)) for c in range(3)])
+    return got.join(exact, "cand").select("cand", "separated", (F.abs(F.col("value") - F.col("separated")) <= 0.05 * F.col("separated")).alias("within_5_percent"))
+
+
+def _general_select(s: SparkSession, d: str, copies: int, **more) -> DataFrame:
+    """Columns that the sketch selects, and the share of the exact method's pairs that they separate."""
+    w = features.people(s, d)
+    picked = generalsketch.select(five_columns(w), w.df.select(F.col("uid").alias("i")), 3, general_sizes(w, **more), copies)
+    cols = [FIVE[r["col"]] for r in picked.orderBy("round").collect()]
+    best = [r["col"] for r in fingerprint.greedy_raw(features.Wide(w.df.select("uid", *FIVE), FIVE, frozenset(), ""), 3).orderBy("round").collect()]
+    return measures.pair_ratio(w, cols, best, onehot=False).select(F.lit(3).alias("k"), (F.col("ratio") >= 0.95).alias("at_least_95_percent"))
+
+
+_LONG = f"WITH w AS ({PEOPLE.sql}) {_FIVE_SQL}"
+_half_cells = lambda h: l0.build_sql(_LONG, "j", slots=GS.slots, reps=GS.reps, levels=GS.levels, seed=moments.half_seeds(GS.seed, h)[0])
+add("general_sketch_cells_f1", _general_cells, f"SELECT *, 0 AS half FROM ({_half_cells(0)}) UNION ALL SELECT *, 1 AS half FROM ({_half_cells(1)})")
+add("general_sketch_sample_cells_f1", lambda s, d: _general_state(s, d).draws[0], l0sampler.build_sql(_LONG, "j", size=GS.size, levels=GS.levels, seed=moments.half_seeds(GS.seed, 0)[1]))
+add("general_sketch_combined_l0_f1", lambda s, d: l0.estimate(combine.columns(_general_state(s, d).counts[0], s.createDataFrame([(0, 0), (0, 1)], "g int, j long"), GS.seed + 7), ["g"], GS.slots), l0.estimate_sql(generalsketch.combined_sql(_half_cells(0), [0, 1], GS.seed), "g", GS.slots))
+_EXACT_SETS = " UNION ALL ".join(f"SELECT {c} AS cand, ((sum(f)::HUGEINT * sum(f) - sum(f * f)) // 2)::BIGINT AS separated, true AS within_5_percent FROM (SELECT count(*)::HUGEINT AS f FROM ({PEOPLE.sql}) GROUP BY {', '.join(FIVE[: c + 1])})" for c in range(3))
+for _s in ("l0", "rowhash"):
+    add(f"general_sketch_pairs_{_s}_f1", lambda s, d, x=_s: _general_pairs(s, d, sampler=x), _EXACT_SETS)
+    add(f"general_sketch_select_{_s}_f1", lambda s, d, x=_s: _general_select(s, d, 1, sampler=x), "SELECT 3 AS k, true AS at_least_95_percent")
+add("general_sketch_select_copies_f1", lambda s, d: _general_select(s, d, 3), "SELECT 3 AS k, true AS at_least_95_percent")
 add("general_sketch_f1", lambda s, d: fingerprint.estimated_pairs(features.people(s, d).coded(), ["nation", "month"], features.people(s, d).df.count()))
 _TINY = "SELECT n_nationkey AS uid, n_regionkey AS region, length(n_name) AS width FROM nation"
 add("general_pairs_tiny", lambda s, d: baselines.general_via_pairs(features.Wide(table(s, d, "nation").select(F.col("n_nationkey").alias("uid"), F.col("n_regionkey").alias("region"), F.length("n_name").alias("width")), ("region", "width"), frozenset(), _TINY), 2), fingerprint.greedy_raw_sql(features.Wide(None, ("region", "width"), frozenset(), _TINY), 2))
@@ -135,9 +222,24 @@ def _vector(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, int]:
     return o, o.select("i"), o.count()
 
 
+def _user_vector(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, int]:
+    """A value a user, changed by later updates: events of the user modulo 3, with 9 for 0."""
+    per = table(s, d, "events").groupBy(F.col("user_id").alias("i")).agg((F.count("*") % 3).alias("m"))
+    first = per.select("i", F.lit(5).cast("long").alias("c"))
+    later = per.select("i", (F.when(F.col("m") == 0, 9).otherwise(F.col("m")) - 5).cast("long").alias("c"))
+    return first.unionByName(later), per.select("i"), per.count()
+
+
+def rounded(df: DataFrame) -> DataFrame:
+    return df.select(F.round("complement", 3).alias("complement"), "branch", "b", F.round("f_b", 3).alias("f_b"))
+
+
 for _p in (2, 3):
-    add(f"complement_sketch_p{_p}", lambda s, d, p=_p: moments.complement(*_vector(s, d), p))
-add("top_value_events", lambda s, d: moments.top_value(*_vector(s, d)))
+    _CS = moments.complement_sql("SELECT o_orderkey AS i, month(o_orderdate) AS v FROM orders", "SELECT o_orderkey AS i FROM orders", _p)
+    add(f"complement_sketch_p{_p}", lambda s, d, p=_p: rounded(moments.complement(*_vector(s, d), p)), f"SELECT round(complement, 3) AS complement, branch, b, round(f_b, 3) AS f_b FROM ({_CS})")
+_VK = "SELECT user_id AS i, CASE WHEN count(*) % 3 = 0 THEN 9 ELSE count(*) % 3 END AS v FROM events GROUP BY user_id"
+add("complement_sketch_users", lambda s, d: rounded(moments.complement(*_user_vector(s, d), 2)), f"SELECT round(complement, 3) AS complement, branch, b, round(f_b, 3) AS f_b FROM ({moments.complement_sql(_VK, 'SELECT DISTINCT user_id AS i FROM events')})")
+add("top_value_events", lambda s, d: moments.top_value(*_user_vector(s, d)).withColumn("f_b", F.round("f_b", 3)), f"SELECT b, round(f_b, 3) AS f_b FROM ({moments.complement_sql(_VK, 'SELECT DISTINCT user_id AS i FROM events')})")
 add("skew_quantity", lambda s, d: moments.skew(table(s, d, "lineitem").select(F.col("l_quantity").alias("x"))).select(F.round("skew", 6).alias("skew")), "SELECT round(count(*) * sum(f * f)::DOUBLE / (sum(f)::DOUBLE * sum(f)), 6) AS skew FROM (SELECT count(*) AS f FROM lineitem GROUP BY l_quantity)")
 add("f2_sign_sketch", lambda s, d: baselines.f2_sketch_complement(table(s, d, "lineitem").select(F.col("l_suppkey").alias("x"))), moments.f2_sign_sql("SELECT l_suppkey AS x FROM lineitem"))
 
@@ -165,9 +267,25 @@ _Q = f"WITH r AS ({features.letters_sql()}), e AS (SELECT {', '.join(f'min({x})
 add("reduce_quantised_features", lambda s, d: features.quantised(*features.letter_frequencies(s, d)).drop("lang").withColumnRenamed("doc_id", "uid"), _Q)
 add("select_letters_by_separation", lambda s, d: cluster.select_features(*features.letter_frequencies(s, d), 5), fingerprint.greedy_raw_sql(features.Wide(None, tuple(_X), frozenset(), _Q), 5))
 add("kmeans_accuracy", lambda s, d: workloads.cluster_table(s, d).select("x", "method", "accuracy"))
-add("insertion_only_vs_turnstile", lambda s, d: net(C1T[0](s, d)).agg(F.countDistinct("i").alias("exact")), f"SELECT count(DISTINCT i)::BIGINT AS exact FROM ({net_sql('c1t')})")
-add("insertion_only_hll", lambda s, d: baselines.hll_union(C1T[0](s, d), [1, 2, 3]))
-add("insertion_only_theta", lambda s, d: baselines.theta_union(C1T[0](s, d), [1, 2, 3]))
+
+
+def _insertion_only(s: SparkSession, d: str, union) -> DataFrame:
+    """An insertion-only union sketch of three columns against what was ever inserted and what is left after returns."""
+    u, three = C1T[0](s, d), [1, 2, 3]
+    ever = u.where(F.col("j").isin(three)).agg(F.countDistinct("i").alias("inserted"))
+    left = net(u).where(F.col("j").isin(three)).agg(F.countDistinct("i").alias("net"))
+    both = union(u, three).crossJoin(ever).crossJoin(left)
+    near = F.abs(F.col("estimate") - F.col("inserted")) <= 0.05 * F.col("inserted")
+    return both.select("inserted", "net", near.alias("near_inserted"), (F.col("estimate") > 1.1 * F.col("net")).alias("above_net"))
+
+
+def _ever_sql(more: str) -> str:
+    return f"SELECT (SELECT count(DISTINCT i) FROM ({C1T[1]}) WHERE j IN (1, 2, 3))::BIGINT AS inserted, (SELECT count(DISTINCT i) FROM ({net_sql('c1t')}) WHERE j IN (1, 2, 3))::BIGINT AS net, {more}"
+
+
+add("insertion_only_hll", lambda s, d: _insertion_only(s, d, baselines.hll_union), _ever_sql("true AS near_inserted, true AS above_net"))
+add("insertion_only_theta", lambda s, d: _insertion_only(s, d, baselines.theta_union), _ever_sql("true AS near_inserted, true AS above_net"))
+add("insertion_only_vs_turnstile", lambda s, d: _insertion_only(s, d, lambda u, c: coverage.union_size(l0.build(u, ["j"], levels=P1.levels), s.createDataFrame([(0, x) for x in c], "cand int, j long"), P1).select(F.col("l0").alias("estimate"))).select("inserted", "net", (~F.col("above_net")).alias("sketch_follows_net")), _ever_sql("true AS sketch_follows_net"))
 add("insertion_only_bitmap", lambda s, d: baselines.bitmap_union(C1[0](s, d), [1, 2, 3]), "SELECT count(DISTINCT l_partkey)::BIGINT AS estimate FROM lineitem WHERE l_suppkey IN (1, 2, 3)")
 add("large_small_rows", lambda s, d: rowsample.large_and_small(net(C1T[0](s, d)), P1), f"SELECT count(*) FILTER (n * {P1.k} >= {P1.d})::BIGINT AS large_rows, count(*) FILTER (n * {P1.k} < {P1.d})::BIGINT AS small_rows, coalesce(sum(n) FILTER (n * {P1.k} >= {P1.d}), 0)::BIGINT AS large_entries, coalesce(sum(n) FILTER (n * {P1.k} < {P1.d}), 0)::BIGINT AS small_entries FROM (SELECT i, count(*) AS n FROM ({net_sql('c1t')}) GROUP BY i)")
 add("row_isolation", lambda s, d: rowsample.isolation(net(C1T[0](s, d)), P1), rowsample.isolation_sql(net_sql("c1t"), P1))
@@ -178,13 +296,37 @@ add("sketch_size_c1t", _sketch_size, f"SELECT count(*)::BIGINT AS cells, {P1.n *
 def _noisy(s: SparkSession, d: str, fn: str, fresh: bool) -> DataFrame:
     a = net(WORKLOADS["c4"][0](s, d))
     cols = a.select("j").distinct()
-    f = submodular.ExactCoverageFn(a.select("i", "j")) if fn == "exact" else submodular.CoverageFn(WORKLOADS["c4"][0](s, d), Params.practical(200, 100, 3, 0.5))
+    f = submodular.ExactCoverageFn(a.select("i", "j")) if fn == "exact" else submodular.CoverageFn(WORKLOADS["c4"][0](s, d), PC4)
     return submodular.greedy(f, cols, 3, fresh).select("round", "col", F.round("gain").cast("long").alias("gain"), F.round("total").cast("long").alias("total"))
 
 
 add("submodular_exact_c4", lambda s, d: _noisy(s, d, "exact", True), greedy.greedy_sql(net_sql("c4"), 3))
-add("submodular_fresh_c4", lambda s, d: _noisy(s, d, "l0", True))
-add("submodular_single_c4", lambda s, d: _noisy(s, d, "l0", False))
+PC4 = Params.practical(200, 100, 3, 0.5)
+add("submodular_fresh_c4", lambda s, d: _noisy(s, d, "l0", True), submodular.sketch_sql(WORKLOADS["c4"][1], PC4, 3, True))
+add("submodular_single_c4", lambda s, d: _noisy(s, d, "l0", False), submodular.sketch_sql(WORKLOADS["c4"][1], PC4, 3, False))
+
+
+def _pair_greedy(s: SparkSession, d: str) -> DataFrame:
+    w = features.people(s, d)
+    long = five_columns(w).withColumnsRenamed({"i": "uid", "c": "v"})
+    got = submodular.greedy(submodular.PairSeparationFn(long, 0), long.select("j").distinct(), 3)
+    names = F.array(*map(F.lit, FIVE))
+    return got.select("round", F.element_at(names, F.col("col").cast("int") + 1).alias("col"), F.col("gain").cast("long").alias("gain"), F.col("total").cast("long").alias("total"))
+
+
+add("submodular_pairs_f1", _pair_greedy, fingerprint.greedy_raw_sql(features.Wide(None, FIVE, frozenset(), PEOPLE.sql), 3))
+
+
+def _custom_greedy(s: SparkSession, d: str) -> DataFrame:
+    """A function given as values of sets: the line value that parts' suppliers can reach, each part once at its best."""
+    lines = table(s, d, "lineitem").groupBy(F.col("l_suppkey").alias("j"), "l_partkey").agg(F.max("l_quantity").alias("q"))
+    best = lambda sets: lines.join(sets, "j").groupBy("cand", "l_partkey").agg(F.max("q").alias("q")).groupBy("cand").agg(F.sum("q").cast("double").alias("value"))
+    got = submodular.greedy(submodular.ExactFn(best), lines.select("j").distinct(), 2)
+    return got.select("round", "col", F.col("total").cast("long").alias("total"))
+
+
+_BEST = "SELECT l_suppkey AS j, l_partkey AS p, max(l_quantity) AS q FROM lineitem GROUP BY ALL"
+add("submodular_custom_c1", _custom_greedy, f"WITH b AS MATERIALIZED ({_BEST}), r1 AS MATERIALIZED (SELECT j, sum(q) AS v FROM b GROUP BY j ORDER BY v DESC, j LIMIT 1), f AS MATERIALIZED (SELECT p, q FROM b WHERE j = (SELECT j FROM r1)), r2 AS (SELECT b.j, (SELECT v FROM r1) + sum(greatest(b.q - coalesce(f.q, 0), 0)) AS v FROM b LEFT JOIN f USING (p) WHERE b.j <> (SELECT j FROM r1) GROUP BY b.j ORDER BY v DESC, b.j LIMIT 1) SELECT 1::INT AS round, j AS col, v::BIGINT AS total FROM r1 UNION ALL SELECT 2::INT, j, v::BIGINT FROM r2")
 
 
 def _stream(s: SparkSession, d: str, name: str, make: Callable[[DataFrame], DataFrame], mode: str = "append") -> DataFrame:
