@@ -18,19 +18,26 @@ def greedy_cover(entries: DataFrame, k: int) -> DataFrame:
 
 
 def targeted_exact(w: Wide, user: int, k: int) -> DataFrame:
+    """The exact method for one target."""
     return targeted.exact(w, user, k)
 
 
+def targeted_exact_many(w: Wide, users: DataFrame, k: int) -> DataFrame:
+    """The exact method for many targets in one pass: no row is left out."""
+    return targeted.fingerprint_all(w, users, k, 1.0)
+
+
 def general_exact(w: Wide, k: int, onehot: bool = True, variant: str = "expression") -> DataFrame:
     """Class refinement on all users. variant cached_classes writes each round's classes instead of computing them from the row."""
     if variant != "cached_classes":
         return fingerprint.greedy_onehot(w, k) if onehot else fingerprint.greedy_raw(w, k)
     from .checkpoints import cut
 
-    n, rows, before = w.df.count(), [], 0
-    state, left = cut(w.df.withColumn("cls", F.lit(0).cast("long"))), list(w.attributes)
+    c = w.codes()
+    n, rows, before = c.df.count(), [], 0
+    state, left = c.df.withColumn("cls", F.lit(0).cast("long")), list(w.attributes)
     for r in range(1, min(k, len(left)) + 1):
-        options = F.explode(F.array(*(F.struct(F.lit(w.attributes.index(a)).alias("a"), F.col(a).cast("string").alias("v")) for a in left)))
+        options = F.explode(F.array(*(F.struct(F.lit(w.attributes.index(a)).alias("a"), F.col(a).alias("v")) for a in left)))
         f = state.select("cls", options.alias("o")).groupBy("cls", "o").agg(F.count("*").alias("f"))
         best = f.groupBy("o.a").agg(F.sum(F.col("f").cast("decimal(19,0)") * F.col("f")).alias("s")).orderBy("s", "a").first()
         a = w.attributes[best["a"]]
@@ -38,7 +45,7 @@ def general_exact(w: Wide, k: int, onehot: bool = True, variant: str = "expressi
         total = (n * n - int(best["s"])) // 2
         rows.append((r, a, total - before, total))
         before = total
-        state = cut(state.withColumn("cls", F.xxhash64("cls", F.col(a).cast("string"))))
+        state = cut(state.withColumn("cls", F.xxhash64("cls", a)))
     return trajectory(w.df.sparkSession, rows, "string")
 
 

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.hashing import PRIME, Seed, poly4
-from ..sources.features import Wide
+from ..sources.features import Codes, Wide
 from .greedy import trajectory
 from .moments import complement_of_sample
 
@@ -27,15 +29,14 @@ def _squares(f: str):
     return F.sum(F.col(f).cast("decimal(19,0)") * F.col(f).cast("decimal(19,0)")).cast("decimal(38,0)")
 
 
-def greedy_raw(w: Wide, k: int, n: int | None = None) -> DataFrame:
+def greedy_raw(w: Wide, k: int, n: int | None = None, codes: Codes | None = None) -> DataFrame:
     """Exact greedy over whole attributes: one aggregate a round scores every candidate; ties go to the first attribute."""
-    n = n if n is not None else w.df.count()
+    c = codes or w.codes()
+    n = n if n is not None else c.df.count()
     picked, rows, before = [], [], 0
     for r in range(1, min(k, len(w.attributes)) + 1):
-        left = [a for a in w.attributes if a not in picked]
-        options = F.explode(F.array(*(F.struct(F.lit(w.attributes.index(a)).alias("a"), F.col(a).cast("string").alias("v")) for a in left)))
-        counts = w.df.select(*picked, options.alias("o")).groupBy(*picked, "o").agg(F.count("*").alias("f"))
-        best = counts.groupBy("o.a").agg(_squares("f").alias("s")).orderBy("s", "a").first()
+        counts = c.df.select(*picked, F.explode(c.pairs(picked)).alias("o")).groupBy(*picked, "o.a", "o.v").agg(F.count("*").alias("f"))
+        best = counts.groupBy("a").agg(_squares("f").alias("s")).orderBy("s", "a").first()
         total = (n * n - int(best["s"])) // 2
         picked.append(w.attributes[best["a"]])
         rows.append((r, picked[-1], total - before, total))
@@ -43,27 +44,32 @@ def greedy_raw(w: Wide, k: int, n: int | None = None) -> DataFrame:
     return trajectory(w.df.sparkSession, rows, "string")
 
 
-def greedy_onehot(w: Wide, k: int, n: int | None = None) -> DataFrame:
-    """Exact greedy over one-hot features. A user's class is the bits of the picked features; one aggregate of the raw
-    attributes by class gives the gains of every feature, since a feature splits a class of n into m and n - m."""
-    n = n if n is not None else w.df.count()
+def greedy_onehot(w: Wide, k: int, n: int | None = None, codes: Codes | None = None) -> DataFrame:
+    """Exact greedy over one-hot features. A user's class is the bits of the picked features; one aggregate of the coded
+    attributes by class gives the gains of every feature, since a feature splits a class of n into m and n - m, and the
+    classes' sizes are the sums over one attribute. Ties go to the first feature by attribute, then value."""
+    c = codes or w.codes()
     cls, picked, rows, before = F.lit(0).cast("long"), [], [], 0
     for r in range(1, k + 1):
-        base = w.df.select(cls.alias("cls"), *w.attributes)
-        total_by_class = base.groupBy("cls").agg(F.count("*").alias("n"))
-        features = base.select("cls", F.explode(F.array(*(w.feature(a, F.col(a)) for a in w.attributes))).alias("f"))
-        split = features.groupBy("cls", "f").agg(F.count("*").alias("m")).join(total_by_class, "cls")
-        cut = F.sum(F.col("m").cast("decimal(19,0)") * (F.col("n") - F.col("m")).cast("decimal(19,0)")).cast("decimal(38,0)")
-        fresh = split.groupBy("f").agg(cut.alias("g")).where(~F.col("f").isin(picked)) if picked else split.groupBy("f").agg(cut.alias("g"))
-        best = fresh.orderBy(F.desc("g"), "f").first()
+        if len(picked) == 62:  # bits of a long: classes are named anew
+            from .checkpoints import cut
+
+            c, cls = replace(c, df=cut(c.df.withColumn("base", F.xxhash64(cls, *(["base"] if "base" in c.df.columns else []))))), F.lit(0).cast("long")
+        by = ["cls", *(["base"] if "base" in c.df.columns else [])]
+        m = c.df.select(cls.alias("cls"), *by[1:], F.explode(c.pairs()).alias("x")).groupBy(*by, "x.a", "x.v").agg(F.count("*").alias("m"))
+        sized = m.withColumn("n", F.sum(F.when(F.col("a") == 0, F.col("m"))).over(Window.partitionBy(*by)))
+        cut_ = F.sum(F.col("m").cast("decimal(19,0)") * (F.col("n") - F.col("m")).cast("decimal(19,0)")).cast("decimal(38,0)")
+        gains = sized.groupBy("a", "v").agg(cut_.alias("g"))
+        for a, v in picked:
+            gains = gains.where((F.col("a") != a) | (F.col("v") != v))
+        best = gains.orderBy(F.desc("g"), "a", "v").first()
         if best is None:
             break
-        f, gain = best["f"], int(best["g"])
-        picked.append(f)
+        gain = int(best["g"])
+        picked.append((best["a"], best["v"]))
         before += gain
-        rows.append((r, f, gain, before))
-        a = f.split(":", 1)[1].split("=", 1)[0]
-        cls = cls * 2 + (w.feature(a, F.col(a)) == f).cast("long")
+        rows.append((r, c.name(w.attributes[best["a"]], best["v"]), gain, before))
+        cls = cls * 2 + (F.col(w.attributes[best["a"]]) == best["v"]).cast("long")
     return trajectory(w.df.sparkSession, rows, "string")
 
 
@@ -89,11 +95,11 @@ def greedy_onehot_sql(w: Wide, k: int) -> str:
     return f"WITH {', '.join(parts)} SELECT round, col, gain, sum(gain) OVER (ORDER BY round)::BIGINT AS total FROM ({rows})"
 
 
-def row_sample(w: Wide, rows: int, n: int, seed: int = 1) -> DataFrame:
+def row_sample(df: DataFrame, rows: int, n: int, seed: int = 1) -> DataFrame:
     """The users of the smallest hashes, whole: a linear sketch that selects rows. A threshold on the hash first, so only
     about twice the rows are sorted."""
     h = poly4(F.pmod("uid", F.lit(PRIME)), Seed.of(seed, 60))
-    near = w.df.withColumn("h", h).where(F.col("h") < int(min(1.0, (2 * rows + 50) / max(1, n)) * PRIME) + 1)
+    near = df.withColumn("h", h).where(F.col("h") < int(min(1.0, (2 * rows + 50) / max(1, n)) * PRIME) + 1)
     return near.orderBy("h", "uid").limit(rows).drop("h")
 
 
@@ -123,7 +129,7 @@ def local_onehot(codes: np.ndarray, names: list[str], k: int) -> list[tuple[int,
 def select_rowhash(w: Wide, k: int, rows: int, seed: int = 1, n: int | None = None) -> DataFrame:
     """Greedy one-hot features on the row sample: round, col, gain and total in the sample, in one Arrow group."""
     n = n if n is not None else w.df.count()
-    long = Wide(row_sample(w, rows, n, seed), w.attributes, w.text, w.sql).long()
+    long = w.over(row_sample(w.df, rows, n, seed)).long()
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         names = sorted(pdf["f"].unique())

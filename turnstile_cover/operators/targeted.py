@@ -6,46 +6,56 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.hashing import PRIME, Seed, poly4
 from ..plans.params import Params
-from ..sources.features import Wide
+from ..sources.features import Codes, Wide
 from . import coverage
-from .cells import merge, scale
+from .cells import merge
 from .greedy import trajectory
 from .l0 import build as build_l0
 
 
-def exact(w: Wide, user: int, k: int, df: DataFrame | None = None) -> DataFrame:
+def exact(w: Wide, user: int, k: int, df: DataFrame | None = None, codes: Codes | None = None) -> DataFrame:
     """Greedy over one-hot features against the target's row: a feature separates the users in whose column they differ.
 
-    Each round is one scan: the open users' counts by attribute value score every candidate.
+    Each round is one aggregate over the coded table: the open users' counts by attribute value score every candidate, and the
+    number of open users is known from the gain before. df: coded users to count instead of all.
     """
-    df = w.df if df is None else df
-    row = w.df.where(F.col("uid") == user).first()
+    c = codes or w.codes()
+    row = c.df.where(F.col("uid") == user).first()
     spark = w.df.sparkSession
     if row is None:
         return trajectory(spark, [], "string")
-    open_, picked, rows, total = df.where(F.col("uid") != user), [], [], 0
-    mine = {a: row[a] for a in w.attributes}
-    own = w.df.where(F.col("uid") == user).select(*(w.feature(a, F.col(a)).alias(a) for a in w.attributes)).first().asDict()
+    own = [(n, row[a]) for n, a in enumerate(w.attributes)]
+    mine = F.lit(False)
+    for n, v in own:
+        mine = mine | ((F.col("a") == n) & (F.col("v") == v))
+    # a value of the target that no open user has still separates them all
+    fixed = spark.createDataFrame([(n, v, 0) for n, v in own], "a int, v long, m long")
+    open_, picked, rows, total = (c.df if df is None else df).where(F.col("uid") != user), [], [], 0
+    left = open_.count()
     for r in range(1, k + 1):
-        counts = open_.select(F.explode(F.array(*(F.struct(w.feature(a, F.col(a)).alias("f"), (F.col(a) == F.lit(mine[a])).alias("same")) for a in w.attributes))).alias("x")).groupBy("x.f", "x.same").agg(F.count("*").alias("m"))
-        n = open_.count()
-        known = {x["f"]: (n - x["m"] if x["same"] else x["m"]) for x in counts.collect()}  # a row a feature
-        known = {**dict.fromkeys(own.values(), n), **known}  # the target's own value may be none of the open users'
-        for f in picked:
-            known.pop(f, None)
-        if not known:
-            break
-        f = min(known, key=lambda x: (-known[x], x))
-        picked.append(f)
-        total += known[f]
-        rows.append((r, f, int(known[f]), int(total)))
-        a = f.split(":", 1)[1].split("=", 1)[0]
-        differs = (w.feature(a, F.col(a)) == f) if own[a] != f else (w.feature(a, F.col(a)) != f)
-        open_ = open_.where(~differs)
+        counts = open_.select(F.explode(c.pairs()).alias("x")).groupBy("x.a", "x.v").agg(F.count("*").alias("m"))
+        m = counts.unionByName(fixed).groupBy("a", "v").agg(F.sum("m").alias("m"))
+        gains = m.select("a", "v", F.when(mine, F.lit(left) - F.col("m")).otherwise(F.col("m")).alias("g"))
+        for n, v in picked:
+            gains = gains.where((F.col("a") != n) | (F.col("v") != v))
+        best = gains.orderBy(F.desc("g"), "a", "v").first()
+        if best is None or best["g"] == 0:  # nothing is won any more: the first feature left of all
+            rest = c.df.select(F.explode(c.pairs()).alias("x")).where(~F.struct("x.a", "x.v").isin([F.struct(F.lit(n), F.lit(v).cast("long")) for n, v in picked]) if picked else F.lit(True))
+            least = rest.agg(F.min(F.struct("x.a", "x.v")).alias("least")).first()["least"]
+            if least is None:
+                break
+            best = {"a": least["a"], "v": least["v"], "g": 0}
+        a = w.attributes[best["a"]]
+        picked.append((best["a"], best["v"]))
+        total += int(best["g"])
+        left -= int(best["g"])
+        rows.append((r, c.name(a, best["v"]), int(best["g"]), total))
+        same = F.col(a) == best["v"]
+        open_ = open_.where(same if picked[-1] in own else ~same)
     return trajectory(spark, rows, "string")
 
 
@@ -59,9 +69,9 @@ def exact_sql(w: Wide, user: int, k: int) -> str:
     return f"WITH {', '.join(parts)} SELECT round, col, gain, sum(gain) OVER (ORDER BY round)::BIGINT AS total FROM ({rows})"
 
 
-def sampled_rows(w: Wide, rate: float, seed: int = 1) -> DataFrame:
+def sampled_rows(df: DataFrame, rate: float, seed: int = 1) -> DataFrame:
     """Users whose hash is under the rate: the same ones in every column and every engine."""
-    return w.df.where(poly4(F.pmod("uid", F.lit(PRIME)), Seed.of(seed, 62)) < int(rate * PRIME))
+    return df.where(poly4(F.pmod("uid", F.lit(PRIME)), Seed.of(seed, 62)) < int(rate * PRIME))
 
 
 def exact_raw(w: Wide, user: int, k: int, df: DataFrame | None = None, entry_rate: float = 1.0, seed: int = 1) -> DataFrame:
@@ -85,8 +95,9 @@ def exact_raw(w: Wide, user: int, k: int, df: DataFrame | None = None, entry_rat
     return trajectory(w.df.sparkSession, rows, "string")
 
 
-def exact_raw_sql(w: Wide, user: int, k: int, where: str = "true") -> str:
-    parts = [f"w AS MATERIALIZED ({w.sql})", "l AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT uid, {n} AS a, {a} IS DISTINCT FROM (SELECT {a} FROM w WHERE uid = {user}) AS x FROM w" for n, a in enumerate(w.attributes)) + ")", f"o0 AS (SELECT uid FROM w WHERE uid <> {user} AND {where})"]
+def exact_raw_sql(w: Wide, user: int, k: int, where: str = "true", kept: str = "true") -> str:
+    """kept: which entries of attribute {n} count."""
+    parts = [f"w AS MATERIALIZED ({w.sql})", "l AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT uid, {n} AS a, {a} IS DISTINCT FROM (SELECT {a} FROM w WHERE uid = {user}) AND {kept.format(n=n)} AS x FROM w" for n, a in enumerate(w.attributes)) + ")", f"o0 AS (SELECT uid FROM w WHERE uid <> {user} AND {where})"]
     for r in range(1, k + 1):
         taken = " UNION ALL ".join(f"SELECT a FROM r{x}" for x in range(1, r)) or "SELECT 99"
         parts.append(f"r{r} AS MATERIALIZED (SELECT a, count(*) FILTER (x)::BIGINT AS g FROM l JOIN o{r - 1} USING (uid) WHERE a NOT IN ({taken}) GROUP BY a ORDER BY g DESC, a LIMIT 1)")
@@ -101,47 +112,96 @@ def rate_sql(rate: float, seed: int = 1) -> str:
 
 
 def fingerprint_sampled(w: Wide, user: int, k: int, row_rate: float, entry_rate: float = 1.0, seed: int = 1, onehot: bool = True) -> DataFrame:
-    """Fixed rates instead of the sketch's levels: greedy on the sampled users."""
-    sample = sampled_rows(w, row_rate, seed)
-    return exact(w, user, k, sample) if onehot else exact_raw(w, user, k, sample, entry_rate, seed)
-
-
-def fingerprint_all(w: Wide, users: DataFrame, k: int, row_rate: float, seed: int = 1, max_cells: int = 50_000_000) -> DataFrame:
-    """uid, cols and separated_in_sample for every user as target: the sample goes to the executors if it fits max_cells
-    one-hot cells (else an error says to lower the rate), and users stream by in Arrow batches without a shuffle."""
-    features = sorted(r[0] for r in w.long().select("f").distinct().collect())  # the feature dictionary
-    place = {f: i for i, f in enumerate(features)}
-    sample = sampled_rows(w, row_rate, seed)
+    """Fixed rates instead of the sketch's levels: greedy on the sampled users and the sampled nonzeros of their difference."""
+    if not onehot:
+        return exact_raw(w, user, k, sampled_rows(w.df, row_rate, seed), entry_rate, seed)
+    c = w.codes()
+    if entry_rate >= 1:
+        return exact(w, user, k, sampled_rows(c.df, row_rate, seed), c)
+    target = c.df.where(F.col("uid") == user).select("uid")
+    got = fingerprint_all(w, target, k, row_rate, seed, entry_rate=entry_rate, codes=c).select("uid", F.posexplode(F.arrays_zip("cols", "gains")).alias("pos", "x"))
+    total = F.sum("x.gains").over(Window.partitionBy("uid").orderBy("pos"))
+    return got.select((F.col("pos") + 1).alias("round"), F.col("x.cols").alias("col"), F.col("x.gains").alias("gain"), total.alias("total"))
+
+
+def entry_kept(uids: np.ndarray, feature: int, rate: float, seed: int) -> np.ndarray:
+    """Is the entry of each user and the feature of this place sampled?"""
+    x = (uids % PRIME + feature * 7919) % PRIME
+    a, b, c, d = (np.int64(k) for k in Seed.of(seed, 63).coefficients)
+    return (((((a * x + b) % PRIME) * x + c) % PRIME) * x + d) % PRIME < int(rate * PRIME)
+
+
+def entry_kept_sql(feature: str, rate: float, seed: int = 1) -> str:
+    return f"{Seed.of(seed, 63).sql(f'((uid + {feature} * 7919) % {PRIME})')} < {int(rate * PRIME)}"
+
+
+def bitmaps(flags: np.ndarray) -> np.ndarray:
+    """Rows of flags as rows of 64-bit words."""
+    packed = np.packbits(flags, axis=-1)
+    return np.pad(packed, [(0, 0), (0, -packed.shape[-1] % 8)]).view(np.uint64)
+
+
+def fingerprint_all(w: Wide, users: DataFrame, k: int, row_rate: float, seed: int = 1, max_cells: int = 400_000_000, entry_rate: float = 1.0, codes: Codes | None = None) -> DataFrame:
+    """uid, cols, gains and separated_in_sample for every user as target: the sample goes to the executors as one bitmap a feature
+    if it fits max_cells one-hot cells of one bit (else an error says to lower the row rate), and targets stream by in Arrow
+    batches without a shuffle. entry_rate keeps each nonzero of the difference by a hash of user and feature. A row rate of 1
+    is the exact method for many targets at once."""
+    c = codes or w.codes()
+    present = c.df.select(F.explode(c.pairs()).alias("x")).select("x.*").distinct().collect()  # the feature dictionary
+    features = sorted((r["a"], r["v"]) for r in present)
+    names = [c.name(w.attributes[a], v) for a, v in features]
+    sample = sampled_rows(c.df, row_rate, seed)
     n = sample.count()
     if n * len(features) > max_cells:
         raise ValueError(f"a sample of {n} users and {len(features)} features does not fit {max_cells} cells: lower the row rate")
-    coded = Wide(sample, w.attributes, w.text, w.sql).df.select("uid", F.array(*(w.feature(a, F.col(a)) for a in w.attributes)).alias("fs")).toPandas()
-    matrix = np.zeros((n, len(features)), bool)
-    for i, fs in enumerate(coded["fs"]):
-        matrix[i, [place[f] for f in fs]] = True
-    shared = w.df.sparkSession.sparkContext.broadcast((features, place, matrix))
+    table = sample.select("uid", *w.attributes).toArrow()
+    columns = [table.column(a).to_numpy() for a in w.attributes]
+    has = bitmaps(np.stack([columns[a] == v for a, v in features])) if features else np.zeros((0, 0), np.uint64)
+    uids = table.column("uid").to_numpy()
+    kept = bitmaps(np.stack([entry_kept(uids, f, entry_rate, seed) for f in range(len(features))])) if entry_rate < 1 else None
+    attributes = w.attributes
+    shared = w.df.sparkSession.sparkContext.broadcast((features, names, has, kept, bitmaps(np.ones((1, n), bool))[0]))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        names, at, m = shared.value
+        features, names, has, kept, everyone = shared.value
+        place = {f: i for i, f in enumerate(features)}
         for pdf in batches:
             out = []
-            for uid, fs in zip(pdf["uid"], pdf["fs"], strict=True):
-                own = np.zeros(len(names), bool)
-                own[[at[f] for f in fs]] = True
-                open_, picks, total, taken = m, [], 0, np.zeros(len(names), bool)
-                for _ in range(k):
-                    ones = open_.sum(0)
-                    gains = np.where(taken, -1, np.where(own, len(open_) - ones, ones))
+            rows = zip(*(pdf[a] for a in attributes), strict=True)
+            for uid, row in zip(pdf["uid"], rows, strict=True):
+                own = [place[x] for x in enumerate(row)]
+                differs = has.copy()
+                differs[own] = ~has[own] & everyone
+                if kept is not None:
+                    differs &= kept
+                gains, picks, won, open_ = np.bitwise_count(differs).sum(1, dtype=np.int64), [], [], everyone
+                for _ in range(min(k, len(names))):
                     best = int(gains.argmax())
-                    picks.append(names[best])
-                    taken[best] = True
-                    total += int(gains[best])
-                    open_ = open_[open_[:, best] == own[best]]
-                out.append((uid, picks, total))
-            yield pd.DataFrame(out, columns=["uid", "cols", "separated_in_sample"])
-
-    targets = w.df.join(users, "uid", "left_semi").select("uid", F.array(*(w.feature(a, F.col(a)) for a in w.attributes)).alias("fs"))
-    return targets.mapInPandas(run, f"uid {w.df.schema['uid'].dataType.simpleString()}, cols array<string>, separated_in_sample long")
+                    picks.append(best)
+                    won.append(int(gains[best]))
+                    open_ = open_ & ~differs[best]
+                    left = np.flatnonzero(open_)  # words with open users
+                    gains = np.bitwise_count(differs[:, left] & open_[left]).sum(1, dtype=np.int64)
+                    gains[picks] = -1
+                out.append((uid, [names[x] for x in picks], won, sum(won)))
+            yield pd.DataFrame(out, columns=["uid", "cols", "gains", "separated_in_sample"])
+
+    targets = c.df.join(users.select("uid"), "uid", "left_semi").select("uid", *w.attributes)
+    return targets.mapInPandas(run, f"uid {c.df.schema['uid'].dataType.simpleString()}, cols array<string>, gains array<long>, separated_in_sample long")
+
+
+def sampled_onehot_sql(w: Wide, user: int, k: int, row_rate: float, entry_rate: float, seed: int = 1) -> str:
+    """One target with sampled rows and entries, by SQL."""
+    parts = [f"w AS MATERIALIZED ({w.sql})", f"l AS MATERIALIZED ({w.long_sql()})", "fs AS MATERIALIZED (SELECT f, row_number() OVER (ORDER BY f) - 1 AS n FROM (SELECT DISTINCT f FROM l))", f"t AS MATERIALIZED (SELECT f FROM l WHERE uid = {user})"]
+    rows = f"SELECT uid FROM w WHERE {rate_sql(row_rate, seed)}"
+    parts.append(f"x AS MATERIALIZED (SELECT s.uid, fs.f FROM ({rows}) s CROSS JOIN fs LEFT JOIN l ON l.uid = s.uid AND l.f = fs.f WHERE (l.f IS NULL) = (fs.f IN (SELECT f FROM t)) AND {entry_kept_sql('n', entry_rate, seed).replace('uid', 's.uid')})")
+    parts.append(f"o0 AS ({rows})")
+    for r in range(1, k + 1):
+        taken = " UNION ALL ".join(f"SELECT f FROM r{y}" for y in range(1, r)) or "SELECT ''"
+        parts.append(f"r{r} AS MATERIALIZED (SELECT fs.f, count(o.uid)::BIGINT AS g FROM fs LEFT JOIN (SELECT x.uid, x.f FROM x JOIN o{r - 1} USING (uid)) o ON o.f = fs.f WHERE fs.f NOT IN ({taken}) GROUP BY fs.f ORDER BY g DESC, fs.f LIMIT 1)")
+        parts.append(f"o{r} AS MATERIALIZED (SELECT uid FROM o{r - 1} WHERE uid NOT IN (SELECT uid FROM x WHERE f = (SELECT f FROM r{r})))")
+    out = " UNION ALL ".join(f"SELECT {r}::INT AS round, f AS col, g AS gain FROM r{r}" for r in range(1, k + 1))
+    return f"WITH {', '.join(parts)} SELECT round, col, gain, sum(gain) OVER (ORDER BY round)::BIGINT AS total FROM ({out})"
 
 
 def matching_users(w: Wide, user: int, cols: list[str]) -> DataFrame:
@@ -178,6 +238,3 @@ def shifted_columns(u: DataFrame, universe: DataFrame, row: DataFrame, params: P
     spread = ones.crossJoin(F.broadcast(row)).select("j", "rep", "lvl", "slot", (-F.col("v") * F.col("s0")).alias("s0"))
     return merge(cells, spread)
 
-
-def scaled(state: DataFrame, factor: int) -> DataFrame:
-    return scale(state, factor)

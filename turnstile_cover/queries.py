@@ -108,6 +108,9 @@ PEOPLE, CENSUS, LINES = features.PEOPLE, features.CENSUS, features.LINES
 add("targeted_exact_f1_u0", lambda s, d: targeted.exact(features.people(s, d), 0, 4), targeted.exact_sql(PEOPLE, 0, 4))
 add("targeted_exact_raw_f1_u0", lambda s, d: targeted.exact_raw(features.people(s, d), 0, 4), targeted.exact_raw_sql(PEOPLE, 0, 4))
 add("targeted_sampled_f1_u0", lambda s, d: targeted.fingerprint_sampled(features.people(s, d), 0, 3, 0.4, onehot=False), targeted.exact_raw_sql(PEOPLE, 0, 3, targeted.rate_sql(0.4)))
+add("targeted_sampled_entries_f1_u0", lambda s, d: targeted.fingerprint_sampled(features.people(s, d), 0, 4, 0.4, 0.5), targeted.sampled_onehot_sql(PEOPLE, 0, 4, 0.4, 0.5))
+add("targeted_sampled_onehot_f1_u0", lambda s, d: targeted.fingerprint_sampled(features.people(s, d), 0, 4, 0.4), targeted.sampled_onehot_sql(PEOPLE, 0, 4, 0.4, 1.0))
+add("targeted_sampled_raw_entries_f1_u0", lambda s, d: targeted.fingerprint_sampled(features.people(s, d), 0, 3, 0.4, 0.5, onehot=False), targeted.exact_raw_sql(PEOPLE, 0, 3, targeted.rate_sql(0.4), targeted.entry_kept_sql("{n}", 0.5)))
 add("targeted_all_users", lambda s, d: targeted.fingerprint_all(features.people(s, d), features.people(s, d).df.select("uid"), 7, 0.1).select("uid", F.array_join("cols", ",").alias("cols"), "separated_in_sample"))
 add("targeted_matching_users", lambda s, d: targeted.matching_users(features.people(s, d), 0, ["nation", "month"]), f"WITH w AS ({PEOPLE.sql}) SELECT count(*)::BIGINT AS matching FROM w, (SELECT nation AS a, month AS b FROM w WHERE uid = 0) t WHERE uid <> 0 AND nation = a AND month = b")
 add("targeted_pct_separated", lambda s, d: measures.pct_separated(features.people(s, d), 0, ["nation", "month", "year"]), f"WITH w AS ({PEOPLE.sql}), t AS (SELECT * FROM w WHERE uid = 0), x AS (SELECT w.nation <> t.nation AS a, w.month <> t.month AS b, w.year <> t.year AS c FROM w, t WHERE w.uid <> 0) SELECT 1 AS k, round(100.0::DOUBLE * count(*) FILTER (a) / count(*), 6) AS pct FROM x UNION ALL SELECT 2, round(100.0::DOUBLE * count(*) FILTER (a OR b) / count(*), 6) FROM x UNION ALL SELECT 3, round(100.0::DOUBLE * count(*) FILTER (a OR b OR c) / count(*), 6) FROM x")
@@ -206,7 +209,7 @@ for _s in ("l0", "rowhash"):
     add(f"general_sketch_pairs_{_s}_f1", lambda s, d, x=_s: _general_pairs(s, d, sampler=x), _EXACT_SETS)
     add(f"general_sketch_select_{_s}_f1", lambda s, d, x=_s: _general_select(s, d, 1, sampler=x), "SELECT 3 AS k, true AS at_least_95_percent")
 add("general_sketch_select_copies_f1", lambda s, d: _general_select(s, d, 3), "SELECT 3 AS k, true AS at_least_95_percent")
-add("general_sketch_f1", lambda s, d: fingerprint.estimated_pairs(features.people(s, d).coded(), ["nation", "month"], features.people(s, d).df.count()))
+add("general_sketch_f1", lambda s, d: fingerprint.estimated_pairs(features.people(s, d).coded(), ["nation", "month"], features.people(s, d).df.count()).crossJoin(fingerprint.separated_pairs(features.people(s, d).df, ["nation", "month"]).withColumnRenamed("separated", "exact")).select("branch", "exact", (F.abs(F.col("separated") - F.col("exact")) <= 0.02 * F.col("exact")).alias("within_2_percent")), f"SELECT 'middle' AS branch, ((sum(f)::HUGEINT * sum(f) - sum(f * f)) // 2)::BIGINT AS exact, true AS within_2_percent FROM (SELECT count(*)::HUGEINT AS f FROM ({PEOPLE.sql}) GROUP BY nation, month)")
 _TINY = "SELECT n_nationkey AS uid, n_regionkey AS region, length(n_name) AS width FROM nation"
 add("general_pairs_tiny", lambda s, d: baselines.general_via_pairs(features.Wide(table(s, d, "nation").select(F.col("n_nationkey").alias("uid"), F.col("n_regionkey").alias("region"), F.length("n_name").alias("width")), ("region", "width"), frozenset(), _TINY), 2), fingerprint.greedy_raw_sql(features.Wide(None, ("region", "width"), frozenset(), _TINY), 2))
 add("pairs_identity", lambda s, d: fingerprint.separated_pairs(features.people(s, d).df, ["status", "segment"]), f"WITH f AS (SELECT status, segment, count(*)::HUGEINT AS f FROM ({PEOPLE.sql}) GROUP BY ALL) SELECT (sum(f) * (sum(f) - 1) // 2 - sum(f * (f - 1) // 2))::BIGINT AS separated FROM f")

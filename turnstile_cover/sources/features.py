@@ -3,9 +3,8 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
-from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from .tables import table
 
@@ -40,20 +39,65 @@ class Wide:
     def long_sql(self) -> str:
         return " UNION ALL ".join(f"SELECT uid, {self.feature_sql(a)} AS f FROM w" for a in self.attributes)
 
+    def dictionaries(self, most: int = 100_000) -> dict[str, dict[str, int]]:
+        """Codes of the text attributes' values in their order, from 0; an attribute of more than most values is left out."""
+        if not self.text:
+            return {}
+        names = [a for a in self.attributes if a in self.text]
+        pairs = self.df.select(F.explode(F.array(*(F.struct(F.lit(a).alias("a"), F.col(a).alias("v")) for a in names))).alias("x")).select("x.*").distinct()
+        rows = pairs.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy("v"))).where(F.col("r") <= most + 1).select("a", "v").collect()
+        out: dict[str, dict[str, int]] = {a: {} for a in names}
+        for a, v in sorted(rows, key=lambda x: (x[0], x[1] or "")):
+            out[a][v] = len(out[a])
+        return {a: d for a, d in out.items() if len(d) <= most}
+
+    def codes(self) -> Codes:
+        """The table once, as integers: joins and text are paid for once, and every round reads narrow columns."""
+        from ..operators.checkpoints import cut
+
+        books = self.dictionaries()
+
+        def code(a: str) -> Column:
+            if a not in self.text:
+                return F.col(a).cast("long")
+            if a not in books:
+                return F.xxhash64(a)
+            return F.create_map(*(F.lit(x) for v, n in books[a].items() for x in (v, n)))[F.col(a)].cast("long")
+
+        df = cut(self.df.select("uid", *(code(a).alias(a) for a in self.attributes)))
+        return Codes(self, df, {a: {n: v for v, n in d.items()} for a, d in books.items()})
+
     def coded(self) -> DataFrame:
-        """Attributes as dictionary codes from 1 (0 stays free for never set)."""
-        out = self.df
-        for a in self.attributes:
-            values = self.df.select(a).distinct()
-            codes = values.select(F.col(a).alias("v_"), F.dense_rank().over(_all(a)).cast("long").alias("k_"))
-            out = out.join(codes, out[a] == codes["v_"]).drop(a, "v_").withColumnRenamed("k_", a)
-        return out.select("uid", *self.attributes)
+        """Attributes as integers that are never 0 (0 is never set): text codes from 1, numbers not below 0 plus 1."""
+        c = self.codes()
+        return c.df.select("uid", *(F.when(F.col(a) >= 0, F.col(a) + 1).otherwise(F.col(a)).alias(a) for a in self.attributes))
+
+
+@dataclass(frozen=True)
+class Codes:
+    """A wide table as integers (uid, attributes), and the text values of its codes."""
 
+    wide: Wide
+    df: DataFrame
+    names: dict[str, dict[int, str]]
 
-def _all(a: str):
-    from pyspark.sql import Window
+    @property
+    def attributes(self) -> tuple[str, ...]:
+        return self.wide.attributes
 
-    return Window.partitionBy(F.lit(0)).orderBy(a)  # over the distinct values of one attribute
+    def name(self, a: str, code: int) -> str:
+        """Key of the one-hot feature of a code."""
+        n = self.attributes.index(a)
+        if a not in self.wide.text:
+            return f"{n:02d}:{a}={str(code + 100_000).rjust(8, '0')}"
+        if a in self.names:
+            return f"{n:02d}:{a}={self.names[a][code]}"
+        row = self.wide.df.where(F.xxhash64(a) == code).select(a).first()
+        return f"{n:02d}:{a}={row[0]}"
+
+    def pairs(self, keep: list[str] = ()) -> Column:
+        """Array of (place of the attribute, code), one for each attribute not in keep."""
+        return F.array(*(F.struct(F.lit(n).alias("a"), F.col(a).alias("v")) for n, a in enumerate(self.attributes) if a not in keep))
 
 
 PEOPLE = Wide(
@@ -147,7 +191,3 @@ def quantised(df: DataFrame, names: list[str], bins: int = 10) -> DataFrame:
     cut = lambda n: F.least(F.floor((F.col(n) - F.col(f"lo_{n}")) * bins / F.greatest(F.col(f"hi_{n}") - F.col(f"lo_{n}"), F.lit(1e-300))), F.lit(bins - 1)).cast("int").alias(n)
     rest = [c for c in df.columns if c not in names]
     return df.crossJoin(F.broadcast(ends)).select(*rest, *map(cut, names))
-
-
-def all_of(conditions: list[Column]) -> Column:
-    return reduce(lambda a, b: a & b, conditions, F.lit(True))
