@@ -6,7 +6,7 @@ from dataclasses import replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.hashing import PRIME, Seed, poly4
 from ..sources.features import Codes, Wide
@@ -141,6 +141,44 @@ def select_rowhash(w: Wide, k: int, rows: int, seed: int = 1, n: int | None = No
     return long.groupBy().applyInPandas(run, "round int, col string, gain long, total long")
 
 
+def sweep_rowhash(c: Codes, k: int, sizes: list[int], seeds: int, n: int) -> DataFrame:
+    """sample_rows, seed and picks (array of attribute place and code, in order): one job for all samples, since a smaller
+    sample of a seed is the beginning of a larger one. One Arrow group a seed, of the largest sample's rows."""
+    most, attributes = max(sizes), c.attributes
+    spread = F.explode(F.array(*(F.struct(F.lit(s).alias("seed"), poly4(F.pmod("uid", F.lit(PRIME)), Seed.of(s, 60)).alias("h")) for s in range(1, seeds + 1))))
+    near = c.df.withColumn("x", spread).where(F.col("x.h") < int(min(1.0, (2 * most + 50) / max(1, n)) * PRIME) + 1)
+    ranked = near.withColumn("place", F.row_number().over(Window.partitionBy("x.seed").orderBy("x.h", "uid"))).where(F.col("place") <= most)
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("place")
+        out = []
+        for size in sizes:
+            part = pdf.head(size)
+            found = [(i, v) for i, a in enumerate(attributes) for v in np.unique(part[a])]
+            codes = np.stack([part[attributes[i]].to_numpy() == v for i, v in found], axis=1).astype(np.int8)
+            picks = local_onehot(codes, list(range(len(found))), k)
+            out.append((size, int(pdf["seed"].iloc[0]), [{"a": int(found[p[1]][0]), "v": int(found[p[1]][1])} for p in picks]))
+        return pd.DataFrame(out, columns=["sample_rows", "seed", "picks"])
+
+    return ranked.select(F.col("x.seed").alias("seed"), "place", *attributes).groupBy("seed").applyInPandas(run, "sample_rows int, seed int, picks array<struct<a:int,v:long>>")
+
+
+def prefix_pairs(c: Codes, runs: list[tuple[int, list[tuple[int, int]]]]) -> DataFrame:
+    """run, k and the pairs of users that the first k features of each run separate: all runs and prefixes in one aggregate."""
+    def bits(picks: list[tuple[int, int]]) -> Column:
+        out = F.lit(0).cast("long")
+        for a, v in picks:
+            out = out * 2 + (F.col(c.attributes[a]) == v).cast("long")
+        return out
+
+    each = F.explode(F.array(*(F.struct(F.lit(run).alias("run"), F.lit(len(p)).alias("most"), bits(p).alias("cls")) for run, p in runs)))
+    classes = c.df.select(each.alias("x")).groupBy("x.run", "x.most", "x.cls").agg(F.count("*").alias("f"))
+    prefixes = classes.select("run", "f", F.explode(F.transform(F.sequence(F.lit(1), F.col("most")), lambda k: F.struct(k.alias("k"), F.call_function("shiftright", F.col("cls"), F.col("most") - k).alias("cls")))).alias("p"))
+    f = prefixes.groupBy("run", "p.k", "p.cls").agg(F.sum("f").alias("f"))
+    n2, squares = F.sum("f").cast("decimal(38,0)"), F.sum(F.col("f").cast("decimal(19,0)") * F.col("f").cast("decimal(19,0)"))
+    return f.groupBy("run", "k").agg(((n2 * n2 - squares) / 2).cast("long").alias("separated"))
+
+
 def onehot_pairs(w: Wide, cols: list[str]) -> DataFrame:
     """Pairs that a set of one-hot features separates on all users."""
     bits = [(w.feature(f.split(":", 1)[1].split("=", 1)[0], F.col(f.split(":", 1)[1].split("=", 1)[0])) == f).cast("int").alias(f"b{i}") for i, f in enumerate(cols)]

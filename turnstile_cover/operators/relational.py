@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
@@ -10,7 +12,7 @@ from ..sources.features import people
 from ..sources.matrix import net, net_sql, part_by_supplier, part_by_supplier_returns
 from ..sources.tables import read_updates, table, write_updates
 from . import l0
-from .checkpoints import shared_folder
+from .checkpoints import noted, shared_folder
 
 CATALOGUE: dict[str, tuple] = {}
 S1 = Seed.of(1)
@@ -365,7 +367,7 @@ def op_udtf_select(s: SparkSession, d: str) -> DataFrame:
 def op_io_roundtrip(s: SparkSession, d: str) -> DataFrame:
     u = net(part_by_supplier_returns(s, d)).withColumnRenamed("v", "c")
     for form in ("parquet", "orc", "json", "csv"):
-        path = f"{shared_folder(s)}/updates-{form}-{abs(hash(d)) % 10**8}"
+        path = noted(f"{shared_folder(s)}/updates-{form}-{uuid.uuid4().hex}")
         write_updates(u, path, form)
         u = read_updates(s, path, form)
     return u.select("i", "j", "c")

@@ -138,7 +138,68 @@ def entry_kept_sql(feature: str, rate: float, seed: int = 1) -> str:
 def bitmaps(flags: np.ndarray) -> np.ndarray:
     """Rows of flags as rows of 64-bit words."""
     packed = np.packbits(flags, axis=-1)
-    return np.pad(packed, [(0, 0), (0, -packed.shape[-1] % 8)]).view(np.uint64)
+    return np.ascontiguousarray(np.pad(packed, [(0, 0), (0, -packed.shape[-1] % 8)])).view(np.uint64)
+
+
+def difference(has: np.ndarray, own: list[int], everyone: np.ndarray, kept: np.ndarray | None = None) -> np.ndarray:
+    """Bitmaps of the users that differ from the target on each feature; own: the target's features."""
+    out = has.copy()
+    out[own] = ~has[own] & everyone
+    return out if kept is None else out & kept
+
+
+def greedy_bits(differs: np.ndarray, everyone: np.ndarray, k: int) -> tuple[list[int], list[int]]:
+    """Features picked and users won by each: k rounds over bitmaps, only words with open users are read again."""
+    gains, picks, won, open_ = np.bitwise_count(differs).sum(1, dtype=np.int64), [], [], everyone
+    for _ in range(min(k, len(differs))):
+        best = int(gains.argmax())
+        picks.append(best)
+        won.append(int(gains[best]))
+        open_ = open_ & ~differs[best]
+        some = np.flatnonzero(open_)
+        differs, open_ = differs[:, some], open_[some]
+        gains = np.bitwise_count(differs & open_).sum(1, dtype=np.int64)
+        gains[picks] = -1
+    return picks, won
+
+
+def sweep(w: Wide, users: DataFrame, k: int, rates: list[float], seeds: int, max_cells: int = 800_000_000, codes: Codes | None = None) -> DataFrame:
+    """uid, rate, seed, k and separated (of all users, by the first k features picked on the sample), for every target, rate and
+    seed in one pass: all users' bitmaps and each sample's go to the executors if they fit max_cells bits."""
+    c = codes or w.codes()
+    features = sorted((r["a"], r["v"]) for r in c.df.select(F.explode(c.pairs()).alias("x")).select("x.*").distinct().collect())  # the feature dictionary
+    n = c.df.count()
+    if n * len(features) * (1 + seeds * sum(rates)) > max_cells:
+        raise ValueError(f"{n} users, {len(features)} features and {seeds} seeds of rates {rates} do not fit {max_cells} cells: take fewer at a time")
+    table = c.df.select("uid", *w.attributes).toArrow()
+    flags = np.stack([table.column(w.attributes[a]).to_numpy() == v for a, v in features])
+    uids, samples = table.column("uid").to_numpy(), []
+    for rate in rates:
+        for seed in range(1, seeds + 1):
+            s = Seed.of(seed, 62).coefficients
+            x = uids % PRIME
+            inside = (((((s[0] * x + s[1]) % PRIME) * x + s[2]) % PRIME) * x + s[3]) % PRIME < int(rate * PRIME)
+            samples.append((rate, seed, bitmaps(flags[:, inside]), bitmaps(np.ones((1, int(inside.sum())), bool))[0]))
+    attributes = w.attributes
+    shared = w.df.sparkSession.sparkContext.broadcast((features, bitmaps(flags), bitmaps(np.ones((1, n), bool))[0], samples))
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        features, has, everyone, samples = shared.value
+        place = {f: i for i, f in enumerate(features)}
+        for pdf in batches:
+            out = []
+            for uid, row in zip(pdf["uid"], zip(*(pdf[a] for a in attributes), strict=True), strict=True):
+                own = [place[x] for x in enumerate(row)]
+                mine = set(own)
+                for rate, seed, part, all_ in samples:
+                    left = everyone
+                    for r, f in enumerate(greedy_bits(difference(part, own, all_), all_, k)[0]):
+                        left = left & (has[f] if f in mine else ~has[f])
+                        out.append((uid, rate, seed, r + 1, n - int(np.bitwise_count(left).sum())))
+            yield pd.DataFrame(out, columns=["uid", "rate", "seed", "k", "separated"])
+
+    targets = c.df.join(users.select("uid"), "uid", "left_semi").select("uid", *w.attributes)
+    return targets.repartition(8 * w.df.sparkSession.sparkContext.defaultParallelism).mapInPandas(run, f"uid {c.df.schema['uid'].dataType.simpleString()}, rate double, seed int, k int, separated long")
 
 
 def fingerprint_all(w: Wide, users: DataFrame, k: int, row_rate: float, seed: int = 1, max_cells: int = 400_000_000, entry_rate: float = 1.0, codes: Codes | None = None) -> DataFrame:
@@ -167,22 +228,8 @@ def fingerprint_all(w: Wide, users: DataFrame, k: int, row_rate: float, seed: in
         place = {f: i for i, f in enumerate(features)}
         for pdf in batches:
             out = []
-            rows = zip(*(pdf[a] for a in attributes), strict=True)
-            for uid, row in zip(pdf["uid"], rows, strict=True):
-                own = [place[x] for x in enumerate(row)]
-                differs = has.copy()
-                differs[own] = ~has[own] & everyone
-                if kept is not None:
-                    differs &= kept
-                gains, picks, won, open_ = np.bitwise_count(differs).sum(1, dtype=np.int64), [], [], everyone
-                for _ in range(min(k, len(names))):
-                    best = int(gains.argmax())
-                    picks.append(best)
-                    won.append(int(gains[best]))
-                    open_ = open_ & ~differs[best]
-                    left = np.flatnonzero(open_)  # words with open users
-                    gains = np.bitwise_count(differs[:, left] & open_[left]).sum(1, dtype=np.int64)
-                    gains[picks] = -1
+            for uid, row in zip(pdf["uid"], zip(*(pdf[a] for a in attributes), strict=True), strict=True):
+                picks, won = greedy_bits(difference(has, [place[x] for x in enumerate(row)], everyone, kept), everyone, k)
                 out.append((uid, [names[x] for x in picks], won, sum(won)))
             yield pd.DataFrame(out, columns=["uid", "cols", "gains", "separated_in_sample"])
 

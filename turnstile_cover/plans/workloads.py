@@ -21,48 +21,60 @@ def clock(make):
     return out, time.perf_counter() - t
 
 
-def targeted_sweep(spark: SparkSession, d: str, name: str, rates: list[float], k: int = 7, seeds: int = 10, every: int = 500) -> DataFrame:
-    """rate, seed, mean percent separated on all users, seconds of all targets, targets: users whose id is divisible by every.
+def targeted_sweep(spark: SparkSession, d: str, name: str, rates: list[float], k: int = 7, seeds: int = 10) -> DataFrame:
+    """workload, rate, k, mean and least percent of the other users that a target's first k features separate, over every user of
+    the table as target and all seeds."""
+    w = WIDE[name](spark, d)
+    c = w.codes()
+    n = c.df.count()
+    rows = targeted.sweep(w, c.df.select("uid"), k, rates, seeds, codes=c)
+    pct = 100 * F.col("separated") / max(1, n - 1)
+    return rows.groupBy("rate", "k").agg(F.avg(pct).alias("pct"), F.min(pct).alias("least"), F.countDistinct("uid").alias("targets"), F.countDistinct("seed").alias("seeds")).withColumn("workload", F.lit(name))
+
+
+def targeted_times(spark: SparkSession, d: str, name: str, rates: list[float], k: int = 7, targets: int = 200) -> DataFrame:
+    """rate, seconds a target with the sample built, of the build, and of the exact method for the same targets (rate 1) over them.
 
-    The percent is measured on the whole table: each target's features are applied to all users in one join.
+    All rates run the same code on the same targets (the users of the smallest hashes), so a speedup compares equal work.
     """
+    w = WIDE[name](spark, d)
+    c = w.codes()
+    users = c.df.orderBy(F.xxhash64("uid"), "uid").limit(targets).select("uid")
+    rows, base = [], None
+    for rate in [1.0, *rates]:
+        _, build = clock(lambda r=rate: targeted.fingerprint_all(w, users.limit(0), k, r, codes=c).count())
+        _, whole = clock(lambda r=rate: targeted.fingerprint_all(w, users, k, r, codes=c).write.format("noop").mode("overwrite").save())
+        each = max(1e-9, whole - build) / targets
+        base = base or (each, whole)
+        rows.append((name, rate, each, build, base[0] / each, base[1] / whole))
+    return spark.createDataFrame(rows, "workload string, rate double, seconds_a_target double, build_seconds double, speedup double, speedup_with_build double")
+
+
+def targeted_baseline(spark: SparkSession, d: str, name: str, k: int = 7, users: tuple[int, ...] = (0,)) -> DataFrame:
+    """The exact method for single targets, a scan a round: uid, seconds, percent separated."""
     w, rows = WIDE[name](spark, d), []
-    users = w.df.where(F.col("uid") % every == 0).select("uid")
-    n = w.df.count()
-    for rate in rates:
-        for seed in range(seeds):
-            picks, s = clock(lambda r=rate, x=seed: targeted.fingerprint_all(w, users, k, r, x).toPandas())
-            chosen = spark.createDataFrame([(int(u), list(c)) for u, c in zip(picks["uid"], picks["cols"], strict=True)], "t long, cols array<string>")
-            own = w.df.select(F.col("uid").alias("t"), F.array(*(w.feature(a, F.col(a)) for a in w.attributes)).alias("mine")).join(chosen, "t")
-            compared = w.df.select("uid", F.array(*(w.feature(a, F.col(a)) for a in w.attributes)).alias("fs")).crossJoin(F.broadcast(own)).where("uid <> t")
-            same = F.forall("cols", lambda c: F.array_contains("fs", c) == F.array_contains("mine", c))
-            pct = compared.groupBy("t").agg(F.count_if(~same).alias("s")).agg(F.avg(100 * F.col("s") / (n - 1))).first()[0]
-            rows.append((name, rate, seed, float(pct or 0.0), s, len(picks)))
-    return spark.createDataFrame(rows, "workload string, rate double, seed int, pct double, seconds double, targets int")
-
-
-def targeted_baseline(spark: SparkSession, d: str, name: str, k: int = 7, every: int = 5000) -> DataFrame:
-    """The exact method for single targets: uid, seconds, percent separated."""
-    w, rows = WIDE[name](spark, d), []
-    n = w.df.count()
-    for u in [r[0] for r in w.df.where(F.col("uid") % every == 0).select("uid").orderBy("uid").limit(3).collect()]:
-        got, s = clock(lambda x=u: targeted.exact(w, x, k).collect())
-        rows.append((name, int(u), s, 100.0 * got[-1]["total"] / (n - 1)))
+    c = w.codes()
+    n = c.df.count()
+    for u in users:
+        got, s = clock(lambda x=u: targeted.exact(w, x, k, codes=c).collect())
+        rows.append((name, int(u), s, 100.0 * got[-1]["total"] / (n - 1) if got else float("nan")))
     return spark.createDataFrame(rows, "workload string, uid long, seconds double, pct double")
 
 
-def general_sweep(spark: SparkSession, d: str, name: str, rows: list[int] | None = None, shares: list[float] | None = None, k: int = 10, seeds: int = 10) -> DataFrame:
-    """rows, seed, ratio of pairs separated to exact greedy's, seconds of both."""
+def general_sweep(spark: SparkSession, d: str, name: str, rows: list[int] | None = None, shares: list[float] | None = None, k: int = 20, seeds: int = 10) -> DataFrame:
+    """workload, sample_rows, k, mean and least ratio of pairs separated to exact greedy's, over all seeds, for every k up to k."""
     w = WIDE[name](spark, d)
-    n = w.df.count()
-    exact, base_s = clock(lambda: fingerprint.greedy_onehot(w, k, n).collect())
-    out = []
-    for r in rows or [max(2, round(x * n)) for x in shares or []]:
-        for seed in range(seeds):
-            picked, s = clock(lambda r=r, x=seed: [p["col"] for p in fingerprint.select_rowhash(w, k, r, x, n).orderBy("round").collect()])
-            ours = fingerprint.onehot_pairs(w, picked).first()[0]
-            out.append((name, r, seed, k, ours / exact[-1]["total"], s, base_s))
-    return spark.createDataFrame(out, "workload string, sample_rows int, seed int, k int, ratio double, seconds double, exact_seconds double")
+    c = w.codes()
+    n = c.df.count()
+    exact = {r["round"]: r["total"] for r in fingerprint.greedy_onehot(w, k, n, c).collect()}
+    sizes = rows or [max(2, round(x * n)) for x in shares or []]
+    runs = [(r["sample_rows"], r["seed"], [(p["a"], p["v"]) for p in r["picks"]]) for r in fingerprint.sweep_rowhash(c, k, sizes, seeds, n).collect()]  # a row a run
+    pairs = fingerprint.prefix_pairs(c, [(i, picks) for i, (_, _, picks) in enumerate(runs)])
+    named = spark.createDataFrame([(i, size, seed) for i, (size, seed, _) in enumerate(runs)], "run int, sample_rows int, seed int")
+    best = spark.createDataFrame(sorted(exact.items()), "k int, exact long")
+    ratio = F.col("separated") / F.col("exact")
+    both = pairs.join(F.broadcast(named), "run").join(F.broadcast(best), "k")
+    return both.groupBy("sample_rows", "k").agg(F.avg(ratio).alias("ratio"), F.min(ratio).alias("least"), F.count("*").alias("seeds")).withColumn("workload", F.lit(name))
 
 
 def cluster_table(spark: SparkSession, d: str, name: str = "W1", xs: tuple[int, ...] = (3, 4, 5)) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from dataclasses import replace
 from functools import reduce
@@ -14,7 +15,7 @@ from .operators.relational import CATALOGUE
 from .plans import workloads
 from .plans.params import Params
 from .sources import features
-from .sources.matrix import WORKLOADS, net, net_sql
+from .sources.matrix import WORKLOADS, change_to_updates, net, net_sql
 from .sources.tables import table
 from .streaming import streams
 
@@ -292,6 +293,16 @@ add("insertion_only_vs_turnstile", lambda s, d: _insertion_only(s, d, lambda u,
 add("insertion_only_bitmap", lambda s, d: baselines.bitmap_union(C1[0](s, d), [1, 2, 3]), "SELECT count(DISTINCT l_partkey)::BIGINT AS estimate FROM lineitem WHERE l_suppkey IN (1, 2, 3)")
 add("large_small_rows", lambda s, d: rowsample.large_and_small(net(C1T[0](s, d)), P1), f"SELECT count(*) FILTER (n * {P1.k} >= {P1.d})::BIGINT AS large_rows, count(*) FILTER (n * {P1.k} < {P1.d})::BIGINT AS small_rows, coalesce(sum(n) FILTER (n * {P1.k} >= {P1.d}), 0)::BIGINT AS large_entries, coalesce(sum(n) FILTER (n * {P1.k} < {P1.d}), 0)::BIGINT AS small_entries FROM (SELECT i, count(*) AS n FROM ({net_sql('c1t')}) GROUP BY i)")
 add("row_isolation", lambda s, d: rowsample.isolation(net(C1T[0](s, d)), P1), rowsample.isolation_sql(net_sql("c1t"), P1))
+add("pair_ratio_f1", lambda s, d: measures.pair_ratio(features.people(s, d), ["nation", "month"], ["nation", "month", "pricebin"], onehot=False).select("ours", "separated", "ratio"), f"WITH w AS ({PEOPLE.sql}), a AS (SELECT ((sum(f)::HUGEINT * sum(f) - sum(f * f)) // 2)::BIGINT AS ours FROM (SELECT count(*)::HUGEINT AS f FROM w GROUP BY nation, month)), b AS (SELECT ((sum(f)::HUGEINT * sum(f) - sum(f * f)) // 2)::BIGINT AS separated FROM (SELECT count(*)::HUGEINT AS f FROM w GROUP BY nation, month, pricebin)) SELECT ours, separated, round(ours / separated, 6) AS ratio FROM a, b")
+add("purity_sources", lambda s, d: measures.purity(table(s, d, "documents").withColumnRenamed("source", "prediction")), "SELECT round(sum(m) / sum(n), 6) AS accuracy, round(1 - sum(m) / sum(n), 6) AS error FROM (SELECT source, max(c) AS m, sum(c) AS n FROM (SELECT source, lang, count(*) AS c FROM documents GROUP BY ALL) GROUP BY source)")
+add("loss_split_c1", lambda s, d: measures.loss_split(C1[0](s, d), P1, [1, 2], [3, 4], [5, 6]), "SELECT count(DISTINCT i) FILTER (j IN (1, 2))::BIGINT AS answer, count(DISTINCT i) FILTER (j IN (3, 4))::BIGINT AS sample_greedy, count(DISTINCT i) FILTER (j IN (5, 6))::BIGINT AS full_greedy FROM (SELECT l_partkey AS i, l_suppkey AS j FROM lineitem)")
+add("l0_error_over_seeds", lambda s, d: measures.over_seeds(lambda x: measures.l0_error(C1T[0](s, d), "j", seed=x).agg(F.max("rel_err").alias("worst")), "worst").select((F.col("p95") < 0.15).alias("within_15_percent")), "SELECT true AS within_15_percent")
+add("update_fanout", lambda s, d: s.createDataFrame([tuple(measures.fanout(P1).values())], "recovery int, l0 int"), "SELECT 9::INT AS recovery, 3::INT AS l0")
+add("kmeans_random_letters", lambda s, d: cluster.kmeans_random(*features.letter_frequencies(s, d), 4, 4).groupBy().agg(F.count("*").alias("n"), (F.countDistinct("prediction") <= 4).alias("at_most_4")), "SELECT count(*)::BIGINT AS n, true AS at_most_4 FROM documents WHERE length(text) >= 200")
+add("kmeans_random_start", lambda s, d: cluster.reduce_and_cluster(*features.letter_frequencies(s, d), 4, init="random").groupBy().agg(F.count("*").alias("n"), (F.countDistinct("prediction") <= 4).alias("at_most_4")), "SELECT count(*)::BIGINT AS n, true AS at_most_4 FROM documents WHERE length(text) >= 200")
+add("evolving_features_f3", lambda s, d: features.evolving(s, d).df, features.EVOLVING.sql)
+add("general_exact_f3", lambda s, d: fingerprint.greedy_raw(features.evolving(s, d), 3), fingerprint.greedy_raw_sql(features.EVOLVING, 3))
+add("experiment_kmeans_vectors", lambda s, d: workloads.cluster_table(s, d, "W2", (8,)).select("workload", "x", "method", "accuracy"))
 add("coverage_ratio", lambda s, d: measures.ratio(C1[0](s, d), [1, 2, 3], [98, 26, 16]), "SELECT count(DISTINCT i) FILTER (j IN (1, 2, 3))::BIGINT AS covered, count(DISTINCT i) FILTER (j IN (98, 26, 16))::BIGINT AS reference, round(count(DISTINCT i) FILTER (j IN (1, 2, 3))::DOUBLE / nullif(count(DISTINCT i) FILTER (j IN (98, 26, 16)), 0), 6) AS ratio FROM (SELECT l_partkey AS i, l_suppkey AS j FROM lineitem)")
 add("sketch_size_c1t", _sketch_size, f"SELECT count(*)::BIGINT AS cells, {P1.n * P1.d} AS matrix_cells, round(count(*)::DOUBLE / {P1.n * P1.d}, 6) AS share FROM ({coverage.sketch_sql(C1T[1], P1)})")
 
@@ -333,8 +344,6 @@ add("submodular_custom_c1", _custom_greedy, f"WITH b AS MATERIALIZED ({_BEST}),
 
 
 def _stream(s: SparkSession, d: str, name: str, make: Callable[[DataFrame], DataFrame], mode: str = "append") -> DataFrame:
-    import uuid
-
     from .operators.checkpoints import shared_folder
 
     run = f"{name}_{uuid.uuid4().hex}"
@@ -343,8 +352,6 @@ def _stream(s: SparkSession, d: str, name: str, make: Callable[[DataFrame], Data
 
 
 def _cells_stream(s: SparkSession, d: str) -> DataFrame:
-    import uuid
-
     from .operators.checkpoints import shared_folder
 
     folder = f"{shared_folder(s)}/cells_{uuid.uuid4().hex}"
@@ -360,14 +367,12 @@ _S = "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 12
 add("stream_session_users", lambda s, d: _stream(s, d, "sessions", streams.sessions, "complete"), _S)
 add("stream_dedup", lambda s, d: _stream(s, d, "dedup", lambda e: streams.deduplicated(e).select("event_id", "user_id")), "SELECT DISTINCT event_id, user_id FROM events")
 add("op_stream_static_join", lambda s, d: _stream(s, d, "static", lambda e: e.join(table(s, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_nationkey"), "user_id").select("event_id", "c_nationkey")), "SELECT event_id, c_nationkey FROM events JOIN customer ON user_id = c_custkey")
-add("op_stream_stateful", lambda s, d: _stream(s, d, "stateful", streams.changes).select("event_type", "c").groupBy("event_type").agg(F.count("*").alias("n")), "SELECT event_type, count(*)::BIGINT AS n FROM events GROUP BY 1")
+add("op_stream_stateful", lambda s, d: _stream(s, d, "stateful", streams.changes).select("user_id", "event_type", "event_id", "c"), "SELECT user_id, event_type, event_id, k - coalesce(lag(k) OVER (PARTITION BY user_id, event_type ORDER BY ts, event_id), 0) AS c FROM (SELECT *, CAST(props->>'$.k' AS BIGINT) AS k FROM events)")
 
 
 def _late(s: SparkSession, d: str) -> DataFrame:
     """The first week arrives after everything else, a day's delay allowed."""
     import time
-    import uuid
-
     from .operators.checkpoints import shared_folder
 
     folder = f"{shared_folder(s)}/late_{uuid.uuid4().hex}"
@@ -388,9 +393,38 @@ def _stream_pairs(e: DataFrame) -> DataFrame:
 
 
 add("op_stream_stream_join", lambda s, d: _stream(s, d, "pairs", _stream_pairs), "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 6 HOUR WHERE a.event_type = 'signup' AND b.event_type = 'purchase'")
-ORACLE["value_change_updates"] = ORACLE["op_win_lag_change"]
-QUERIES["value_change_updates"] = QUERIES["op_win_lag_change"]
-add("experiment_targeted", lambda s, d: workloads.targeted_sweep(s, d, "F1", [0.1, 0.6], seeds=1).select("rate", "seed", F.round("pct", 3).alias("pct"), "targets"))
-add("experiment_general", lambda s, d: workloads.general_sweep(s, d, "F1", rows=[300, 1250], seeds=1).select("sample_rows", "seed", F.round("ratio", 4).alias("ratio")))
+
+
+def _changes(s: SparkSession, d: str) -> DataFrame:
+    e = table(s, d, "events").select("user_id", F.lit(0).alias("f"), "ts", "event_id", F.get_json_object("props", "$.k").cast("long").alias("k"))
+    return net(change_to_updates(e, "user_id", "f", "k", ["ts", "event_id"])).select("i", "v")
+
+
+add("value_change_updates", _changes, "SELECT user_id AS i, arg_max(CAST(props->>'$.k' AS BIGINT), (ts, event_id)) AS v FROM events GROUP BY user_id HAVING v <> 0")
+
+
+def _monitored(s: SparkSession, d: str) -> DataFrame:
+    """After every batch of the stream: users with a nonzero entry of each key, from the state alone."""
+    from .operators.checkpoints import shared_folder
+
+    folder = f"{shared_folder(s)}/monitor_{uuid.uuid4().hex}"
+    events = streams.read_stream(s, streams.stage_events(s, d, f"in_{uuid.uuid4().hex}"))
+    risk = streams.monitor(events, streams.column_cells, lambda cells: l0.estimate(cells, ["j"], 256), folder)
+    return risk.where(F.col("batch") == risk.agg(F.max("batch")).first()[0]).select("j", "l0")
+
+
+add("stream_monitor_risk", _monitored, l0.estimate_sql(l0.build_sql(WORKLOADS["c4t"][1], "j", slots=256, reps=1, levels=12), "j", 256))
+
+
+def _swept(df: DataFrame, *by: str, value: str) -> DataFrame:
+    return df.select("workload", *by, F.round(value, 4).alias(value), F.round("least", 4).alias("least"), "seeds")
+
+
+RATES, ROWS, SHARES = [0.1, 0.2, 0.4, 0.6], [300, 600, 900, 1250], [0.022, 0.073, 0.163]
+add("experiment_targeted", lambda s, d: _swept(workloads.targeted_sweep(s, d, "F1", RATES), "rate", "k", "targets", value="pct"))
+add("experiment_targeted_f2", lambda s, d: _swept(workloads.targeted_sweep(s, d, "F2", [0.1]), "rate", "k", "targets", value="pct"))
+add("experiment_targeted_evolving", lambda s, d: _swept(workloads.targeted_sweep(s, d, "F3", RATES, k=3), "rate", "k", "targets", value="pct"))
+add("experiment_general", lambda s, d: _swept(workloads.general_sweep(s, d, "F1", rows=ROWS), "sample_rows", "k", value="ratio"))
+add("experiment_general_f2", lambda s, d: _swept(workloads.general_sweep(s, d, "F2", shares=SHARES), "sample_rows", "k", value="ratio"))
 add("experiment_coverage", lambda s, d: workloads.coverage_table(s, d).select("method", F.round("ratio", 4).alias("ratio")))
 add("experiment_moments", lambda s, d: workloads.moment_table(s, d).select("col", "p", "branch", F.round("rel_err", 6).alias("rel_err")))

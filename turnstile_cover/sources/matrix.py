@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
@@ -69,11 +70,12 @@ def word_by_source(spark: SparkSession, d: str, by: str = "source") -> DataFrame
 
 
 def vector_neighbours(spark: SparkSession, d: str, at_least: float = 0.2) -> DataFrame:
-    """Vectors within a cosine of each other; the vectors come in pairs of hashed blocks, so no side is broadcast."""
+    """Vectors within a cosine of each other; the vectors come in pairs of hashed blocks whose number follows theirs, so no side is
+    broadcast and no task grows."""
     e = table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))
     e = e.withColumn("n", norm)
-    blocks = 8
+    blocks = max(4, math.ceil(e.count() / 2048))  # a pair of blocks is one task's work, however many vectors there are
     b = F.pmod(F.xxhash64("vec_id"), F.lit(blocks))
     left = e.select(F.col("vec_id").alias("i"), F.col("v").alias("x"), F.col("n").alias("nx"), b.alias("p"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("q"))
     right = e.select(F.col("vec_id").alias("j"), F.col("v").alias("y"), F.col("n").alias("ny"), b.alias("q"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("p"))

@@ -7,6 +7,7 @@ and NTZ timestamps are cast first, since watermarks refuse them.
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -38,15 +39,22 @@ def read_stream(spark: SparkSession, path: str, per_trigger: int = 1) -> DataFra
 
 
 def run_to_end(out: DataFrame, folder: str, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what there is into a Parquet sink (append), or a memory table (complete), and read it."""
+    """Run a stream over what there is into a Parquet sink and read it; complete: every batch writes the whole result under its own
+    number, and the last one is read, so nothing is held by the driver and a repeated batch overwrites itself."""
     spark = out.sparkSession
     if mode == "append":
         q = out.writeStream.format("parquet").option("path", f"{folder}/{name}").option("checkpointLocation", f"{folder}/{name}-log").trigger(availableNow=True).start()
         q.awaitTermination()
         return spark.read.schema(out.schema).parquet(f"{folder}/{name}")
-    q = out.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{folder}/{name}-log").trigger(availableNow=True).start()
+    last = [0]
+
+    def write(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/{name}/at={n}")
+        last[0] = n
+
+    q = out.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{folder}/{name}-log").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(out.schema).parquet(f"{folder}/{name}/at={last[0]}")
 
 
 def maintain(stream: DataFrame, build: Callable[[DataFrame], DataFrame], folder: str) -> None:
@@ -64,6 +72,24 @@ def snapshot(spark: SparkSession, folder: str) -> DataFrame:
     return merge(spark.read.parquet(f"{folder}/state").drop("batch"))
 
 
+def compact(spark: SparkSession, folder: str) -> int:
+    """All increments but the newest become one, so a snapshot reads few files; how many went. Call it between runs of the
+    stream: the newest batch may be repeated after a restart and must overwrite its own increment."""
+    state = spark.read.parquet(f"{folder}/state")
+    batches = sorted(r[0] for r in state.select("batch").distinct().collect())
+    if len(batches) < 3:
+        return 0
+    old, keep = batches[:-1], batches[-2]
+    path = f"{folder}/compacted-{uuid.uuid4().hex}"
+    merge(state.where(F.col("batch") <= keep).drop("batch")).write.parquet(path)
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    fs = jvm.org.apache.hadoop.fs.Path(folder).getFileSystem(conf)
+    for b in old:
+        fs.delete(jvm.org.apache.hadoop.fs.Path(f"{folder}/state/batch={b}"), True)
+    fs.rename(jvm.org.apache.hadoop.fs.Path(path), jvm.org.apache.hadoop.fs.Path(f"{folder}/state/batch={keep}"))
+    return len(old) - 1
+
+
 def monitor(stream: DataFrame, build: Callable[[DataFrame], DataFrame], answer: Callable[[DataFrame], DataFrame], folder: str) -> DataFrame:
     """After every batch the state grows and answer(state) is kept as that batch's risk rows."""
     spark = stream.sparkSession
@@ -102,16 +128,15 @@ def deduplicated(events: DataFrame, late: str = "40 days") -> DataFrame:
 
 
 def changes(events: DataFrame) -> DataFrame:
-    """Value changes of (user, type) in arrival order, as updates new - old, with state kept by key."""
-    keyed = events.select("user_id", "event_type", "event_id", F.get_json_object("props", "$.k").cast("long").alias("k"))
+    """Value changes of (user, type) in order of time, as updates new - old, with state kept by key."""
+    keyed = events.select("user_id", "event_type", "event_id", F.unix_micros("ts").alias("us"), F.get_json_object("props", "$.k").cast("long").alias("k"))
 
     def step(key, pdfs: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         old = state.get[0] if state.exists else 0
         out = []
-        for pdf in pdfs:
-            for e, k in pdf[["event_id", "k"]].sort_values("event_id").itertuples(index=False):
-                out.append((key[0], key[1], e, int(k) - old))
-                old = int(k)
+        for e, k in pd.concat(list(pdfs)).sort_values(["us", "event_id"])[["event_id", "k"]].itertuples(index=False):
+            out.append((key[0], key[1], e, int(k) - old))
+            old = int(k)
         state.update((old,))
         yield pd.DataFrame(out, columns=["user_id", "event_type", "event_id", "c"])
 
