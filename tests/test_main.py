@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from turnstile_cover import queries as Q
 from turnstile_cover.functions.hashing import PRIME, Seed, poly4
-from turnstile_cover.operators import baselines, cells, countsketch, coverage, fingerprint, greedy, l0, l0sampler, measures, moments, rowsample, targeted
+from turnstile_cover.operators import baselines, cells, countsketch, coverage, fingerprint, generalsketch, greedy, l0, l0sampler, measures, moments, rowsample, targeted
+from turnstile_cover.plans import workloads
 from turnstile_cover.plans.params import Params, moment_samples
 from turnstile_cover.sources import features
 from turnstile_cover.sources.matrix import WORKLOADS, change_to_updates, encode_column, net
@@ -153,6 +154,124 @@ def test_all_users_are_targets(spark):
     assert {tuple(r) for r in Q.QUERIES["targeted_all_users"](spark, d).collect()} == want
 
 
+def test_sweeps_equal_plain_counts(spark):
+    d = "/root/testdata/sf0.001"
+    w = features.people(spark, d)
+    c = w.codes()
+    n = c.df.count()
+    swept = targeted.sweep(w, c.df.where("uid < 40").select("uid"), 4, [0.3], 2, codes=c).where("seed = 2")
+    got = {(r["uid"], r["k"]): r["separated"] for r in swept.collect()}
+    own = {}
+    for uid, f in w.long().collect():
+        own.setdefault(uid, set()).add(f)
+    picks = targeted.fingerprint_all(w, c.df.where("uid < 40").select("uid"), 4, 0.3, 2, codes=c).collect()
+    for r in picks:
+        for k in range(1, 5):
+            cols = r["cols"][:k]
+            same = sum({f for f in cols if f in own[u]} == {f for f in cols if f in own[r["uid"]]} for u in own)
+            assert got[r["uid"], k] == n - same
+    runs = [(0, [(3, 5), (5, 2), (0, 1)]), (1, [(4, 1995)])]
+    pairs = {(r["run"], r["k"]): r["separated"] for r in fingerprint.prefix_pairs(c, runs).collect()}
+    for run, chosen in runs:
+        for k in range(1, len(chosen) + 1):
+            names = [c.name(w.attributes[a], v) for a, v in chosen[:k]]
+            assert pairs[run, k] == fingerprint.onehot_pairs(w, names).first()[0]
+    swept = {(r["sample_rows"], r["seed"]): [c.name(w.attributes[p["a"]], p["v"]) for p in r["picks"]] for r in fingerprint.sweep_rowhash(c, 5, [100, 300], 2, n).collect()}
+    for (size, seed), names in swept.items():
+        alone = fingerprint.select_rowhash(w, 5, size, seed, n).orderBy("round").collect()
+        assert [r["col"] for r in alone] == names
+    table = workloads.general_sweep(spark, d, "F1", rows=[300], k=6, seeds=2).collect()
+    assert len(table) == 6 and all(0.8 < r["least"] <= r["ratio"] <= 1.001 for r in table)
+    assert {r["targets"] for r in workloads.targeted_sweep(spark, d, "F3", [0.6], k=2, seeds=2).collect()} == {spark.read.parquet(f"{d}/events.parquet").select("user_id").distinct().count()}
+
+
+def test_general_sketch_is_linear_and_selects(spark):
+    d = "/root/testdata/sf0.001"
+    w = features.people(spark, d)
+    u, users = Q.five_columns(w), w.df.select(F.col("uid").alias("i"))
+    n = users.count()
+    rng = u.withColumn("wrong", F.col("c") + 3)
+    there_and_back = u.unionByName(rng.select("i", "j", F.col("wrong").alias("c"))).unionByName(rng.select("i", "j", (-F.col("wrong")).alias("c"))).repartition(7)
+    for sampler in ("l0", "rowhash"):
+        sizes = generalsketch.GeneralSizes(n, sampler, size=256, rows=600, slots=256, levels=12)
+        whole, again = (generalsketch.build(x, users, sizes) for x in (u, there_and_back))
+        parts = generalsketch.merged(*(generalsketch.build(u.where(f"i % 2 = {x}"), users, sizes) for x in (0, 1)))
+        for a, b, c in zip(whole.tables(), again.tables(), parts.tables(), strict=True):
+            assert rows(a) == rows(b) == rows(c)
+        picked = [r["col"] for r in generalsketch.select(there_and_back, users, 2, sizes).orderBy("round").collect()]
+        best = [r["total"] for r in fingerprint.greedy_raw(w, 2).collect()]
+        assert fingerprint.separated_pairs(w.df, [Q.FIVE[x] for x in picked]).first()[0] >= 0.8 * best[1]
+    with pytest.raises(ValueError):
+        generalsketch.select(u, users, 3, sizes, copies=2)
+
+
+def test_wide_ids_and_upper_row_levels(spark):
+    base = 1 << 39
+    u = spark.range(3000).select((F.lit(base) + F.col("id") * 977).alias("i"), (F.col("id") % 50 * 19_999).alias("j"), F.lit(1).cast("long").alias("c"))
+    u = u.unionByName(u.where("i % 10 = 0").withColumn("c", -F.col("c")))
+    p = Params.explicit(1 << 40, 10**6, 5, 10, 2000, buckets=32, slots=96, levels=8)
+    assert p.wide and not Q.P1.wide
+    found = coverage.recover(coverage.build_sketch(u, p)[0], p)
+    a = net(u)
+    assert found.select("i", "j").join(a, ["i", "j"], "left_anti").count() == 0 and found.where("m = 0").count() > 0.8 * a.count()
+    cols = coverage.max_coverage_batch(u, p).first()["cols"]
+    full = [r["col"] for r in greedy.cover_df(a, 5).collect()]
+    assert measures.ratio(a, list(cols), full).first()["ratio"] > 0.9
+    with pytest.raises(ValueError):
+        Params.practical(1 << 50, 1 << 20, 3)
+    # dense rows overfill the tables of row level 0, so an upper level answers
+    dense = spark.range(6000).select((F.col("id") % 600).alias("i"), (F.col("id") * 7 % 40).alias("j"), F.lit(1).cast("long").alias("c"))
+    small = Params.explicit(600, 40, 2, 40, 10_000, buckets=1, slots=24, levels=6, reps=1)
+    m = coverage.pick_level(cells.expand(cells.expand(coverage.build_sketch(dense, small)[0], "rlvl"), "elvl"), small).where("rlvl = 0").first()["elvl"]
+    assert m > 0 and coverage.max_coverage_batch(dense, small).first()["m"] > 0
+
+
+def test_measures(spark):
+    assert measures.speedup(10.0, 2.0, 3.0) == {"speedup": 5.0, "speedup_with_build": 2.0}
+    assert measures.timed(lambda: spark.range(10)) > 0 and measures.fanout(Q.P1) == {"recovery": 9, "l0": 3}
+    assert measures.exchange_bytes(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count()) > 0
+    one = lambda x: spark.createDataFrame([(x,)], "complement double")
+    assert measures.rel_err(one(9.0), one(10.0)).first()["rel_err"] == 0.1
+    over = measures.over_seeds(lambda s: spark.createDataFrame([(float(s),)], "v double"), "v", range(5)).first()
+    assert (over["mean"], over["least"]) == (2.0, 0.0)
+    x = spark.createDataFrame([(1, 0, 60.0, 50.0), (2, 0, 1.0, 50.0), (0, 0, 30.0, 50.0)], "x long, b long, f double, f_b double")
+    assert [r["x"] for r in moments.keep_large(x, 100, 0.9).collect()] == [1]
+    u = spark.createDataFrame([(i, 0, 1) for i in range(30)] + [(i, 1, 1) for i in range(4000)], "i long, j long, c long")
+    small = {r["j"]: (r["exact"], r["l0"]) for r in l0.exact_small(l0sampler.build(u, ["j"]), ["j"]).collect()}
+    assert small[0] == (True, 30) and small.get(1, (False, None)) == (False, None)
+    got = l0sampler.draw(l0sampler.build(u, ["j"]), ["j"]).collect()
+    assert len(got) == 2 and all(r["v"] == 1 and r["status"] == "OK" for r in got)
+
+
+def test_shared_folder_and_release(spark):
+    from turnstile_cover.operators import checkpoints
+
+    at = checkpoints.mark()
+    a, b = checkpoints.cut(spark.range(5)), checkpoints.cut(spark.range(6))
+    assert checkpoints.release(spark, at, keep=(b,)) == 1 and b.count() == 6
+    with pytest.raises(Exception, match="(?i)not exist|not found"):
+        a.count()
+
+    class Far:
+        conf = type("C", (), {"get": staticmethod(lambda *x: None)})
+        sparkContext = type("S", (), {"master": "spark://x", "getConf": staticmethod(lambda: type("D", (), {"get": staticmethod(lambda *x: None)}))})
+
+    with pytest.raises(RuntimeError, match="checkpoint"):
+        checkpoints.shared_folder(Far())
+
+
+def test_stream_increments_compact(spark, sf):
+    import uuid
+
+    from turnstile_cover.operators.checkpoints import shared_folder
+    from turnstile_cover.streaming import streams
+
+    folder = f"{shared_folder(spark)}/compact_{uuid.uuid4().hex}"
+    streams.maintain(streams.read_stream(spark, streams.stage_events(spark, sf, f"in_{uuid.uuid4().hex}")), streams.column_cells, folder)
+    before = rows(streams.snapshot(spark, folder))
+    assert streams.compact(spark, folder) >= 1 and rows(streams.snapshot(spark, folder)) == before
+
+
 def test_moment_branches(spark):
     got = {r["name"]: r["branch"] for r in Q.QUERIES["complement_branches"](spark, "").collect()}
     assert got["all_distinct"] == "all_small" and got["heavy"] == "dominant" and got["half"] == "middle"
