@@ -162,6 +162,16 @@ class SignatureTree:
                 links.append((i, j))
 
 
+def held_rows(batches: Iterator[pa.RecordBatch], wanted: bitfilter.BitFilter, rows: int = 256) -> Iterator[pa.RecordBatch]:
+    """Rows whose key k is wanted, a few at a time: a batch's texts are never copied at once."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            part = batch.slice(at, rows)
+            hold = wanted.holds(part.column("k").to_numpy(zero_copy_only=False))
+            if hold.any():
+                yield part if hold.all() else part.filter(pa.array(hold))
+
+
 def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, reserve: float | None = None) -> DataFrame:
     """Per row: doc_id, text_key, n_shingles and component_id, the smallest id that links reach.
 
@@ -194,8 +204,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     hashed = source.where("doc_id is not null").select("doc_id", F.xxhash64("doc_id").alias("k"), "text")
 
     def keys_of(batches: Iterator[pa.RecordBatch], shared: bitfilter.BitFilter | None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        for batch in batches:
-            part = batch.filter(pa.array(chosen.value.holds(batch.column("k").to_numpy(zero_copy_only=False))))
+        for part in held_rows(batches, chosen.value):
             ids = part.column("doc_id").to_numpy(zero_copy_only=False)
             for c in chunks(part.column("text"), lower=True, limit=TEXT_BYTES):
                 owner, flat = [], [np.empty(0, U)]
@@ -211,6 +220,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
         for _, flat in keys_of(batches, None):
             yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["key"])
 
+    # a repeated row of a representative gives its keys once more, which only makes a key shared that need not be
     heads = materialize(hashed.mapInArrow(all_keys, "key long").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "join-heads")
     wanted = broadcast(bitfilter.build(heads, "key", each=64))
 
@@ -225,9 +235,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     members = documents.sparkSession.sparkContext.broadcast(bitfilter.build(blocks.select(F.xxhash64("rep").alias("k")), "k"))
 
     def load(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            hold = members.value.holds(batch.column("k").to_numpy(zero_copy_only=False))
-            part = batch.filter(pa.array(hold))
+        for part in held_rows(batches, members.value):
             for c in chunks(part.column("text"), lower=True, limit=TEXT_BYTES):
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").slice(c.first, c.docs), pa.array([s.tobytes() for s in shingle_sets(c, words)], pa.binary())], ["rep", "shingles"])
 
