@@ -17,7 +17,7 @@ from turnstile_cover.llm.components import connected_components
 from turnstile_cover.llm.decontam import decontaminate
 from turnstile_cover.llm.quality import repetition
 from turnstile_cover.llm.queries import OP10_SQL, QUERIES, table
-from turnstile_cover.llm.substring_dedup import remove_repeats
+from turnstile_cover.llm.substring_dedup import remove_repeats, repeated_spans
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 ALNUM = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -114,6 +114,34 @@ def test_substring_dedup(spark, docs):
     assert got == brute_repeats(rows, 50)
 
 
+def test_substring_dedup_graph(spark):
+    """Paths end where texts part; few words, short windows, loops and repeated ids give many branches."""
+    a, b, c = ([f"{x}{i}" for i in range(80)] for x in "abc")
+    texts = [a + b, a + b, a + c, b[:70]]
+    rows = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    spans = sorted((r["doc_id"], r["start"], r["n"], r["origin"], r["pos"]) for r in repeated_spans(rows).collect())
+    # the last window of a goes on with b or c; document 3 ends inside the path of b and starts none
+    assert spans == [(1, 0, 31, 0, 0), (1, 31, 80, 0, 31), (2, 0, 31, 0, 0), (3, 0, 21, 0, 80)]
+
+    rng = np.random.default_rng(7)
+    made = [(int(i), " ".join(rng.choice(list("xyz"), rng.integers(0, 40)))) for i in rng.integers(0, 30, 60)]
+    made += [(3, "x y " * 30), (40, "x y " * 30), (40, "z " * 90), (41, "z " * 30 + "y x " * 20)]
+    window = 6
+    first = {}
+    for i, t in sorted(made):
+        w = tuple(t.split())
+        for k in range(len(w) - window + 1):
+            first.setdefault(w[k : k + window], i)
+    want = []
+    for i, t in made:
+        w = t.split()
+        gone = {k + x for k in range(len(w) - window + 1) if first[tuple(w[k : k + window])] < i for x in range(window)}
+        want.append((i, len(w), len(gone), " ".join(x for k, x in enumerate(w) if k not in gone)))
+    got = remove_repeats(spark.createDataFrame(made, "doc_id long, text string"), window).collect()
+    assert sorted((r["doc_id"], r["n_words"], r["n_removed"], r["kept"]) for r in got) == sorted(want)
+
+
+
 def brute_components(rows, k, percent):
     sets = {}
     for i, t in rows:
