@@ -219,6 +219,33 @@ def test_personal_data(spark, docs):
     assert "term" not in got[0]["spans"]
 
 
+def test_personal_data_in_long_texts(spark):
+    """Tens of thousands of spans in one text, pieces across blocks, astral characters: as re places and writes them."""
+    many = " \U0001f600 ".join(f"u{i}@x{i % 7}.org {i % 256}.2.3.4 é" for i in range(30_000))
+    long = "é\U0001f600x " * 5000 + "a@b.org" + " y" * 9000 + " 1.2.3.4" + "z " * 4096
+    edge = "x" * 4090 + " a@b.org" + "y" * 4093 + " 1.2.3.4 " + "z" * 8192
+    texts = [many, long, edge, "a@b.org", "", None]
+    out = pii.sanitise(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), pii.DisclosureLimits(support=1 << 30))
+    got = {r["doc_id"]: r for r in out.select("doc_id", pii.listed(("email", "ip")).alias("spans"), "text").collect()}
+    email, ip = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+", r"[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+"
+    for i, t in enumerate(texts):
+        assert got[i]["spans"] == ",".join(f"{k}:{m.start()}:{m.end()}" for k, p in (("email", email), ("ip", ip)) for m in re.finditer(p, t or ""))
+        assert got[i]["text"] == re.sub(ip, "[IP]", re.sub(email, "[EMAIL]", t or ""))
+
+
+def test_terms_outside_spans(spark):
+    rng = np.random.default_rng(5)
+    rows, want = [], []
+    for i in range(60):
+        n, m = (int(x) for x in rng.integers(0, (6, 900)[i % 2], 2))
+        a, b = (sorted((int(s), int(s + e)) for s, e in zip(rng.integers(0, 8 * (n + m) + 9, k), rng.integers(1, 9, k), strict=True)) for k in (n, m))
+        rows.append((i, [(s, e, "s") for s, e in a], [(s, e, "t") for s, e in b]))
+        want.append([t for t in b if not any(s < t[1] and t[0] < e for s, e in a)])
+    df = spark.createDataFrame(rows, f"i int, spans {pii.SPANS}, terms {pii.SPANS}")
+    got = {r["i"]: [(x["start"], x["end"]) for x in r["o"]] for r in df.select("i", pii.outside(F.col("terms"), F.col("spans")).alias("o")).collect()}
+    assert all(got[i] == w for i, w in enumerate(want))
+
+
 def term_words(spark, texts, columns="doc_id long, text string"):
     """The term spans' words of each text."""
     rows = pii.sanitise(spark.createDataFrame(list(enumerate(texts)), columns)).select("doc_id", F.transform("term", lambda t: t["value"]).alias("w")).collect()

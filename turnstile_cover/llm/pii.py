@@ -11,6 +11,7 @@ removed, or generalised to their shape if they hold digits. All counts are of di
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, functions as F
@@ -29,6 +30,8 @@ KINDS = {
 }
 SPANS = "array<struct<start:int,end:int,value:string>>"
 WORD = r"[\p{L}\p{N}]"
+RUN, BLOCK = 256, 12  # items of one fold; bits of the code points in one piece of a text
+MOST = (1 << 31) - 1
 
 
 @dataclass(frozen=True)
@@ -41,19 +44,60 @@ class DisclosureLimits:
     min_letters: int = 4
 
 
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), with value worked out once although use may name it in inner functions."""
+    return F.transform(F.array(value), use)[0]
+
+
+def before(items: Column, value: Callable[[Column], Column], fold: Callable[[Column, Column], Column], zero: int) -> Column:
+    """For each item the fold of the values of all items before it; zero is neutral to fold.
+
+    Folds run inside runs of RUN items, then over the runs: arrays grow by copies, so one fold over all would cost the square.
+    """
+    first = F.struct(F.lit(zero).alias("at"), F.array().cast("array<int>").alias("out"))
+    run = lambda part: F.aggregate(part, first, lambda a, x: F.struct(fold(a["at"], value(x)).alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")))
+    starts = lambda xs: F.sequence(F.lit(1), F.greatest(F.size(xs), F.lit(1)), F.lit(RUN))
+    runs = let(items, lambda xs: F.transform(starts(xs), lambda i: run(F.slice(xs, i, F.lit(RUN)))))
+    heads = lambda rs: F.aggregate(rs, F.array(F.lit(zero)), lambda a, r: F.concat(a, F.array(fold(F.element_at(a, -1), r["at"]))))
+    shifted = lambda rs, hs: F.flatten(F.transform(rs, lambda r, i: F.transform(r["out"], lambda x: fold(F.get(hs, i), x))))
+    return let(runs, lambda rs: let(heads(rs), lambda hs: shifted(rs, hs)))
+
+
 def matches(text: Column, pattern: Column) -> Column:
     """Leftmost matches with their code-point places, from the pieces between them."""
     found = F.regexp_extract_all(text, pattern, F.lit(0))
     pieces = F.split(text, pattern, -1)
-    pairs = F.arrays_zip(F.slice(pieces, 1, F.size(found)).alias("gap"), found.alias("hit"))
-    zero = F.struct(F.lit(0).alias("at"), F.array().cast(SPANS).alias("out"))
+    sized = let(found, lambda f: F.zip_with(F.slice(pieces, 1, F.size(f)), f, lambda gap, hit: F.struct(F.length(gap).alias("gap"), F.length(hit).alias("n"), hit.alias("hit"))))
+
+    def place(x: Column, at: Column) -> Column:
+        start = at + x["gap"]
+        return F.struct(start.alias("start"), (start + x["n"]).alias("end"), x["hit"].alias("value"))
+
+    return let(sized, lambda xs: F.zip_with(xs, before(xs, lambda x: x["gap"] + x["n"], lambda a, b: a + b, 0), place))
+
+
+def outside(terms: Column, spans: Column) -> Column:
+    """Those terms that overlap no span: in the order of all starts, no earlier span ends and no later one starts inside."""
+    mark = lambda xs, base: F.transform(xs, lambda s: F.struct(s["start"], s["end"], F.lit(base).alias("base"), s["value"]))
+    last = lambda xs: before(xs, lambda x: F.when(x["base"], x["end"]).otherwise(0), F.greatest, 0)
+    following = lambda xs: F.reverse(before(F.reverse(xs), lambda x: F.when(x["base"], x["start"]).otherwise(MOST), F.least, MOST))
+    places = let(F.array_sort(F.concat(mark(spans, True), mark(terms, False))), lambda xs: F.arrays_zip(xs.alias("x"), last(xs).alias("last"), following(xs).alias("next")))
+    free = F.filter(places, lambda p: ~p["x"]["base"] & (p["last"] <= p["x"]["start"]) & (p["next"] >= p["x"]["end"]))
+    return F.transform(free, lambda p: F.struct(p["x"]["start"].alias("start"), p["x"]["end"].alias("end"), p["x"]["value"].alias("value")))
+
+
+def text_blocks(text: Column) -> Column:
+    """The text in pieces of 1 << BLOCK code points."""
+    return F.regexp_extract_all(text, F.lit(rf"(?s).{{1,{1 << BLOCK}}}"), F.lit(0))
 
-    def place(a: Column, x: Column) -> Column:
-        start = a["at"] + F.length(x["gap"])
-        end = start + F.length(x["hit"])
-        return F.struct(end.alias("at"), F.concat(a["out"], F.array(F.struct(start.alias("start"), end.alias("end"), x["hit"].alias("value")))).alias("out"))
 
-    return F.aggregate(pairs, zero, place, lambda a: a["out"])
+def between(blocks: Column, start: Column, end: Column) -> Column:
+    """The text from start to end, taken from its text_blocks: nothing is sought from the text's start."""
+    i, j = F.shiftright(start, BLOCK), F.shiftright(end, BLOCK)
+    skip = start - F.shiftleft(i, BLOCK) + 1
+    near = F.substring(F.get(blocks, i), skip, end - start)
+    far = F.concat(F.substring(F.get(blocks, i), skip, F.lit(1 << BLOCK)), F.array_join(F.slice(blocks, i + 2, j - i - 1), ""), F.coalesce(F.substring(F.get(blocks, j), F.lit(1), end - F.shiftleft(j, BLOCK)), F.lit("")))
+    return F.when(start >= end, "").when(i == j, near).otherwise(far)
 
 
 def luhn(digits: Column) -> Column:
@@ -97,17 +141,20 @@ def entities(kind: Column, value: Column) -> Column:
 
 def around(found: DataFrame, limits: DisclosureLimits) -> DataFrame:
     """th, entity and terms near it: a row for each span and level of its entity."""
-    near = found.select("th", "text", F.explode("spans").alias("s")).select("th", entities(F.col("s.kind"), F.col("s.value")).alias("keys"), context_terms(F.col("text"), F.col("s.start"), F.col("s.end"), limits).alias("terms"))
+    pair = lambda bs, n: F.transform("spans", lambda s: F.struct(entities(s["kind"], s["value"]).alias("keys"), context_terms(bs, n, s["start"], s["end"], limits).alias("terms")))
+    # contexts are cut before spans become rows, so no row carries its whole text
+    each = let(text_blocks(F.col("text")), lambda bs: let(F.length("text"), lambda n: pair(bs, n)))
+    near = found.select("th", F.explode(each).alias("s")).select("th", "s.keys", "s.terms")
     return near.select("th", F.explode("keys").alias("entity"), "terms")
 
 
-def context_terms(text: Column, start: Column, end: Column, limits: DisclosureLimits) -> Column:
+def context_terms(blocks: Column, size: Column, start: Column, end: Column, limits: DisclosureLimits) -> Column:
     """Different whole terms near a span."""
     # one more character than the context shows whether it cuts a word
     reach = limits.context + 1
-    before = F.substring(text, F.greatest(start - reach, F.lit(0)) + 1, F.least(start, F.lit(reach)))
-    after = F.substring(text, end + 1, F.lit(reach))
-    left = F.when(start > limits.context, F.regexp_replace(before, rf"^{WORD}+", " ")).otherwise(before)
+    prior = between(blocks, F.greatest(start - reach, F.lit(0)), start)
+    after = between(blocks, end, F.least(end + reach, size))
+    left = F.when(start > limits.context, F.regexp_replace(prior, rf"^{WORD}+", " ")).otherwise(prior)
     right = F.when(F.length(after) > limits.context, F.regexp_replace(after, rf"{WORD}+$", " ")).otherwise(after)
     whole = F.concat(left, F.lit(" "), right)
     terms = F.split(F.lower(whole), r"[^\p{L}\p{N}]+")
@@ -155,8 +202,7 @@ def sanitise(documents: DataFrame, limits: DisclosureLimits = DisclosureLimits()
     by_text = materialize(disclosing_terms(found.select("th", "text", "spans"), documents.select("text"), limits), "pii-texts")
     none = F.array().cast(SPANS)
     pattern = F.concat(F.lit(rf"(?iu)(?<!{WORD})(?:"), F.array_join("terms", "|"), F.lit(rf")(?!{WORD})"))
-    inside = lambda t: F.exists("spans", lambda s: (s["start"] < t["end"]) & (t["start"] < s["end"]))
-    term = F.when(F.col("terms").isNotNull(), F.filter(matches(F.col("text"), pattern), lambda t: ~inside(t))).otherwise(none)
+    term = F.when(F.col("terms").isNotNull(), outside(matches(F.col("text"), pattern), F.col("spans"))).otherwise(none)
     out = first.withColumn("spans", every).join(by_text, "th", "left").withColumn("term", term)
     columns = [*(F.col(h).alias(c) for h, c in zip(held, carried, strict=True)), *KINDS, "term"]
     return out.select(*columns, *([cleaned().alias("text")] if with_text else []))
@@ -168,15 +214,15 @@ def cleaned() -> Column:
     shape = lambda v: F.when(v.rlike("[0-9]"), F.regexp_replace(F.regexp_replace(v, r"\p{N}", "0"), r"\p{L}", "x")).otherwise("")
     terms = F.transform("term", lambda s: F.struct(s["start"], s["end"], shape(s["value"]).alias("put")))
     ordered = F.array_sort(F.concat(*marked, terms))
-    zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    some = sum((F.size(k) for k in (*KINDS, "term")), F.lit(0)) > 0
 
-    def write(a: Column, s: Column) -> Column:
-        fresh = s["start"] >= a["at"]
-        piece = F.concat(a["out"], F.substring(F.col("text"), a["at"] + 1, s["start"] - a["at"]), s["put"])
-        return F.struct(F.greatest(a["at"], s["end"]).alias("at"), F.when(fresh, piece).otherwise(a["out"]).alias("out"))
+    def written(blocks: Column, xs: Column) -> Column:
+        done = before(xs, lambda s: s["end"], F.greatest, 0)
+        pieces = F.zip_with(xs, done, lambda s, at: F.when(s["start"] >= at, F.concat(between(blocks, at, s["start"]), s["put"])).otherwise(""))
+        rest = between(blocks, F.array_max(F.transform(xs, lambda s: s["end"])), F.length("text"))
+        return F.concat(F.array_join(pieces, ""), rest)
 
-    whole = F.aggregate(ordered, zero, write, lambda a: F.concat(a["out"], F.substring(F.col("text"), a["at"] + 1, F.length("text"))))
-    return F.when(F.size(ordered) > 0, whole).otherwise(F.col("text"))
+    return F.when(some, let(text_blocks(F.col("text")), lambda bs: let(ordered, lambda xs: written(bs, xs)))).otherwise(F.col("text"))
 
 
 def listed(kinds: tuple[str, ...]) -> Column:
