@@ -246,6 +246,14 @@ def test_terms_outside_spans(spark):
     assert all(got[i] == w for i, w in enumerate(want))
 
 
+def test_members(spark):
+    keys = [int(k) for k in np.random.default_rng(3).integers(-(1 << 63), 1 << 63, 30_000)]
+    of, rows = (spark.createDataFrame([(k,) for k in x], "k long") for x in (keys[:3000], keys))
+    got = {r["k"]: r["member"] for r in pii.with_member(rows, "k", of).collect()}
+    assert len(got) == 30_000 and all(got[k] for k in keys[:3000]) and sum(got.values()) < 3000 + 0.2 * 27_000
+    assert not any(r["member"] for r in pii.with_member(rows, "k", of.limit(0)).collect())
+
+
 def term_words(spark, texts, columns="doc_id long, text string"):
     """The term spans' words of each text."""
     rows = pii.sanitise(spark.createDataFrame(list(enumerate(texts)), columns)).select("doc_id", F.transform("term", lambda t: t["value"]).alias("w")).collect()

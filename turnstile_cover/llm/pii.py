@@ -16,7 +16,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .bitfilter import text_key
+from .bitfilter import MAX_BITS, text_key
 from .store import materialize
 
 #: Each kind's cheap gate and its pattern. Possessive and anchored forms of the plain ones: the same
@@ -161,28 +161,47 @@ def context_terms(blocks: Column, size: Column, start: Column, end: Column, limi
     return F.array_distinct(F.filter(terms, lambda t: F.length(t) >= limits.min_letters))
 
 
+def words_of(terms: DataFrame, limits: DisclosureLimits) -> Column:
+    """Different words of text whose hash bucket one of terms has: all of terms that it holds, and few others."""
+    bucket = lambda t: F.pmod(F.xxhash64(t), F.lit(1 << 18)).cast("int")
+    longs = {r[0]: r[1] for r in terms.select(bucket(F.col("term")).alias("b")).distinct().groupBy(F.shiftright("b", 6).alias("i")).agg(F.bit_or(F.expr("shiftleft(1L, b & 63)"))).collect()}
+    table = F.from_json(F.lit(str([longs.get(i, 0) for i in range(1 << 12)])), "array<bigint>")
+    wanted = lambda t: (F.length(t) >= limits.min_letters) & (F.getbit(F.element_at(table, F.shiftright(bucket(t), 6) + 1), bucket(t).bitwiseAND(63)) == 1)
+    return F.array_distinct(F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), wanted))
+
+
+def with_member(rows: DataFrame, key: str, of: DataFrame) -> DataFrame:
+    """rows with member, true for every row whose 64-bit key is in of and for few others. The bitmap has 16 MB at most."""
+    bits = min(MAX_BITS, max(15, (8 * of.count()).bit_length()))
+    place = lambda k: F.col(k).bitwiseAND((1 << bits) - 1) + 1
+    maps = of.select(place(key).alias("p")).groupBy(F.bitmap_bucket_number("p").alias("bucket_")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("map_"))
+    at = F.bitmap_bit_position(place(key))
+    byte = F.conv(F.hex(F.substring(F.col("map_"), (F.shiftright(at, 3) + 1).cast("int"), F.lit(1))), 16, 10).cast("bigint")
+    member = F.coalesce(F.getbit(byte, at.bitwiseAND(7).cast("int")) == 1, F.lit(False))
+    joined = rows.withColumn("bucket_", F.bitmap_bucket_number(place(key))).join(F.broadcast(maps), "bucket_", "left")
+    return joined.withColumn("member", member).drop("bucket_", "map_")
+
+
 def disclosing_terms(found: DataFrame, documents: DataFrame, limits: DisclosureLimits) -> DataFrame:
     """th and terms of every text that holds terms over the threshold; found: th, text and spans (kind, start, end, value)."""
     seen = around(found, limits)
     of_entity = seen.groupBy("entity").agg(F.countDistinct("th").alias("n_e")).where(F.col("n_e") >= limits.support)
     pairs = seen.select("entity", "th", F.explode("terms").alias("term")).distinct().groupBy("entity", "term").agg(F.count("*").alias("n_et")).where(F.col("n_et") >= limits.support)
     pairs = materialize(pairs.join(of_entity, "entity"), "pii-pairs")
-    # only words whose hash bucket a candidate has are counted over the corpus
-    bucket = lambda t: F.pmod(F.xxhash64(t), F.lit(1 << 18)).cast("int")
-    longs = {r[0]: r[1] for r in pairs.select(bucket(F.col("term")).alias("b")).distinct().groupBy(F.shiftright("b", 6).alias("i")).agg(F.bit_or(F.expr("shiftleft(1L, b & 63)"))).collect()}
-    table = F.from_json(F.lit(str([longs.get(i, 0) for i in range(1 << 12)])), "array<bigint>")
-    wanted = lambda t: (F.length(t) >= limits.min_letters) & (F.getbit(F.element_at(table, F.shiftright(bucket(t), 6) + 1), bucket(t).bitwiseAND(63)) == 1)
-    words = F.array_distinct(F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), wanted))
     texts = documents.where(F.col("text").isNotNull()).select(text_key().alias("th"), "text")
-    spread = materialize(texts.select("th", words.alias("words")).where(F.size("words") > 0).dropDuplicates(["th"]), "pii-words")
-    spread = spread.select("th", F.explode("words").alias("term"))
-    n_t = spread.groupBy("term").agg(F.count("*").alias("n_t"))
-    total = texts.agg(F.greatest(F.countDistinct("th"), F.lit(1)).cast("double").alias("n"))
-    scored = pairs.join(n_t, "term").crossJoin(F.broadcast(total))  # one row
+    counts = materialize(texts.groupBy("th").agg(F.count("*").alias("n")), "pii-counts")
+    # a text without copies is counted where it lies; only those that may have copies are gathered to count once
+    words = with_member(texts, "th", counts.where("n > 1")).select("th", "member", words_of(pairs, limits).alias("words"))
+    once = words.where("member").groupBy("th").agg(F.first("words").alias("words"))
+    n_t = words.where("not member").select("words").unionByName(once.select("words")).select(F.explode("words").alias("term")).groupBy("term").agg(F.count("*").alias("n_t"))
+    scored = pairs.join(n_t, "term").withColumn("n", F.lit(float(max(counts.count(), 1))))
     information = F.log(F.col("n") / F.least("n_e", "n"))
     mutual = F.log(F.col("n_et") * F.col("n") / (F.col("n_e") * F.greatest("n_t", "n_et")))
     terms = materialize(scored.where((information > 0) & (mutual / information >= limits.threshold)).select("term").distinct(), "pii-terms")
-    return spread.join(terms, "term").groupBy("th").agg(F.sort_array(F.collect_list("term")).alias("terms"))
+    if terms.isEmpty():  # no text needs another reading
+        return terms.select(F.lit(0).cast("long").alias("th"), F.array("term").alias("terms"))
+    held = texts.select("th", words_of(terms, limits).alias("words")).select("th", F.explode("words").alias("term"))
+    return held.join(terms, "term").groupBy("th").agg(F.sort_array(F.collect_set("term")).alias("terms"))
 
 
 def sanitise(documents: DataFrame, limits: DisclosureLimits = DisclosureLimits(), with_text: bool = True, keep: tuple[str, ...] = ()) -> DataFrame:
