@@ -24,12 +24,13 @@ from pyspark.sql import DataFrame, Window, functions as F
 
 from . import bitfilter
 from .components import connected_components
-from .store import materialize
+from .store import mark, materialize, tidy
 from .textkit import U, Chunk, chunks, mix, ngram_hash
 
 LEAF, FANOUT = 32, 8
 CHUNK_BYTES = 24 << 20
 GUIDES = 8
+KEY_BITS, MAX_KEY_BITS = 10, 28  # of the bitmap of shared keys: 32 MB at most
 TEXT_BYTES = 1 << 18  # texts hashed at a time, to keep workers small
 
 
@@ -180,6 +181,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     """
     num, den = percent, 100
     spare = reserve if reserve is not None else 0.05 if percent >= 88 else 0.15
+    spark, since = documents.sparkSession, mark()
     source = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
     def outline(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -222,7 +224,9 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
 
     # a repeated row of a representative gives its keys once more, which only makes a key shared that need not be
     heads = materialize(hashed.mapInArrow(all_keys, "key long").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "join-heads")
-    wanted = broadcast(bitfilter.build(heads, "key", each=64))
+    tidy(spark, since, (outlines, reps, heads))  # every key of every set went through that shuffle
+    # ten bits a key: were the bitmap full, most keys of all sets would seem shared
+    wanted = broadcast(bitfilter.build(heads, "key", each=KEY_BITS, max_bits=MAX_KEY_BITS, places=4))
 
     def shared_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for owner, flat in keys_of(batches, wanted.value):
@@ -232,7 +236,8 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     star = shared.groupBy("key").agg(F.min("rep").alias("head"), F.max("rep").alias("last")).where("head < last").select("key", "head")
     star = shared.join(materialize(star, "join-stars"), "key").where("rep <> head").select(F.col("rep").alias("a"), F.col("head").alias("b")).distinct()
     blocks = materialize(connected_components(materialize(star, "join-star")).select(F.col("node").alias("rep"), F.col("component").alias("block")), "join-blocks")
-    members = documents.sparkSession.sparkContext.broadcast(bitfilter.build(blocks.select(F.xxhash64("rep").alias("k")), "k"))
+    tidy(spark, since, (outlines, reps, blocks))
+    members = broadcast(bitfilter.build(blocks.select(F.xxhash64("rep").alias("k")), "k"))
 
     def load(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in held_rows(batches, members.value):
@@ -250,9 +255,12 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     links = materialize(tree_links(small, num, den), "join-links")
     large = materialize(sized.where("n_chunks > 1").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("n_chunks")).cast("int")), "join-large")
     if not large.isEmpty():
+        tidy(spark, since, (outlines, reps, links, large))
         links = large_links(large, links, num, den)
 
+    tidy(spark, since, (outlines, reps, links))
     components = connected_components(links)
+    tidy(spark, since, (outlines, reps, components))
     final = outlines.select("doc_id", "text_key", "n", "one", "two").join(reps, ["one", "two", "n"], "left").join(components.withColumnRenamed("node", "rep"), "rep", "left")
     return final.select("doc_id", "text_key", F.col("n").alias("n_shingles"), F.coalesce("component", "rep", "doc_id").alias("component_id"))
 
