@@ -154,6 +154,42 @@ def test_all_users_are_targets(spark):
     assert {tuple(r) for r in Q.QUERIES["targeted_all_users"](spark, d).collect()} == want
 
 
+def test_targets_with_shared_rows_equal_bitmaps(monkeypatch):
+    """Weighted rows for all targets at once, with ties, against one bitmap greedy a target."""
+    rng = np.random.default_rng(0)
+    for few in (0, targeted.FEW):
+        monkeypatch.setattr(targeted, "FEW", few)
+        for _ in range(30):
+            sizes = rng.integers(1, 5, rng.integers(1, 5))
+            attribute = np.repeat(np.arange(len(sizes)), sizes)
+            first = np.concatenate(([0], np.cumsum(sizes)[:-1]))
+            codes = np.unique(np.stack([f + rng.integers(0, n, 20) for f, n in zip(first, sizes)], 1), axis=0).astype(np.int16)
+            w = rng.integers(0, 4, len(codes)).astype(np.int32)
+            w[0] = 1
+            every, k = w + rng.integers(0, 3, len(codes)).astype(np.int32), int(rng.integers(1, 8))
+            has = np.array([(codes == f).any(1) for f in range(len(attribute))])
+            bits, all_ = targeted.bitmaps(np.repeat(has, w, 1)), targeted.bitmaps(np.ones((1, w.sum()), bool))[0]
+            picks, won, left = targeted.shared_greedy(codes, w, every, codes, k, attribute)
+            assert (targeted.shared_greedy(codes, w, every, codes, k, attribute, False)[2] == left).all()
+            for t, row in enumerate(codes):
+                want = targeted.greedy_bits(targeted.difference(bits, [int(x) for x in row], all_), all_, k)
+                assert (list(picks[t]), list(won[t])) == want
+                same = np.ones(len(codes), bool)
+                for r, f in enumerate(want[0]):
+                    same &= has[f] == (f in row)
+                    assert left[t, r] == every[same].sum()
+
+
+def test_sweep_of_repeated_users(spark, tmp_path):
+    """Sixty times the users with shifted keys, 936 million cells: an error before."""
+    d, n = "/root/testdata/sf0.01", 60
+    w = features.people(spark, d)
+    more = w.over(w.df.withColumn("uid", F.explode(F.sequence(F.col("uid"), F.col("uid") + (n - 1) * 1_000_000, F.lit(1_000_000)))))
+    c = more.codes()
+    got = targeted.sweep_totals(c, 2, [0.6, 0.4, 0.2], 10)
+    assert {(r["users"], r["k"]) for r in got.collect()} == {(15_000 * n, 1), (15_000 * n, 2)}
+
+
 def test_sweeps_equal_plain_counts(spark):
     d = "/root/testdata/sf0.001"
     w = features.people(spark, d)
