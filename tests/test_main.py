@@ -310,9 +310,9 @@ def test_stream_increments_compact(spark, sf):
 
 
 def test_moment_branches(spark):
-    got = {r["name"]: r["branch"] for r in Q.QUERIES["complement_branches"](spark, "").collect()}
+    got = {r["name"]: r["branch"] for r in Q.QUERIES["complement_branches"](spark, "/root/testdata/sf0.01").collect()}
     assert got["all_distinct"] == "all_small" and got["heavy"] == "dominant" and got["half"] == "middle"
-    equal = Q.branch_vectors(spark)["all_equal"]
+    equal = Q.branch_vectors(spark.range(2000).withColumnRenamed("id", "uid"))["all_equal"]
     assert moments.complement_of_sample(equal, 2000, 2, 500).first()["complement"] == 0.0
 
 
@@ -343,3 +343,49 @@ def test_query_equals_its_sql(spark, sf, duck, name):
     assert sorted(got.columns) == sorted(names)
     key = lambda r: tuple(map(str, r))
     assert sorted((tuple(r) for r in got.select(*names).collect()), key=key) == sorted(want.fetchall(), key=key)
+
+
+def test_moments_past_a_long_stay_whole(spark):
+    """Equal values past the cube root of 2^63: the cast to a long was an error."""
+    x = spark.range(2_200_000).select((F.col("id") % 2).alias("x"))
+    got = moments.as_long(moments.complement_exact(x, 3), "complement", 2_200_000, 3)
+    assert int(got.first()[0]) == 2_200_000**3 - 2 * 1_100_000**3
+    assert moments.as_long(moments.fp(x, 2), "fp", 2_200_000, 2).schema["fp"].dataType.simpleString() == "bigint"
+
+
+def test_counts_past_a_table_are_exact(spark):
+    u = spark.createDataFrame([(i, 0, 1) for i in range(30)] + [(i, 1, 1) for i in range(4000)] + [(5, 1, -1)], "i long, j long, c long")
+    assert rows(l0.exact_all(u, ["j"])) == [(0, 30, True), (1, 3999, True)]
+
+
+def test_failed_draws_are_drawn_again(spark):
+    """Tables so small that some of many groups fail at first."""
+    u = spark.range(6000).select((F.col("id") % 600).alias("j"), F.col("id").alias("i"), F.lit(1).cast("long").alias("c"))
+    once = l0sampler.draw_batch(l0sampler.build(u, ["j"], size=8), ["j"], 8)
+    assert measures.failure_rate(once, ["j"]).first()["failures"] > 0
+    got = l0sampler.draw_again(u, ["j"], size=8, copies=8)
+    assert tuple(measures.failure_rate(got, ["j"]).first()) == (600, 0, 0.0)
+    assert got.groupBy("j").agg(F.countDistinct("lvl").alias("n")).where("n > 1").isEmpty()
+
+
+def test_seeds_share_one_shuffle(spark):
+    u = spark.range(3000).select((F.col("id") % 20).alias("j"), (F.col("id") * 7).alias("i"), F.lit(1).cast("long").alias("c"))
+    u = u.unionByName(u.where("i % 5 = 0").withColumn("c", -F.col("c")))
+    want = measures.over_seeds(lambda x: measures.l0_error(u, "j", seed=x).agg(F.max("rel_err").alias("worst")), "worst")
+    got = measures.l0_over_seeds(u, "j")
+    assert got.first() == want.first() and measures.exchange_bytes(got) < measures.exchange_bytes(want) / 4
+
+
+def test_sign_sketch_hashes_equal_values_once(spark):
+    x = spark.range(40_000).select((F.col("id") % 9).alias("x"))
+    plan = moments.f2_sign_sketch(x)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" in plan and plan.index("Generate") < plan.rindex("Aggregate")
+
+
+@pytest.mark.parametrize("name", ["complement_branches", "op_recursive_levels", "update_fanout"])
+def test_query_reads_a_table(spark, sf, duck, name):
+    got = Q.QUERIES[name](spark, sf)
+    want = duck.execute(Q.ORACLE[name])
+    names = [c[0] for c in want.description]
+    assert sorted(map(tuple, got.select(*names).collect())) == sorted(want.fetchall())
+    assert got.inputFiles()
