@@ -389,3 +389,16 @@ def test_query_reads_a_table(spark, sf, duck, name):
     names = [c[0] for c in want.description]
     assert sorted(map(tuple, got.select(*names).collect())) == sorted(want.fetchall())
     assert got.inputFiles()
+
+
+@pytest.mark.parametrize("name", ["cover_sketch_cells_c1t", "sketch_size_c1t"])
+def test_cells_past_the_fixed_sizes_equal_sql(spark, tmp_path, name):
+    """Suppliers past the width of the SQL's codes and parts past its rows."""
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT * REPLACE (l_suppkey + 1500 * (l_orderkey % 3) AS l_suppkey, l_partkey + 30000 * (l_orderkey % 3) AS l_partkey) FROM '/root/testdata/sf0.001/lineitem.parquet') TO '{tmp_path}/lineitem.parquet' (FORMAT parquet)")
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet'")
+    want = con.execute(Q.ORACLE[name])
+    names = [c[0] for c in want.description]
+    assert sorted(map(tuple, Q.QUERIES[name](spark, str(tmp_path)).select(*names).collect())) == sorted(want.fetchall())
