@@ -391,7 +391,7 @@ def test_query_reads_a_table(spark, sf, duck, name):
     assert got.inputFiles()
 
 
-@pytest.mark.parametrize("name", ["cover_sketch_cells_c1t", "sketch_size_c1t"])
+@pytest.mark.parametrize("name", ["cover_sketch_cells_c1t", "sketch_size_c1t", "cover_sketch_recovered_c1t", "cover_answer_c1t"])
 def test_cells_past_the_fixed_sizes_equal_sql(spark, tmp_path, name):
     """Suppliers past the width of the SQL's codes and parts past its rows."""
     import duckdb
