@@ -1,5 +1,7 @@
 """Methods against exact answers, golden trajectories and invariants."""
 
+from pathlib import Path
+
 import duckdb
 import numpy as np
 import pytest
@@ -7,7 +9,7 @@ from pyspark.sql import functions as F
 
 from turnstile_cover import queries as Q
 from turnstile_cover.functions.hashing import PRIME, Seed, poly4
-from turnstile_cover.operators import baselines, cells, countsketch, coverage, fingerprint, generalsketch, greedy, l0, l0sampler, measures, moments, rowsample, targeted
+from turnstile_cover.operators import baselines, cells, checkpoints, countsketch, coverage, fingerprint, generalsketch, greedy, l0, l0sampler, measures, moments, neighbours, rowsample, targeted
 from turnstile_cover.plans import workloads
 from turnstile_cover.plans.params import Params, moment_samples
 from turnstile_cover.sources import features
@@ -402,3 +404,28 @@ def test_cells_past_the_fixed_sizes_equal_sql(spark, tmp_path, name):
     want = con.execute(Q.ORACLE[name])
     names = [c[0] for c in want.description]
     assert sorted(map(tuple, Q.QUERIES[name](spark, str(tmp_path)).select(*names).collect())) == sorted(want.fetchall())
+
+
+def test_vectors_are_covered_in_blocks(spark, tmp_path):
+    """Nulls, no dimension, other lengths, zeros, copies, an id with two vectors, and pairs at the limit itself."""
+    r = np.random.default_rng(3)
+    data = [(i, [float(np.float32(x)) for x in r.normal(size=5)]) for i in range(300)]
+    data += [(300 + i, [1.0, 0.0, 0.0, 0.0, 0.0] if i % 2 else [1.0, 2.0, 2.0, 4.0, 0.0]) for i in range(40)]  # cosine 0.2 exactly
+    data += [(400, None), (401, [1.0, None, 0.0, 0.0, 0.0]), (402, [0.0] * 5), (403, []), (404, [1.0, 1.0]), (405, [1.0, 0.9]), (7, [9.0, 0.0, 0.0, 0.0, 0.0])]
+    spark.createDataFrame(data, "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    want = greedy.cover_df(net(WORKLOADS["c6"][0](spark, str(tmp_path))), 9)
+    v = spark.read.parquet(f"{tmp_path}/embeddings.parquet").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+    assert neighbours.cover(v, 9, rows=32).collect() == want.collect()
+    few = v.where("id = 3 OR id = 402")
+    assert [tuple(x) for x in neighbours.cover(few, 5).collect()] == [(1, 3, 2, 2), (2, 402, 0, 2)]
+
+
+def test_pairs_of_vectors_are_not_written(spark, tmp_path, monkeypatch):
+    """A twentieth of all pairs are entries; they were written as rows in every round."""
+    written = []
+    monkeypatch.setattr(checkpoints, "noted", lambda path: written.append(path) or path)
+    r = np.random.default_rng(4)
+    spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(r.normal(size=(3000, 64)))], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    Q.QUERIES["cover_greedy_c6"](spark, str(tmp_path)).collect()
+    size = lambda path: sum(f.stat().st_size for f in Path(path).rglob("*.parquet"))
+    assert sum(map(size, written)) < 2 * size(f"{tmp_path}/embeddings.parquet")
