@@ -429,3 +429,25 @@ def test_pairs_of_vectors_are_not_written(spark, tmp_path, monkeypatch):
     Q.QUERIES["cover_greedy_c6"](spark, str(tmp_path)).collect()
     size = lambda path: sum(f.stat().st_size for f in Path(path).rglob("*.parquet"))
     assert sum(map(size, written)) < 2 * size(f"{tmp_path}/embeddings.parquet")
+
+
+def test_lazy_rounds_and_packed_samples(spark):
+    """Bounds, few features kept, codes that pass one long, missing values and repeated users; samples wrote all columns for every seed."""
+    r = np.random.default_rng(5)
+    data = [(i, int(r.integers(3)), int(r.integers(-2, 40)), int(r.integers(1 << 40)) << 20 if i % 5 else -7, int(r.integers(1 << 40)) << 20 if i % 3 else 8, None if i % 11 == 0 else int(r.integers(4))) for i in range(2000)]
+    df = spark.createDataFrame(data, "uid long, a long, b long, c long, d long, e long")
+    w = features.Wide(df, ("a", "b", "c", "d", "e"), frozenset(), "")
+    c = w.codes()
+    assert len(fingerprint.packing(c)) > 1
+    want = fingerprint.greedy_onehot(w, 9, 2000, c).collect()
+    for more in ({"batch": 2}, {"most": 3, "batch": 2}, {"most": 1}):
+        assert fingerprint.greedy_onehot(w, 9, 2000, c, lazy_from=0, **more).collect() == want
+    swept = {(x["sample_rows"], x["seed"]): [(p["a"], p["v"]) for p in x["picks"]] for x in fingerprint.sweep_rowhash(c, 6, [50, 700, 5000], 2, 2000).collect()}
+    assert len(swept) == 6
+    for (size, seed), picks in swept.items():
+        part = fingerprint.row_sample(c.df, size, 2000, seed).toPandas()
+        found = [(i, int(v)) for i, a in enumerate(c.attributes) for v in sorted(part[a].dropna().unique())]
+        codes = np.stack([(part[c.attributes[i]] == v).to_numpy() for i, v in found], axis=1).astype(np.int8)
+        assert [found[x[1]] for x in fingerprint.local_onehot(codes, list(range(len(found))), 6)] == picks
+    written = fingerprint.sweep_rowhash(features.people(spark, "/root/testdata/sf0.01").codes(), 2, [600], 10, 15_000)
+    assert measures.exchange_bytes(written) < 10 * 600 * 40
