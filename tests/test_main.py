@@ -451,3 +451,12 @@ def test_lazy_rounds_and_packed_samples(spark):
         assert [found[x[1]] for x in fingerprint.local_onehot(codes, list(range(len(found))), 6)] == picks
     written = fingerprint.sweep_rowhash(features.people(spark, "/root/testdata/sf0.01").codes(), 2, [600], 10, 15_000)
     assert measures.exchange_bytes(written) < 10 * 600 * 40
+
+
+def test_coverage_table_writes_its_entries_once(spark):
+    """Every method computed the entries anew, and all tables of all rounds stayed."""
+    since = checkpoints.mark()
+    table = workloads.coverage_table(spark, "/root/testdata/sf0.001").collect()
+    assert [r["method"] for r in table] == ["sketch", "capped_sample", "bucketed_sample"] and all(0 < r["ratio"] <= 1.2 for r in table)
+    assert checkpoints.mark() == since + 1
+    checkpoints.release(spark, since)
