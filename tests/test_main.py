@@ -182,6 +182,41 @@ def test_targets_with_shared_rows_equal_bitmaps(monkeypatch):
                     assert left[t, r] == every[same].sum()
 
 
+def test_rounds_by_groups_equal_shared_rows(monkeypatch):
+    """All groups of a round at a time, whole and in many pieces, with ties, against the rounds of one group at a time."""
+    rng = np.random.default_rng(3)
+    for trial in range(60):
+        monkeypatch.setattr(targeted, "CELLS", (1 << 17, 40)[trial % 2])
+        spans = [int(x) for x in rng.integers(1, 6, rng.integers(1, 6))]
+        raw = np.stack([rng.integers(0, n, 40) for n in spans], 1)
+        first, number = targeted.same_rows(raw, spans)
+        codes, every = raw[first], np.bincount(number)
+        assert (codes[number] == raw).all() and len(np.unique(raw, axis=0)) == len(codes)
+        w, k = rng.binomial(every, 0.6), int(min(rng.integers(1, 8), sum(spans)))
+        places = (codes + np.cumsum([0, *spans[:-1]])).astype(np.int32)
+        want = targeted.shared_greedy(places, w, every, places, k, np.repeat(np.arange(len(spans)), spans), False)[2]
+        got = np.full((len(codes), k), -1)
+        for r, who, left in targeted.left_by_round(codes, w.astype(float), every, np.arange(len(codes)), [], k, spans):
+            got[who, -r - 1 if r < 0 else r - 1 : None if r < 0 else r] = left[:, None]
+        assert (got == want).all()
+    assert len(targeted.same_rows(rng.integers(0, 9, (500, 30)), [1 << 20] * 30)[0]) == 500  # rows past 62 bits
+
+
+def test_totals_send_no_rows_whole(spark, monkeypatch):
+    """The totals of a sweep equal every target's own, without the table of different rows that went to the driver before."""
+    w = features.people(spark, "/root/testdata/sf0.001")
+    c = w.codes()
+    alone = targeted.sweep(w, c.df.select("uid"), 4, [0.1, 0.5], 2, codes=c).groupBy("rate", "seed", "k").agg(F.avg("separated").alias("separated"), F.min("separated").alias("least"), F.count("*").alias("users"))
+    want = rows(alone.select("rate", "seed", "k", F.round("separated", 6), "least", "users"))
+
+    def whole(*_):
+        raise AssertionError("rows sent whole")
+
+    monkeypatch.setattr(targeted, "different_rows", whole)
+    got = targeted.sweep_totals(c, 4, [0.1, 0.5], 2)
+    assert rows(got.select("rate", "seed", "k", F.round("separated", 6), "least", "users")) == want and len(want) == 16
+
+
 def test_sweep_of_repeated_users(spark, tmp_path):
     """Sixty times the users with shifted keys, 936 million cells: an error before."""
     d, n = "/root/testdata/sf0.01", 60
