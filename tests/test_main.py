@@ -441,6 +441,28 @@ def test_cells_past_the_fixed_sizes_equal_sql(spark, tmp_path, name):
     assert sorted(map(tuple, Q.QUERIES[name](spark, str(tmp_path)).select(*names).collect())) == sorted(want.fetchall())
 
 
+@pytest.mark.parametrize("name", ["cover_sketch_recovered_c1t", "cover_answer_c1t"])
+def test_entries_with_equal_codes_in_a_bucket_equal_sql(spark, tmp_path, name):
+    """Rows i and i + 1 in one bucket, with columns on both sides of the width: their codes are equal, so no table told them apart."""
+    bucket = lambda i: Seed.of(Q.P1.seed, 30).value(i) % Q.P1.buckets
+    pair = next(i for i in range(1, 20_000) if bucket(i) == bucket(i + 1))
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT {pair} + r AS l_partkey, j AS l_suppkey, CASE WHEN j % 5 = 0 THEN 'R' ELSE 'N' END AS l_returnflag FROM range(2) a(r), range(6000) b(j)) TO '{tmp_path}/lineitem.parquet' (FORMAT parquet)")
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet'")
+    want = con.execute(Q.ORACLE[name])
+    names = [c[0] for c in want.description]
+    assert sorted(map(tuple, Q.QUERIES[name](spark, str(tmp_path)).select(*names).collect())) == sorted(want.fetchall())
+
+
+def test_held_entries_equal_sql_where_tables_share_slots(spark):
+    """Few slots and many levels, so that a table is half empty levels below the one that its entries' number gives."""
+    p = Params.explicit(500, 60, 3, 60, 10_000, slots=8, buckets=3, levels=9)
+    a = spark.range(0, 9000).selectExpr("(id * 7919 + 13) % 500 AS i", "(id * id + id * 31) % 60 AS j").distinct()
+    entries = a.toPandas()  # noqa: F841
+    want = sorted(duckdb.sql(coverage.recovered_sql("SELECT i, j, 1 AS v FROM entries", p)).fetchall())
+    assert rows(coverage.held(a, p).select("m", "i", "j")) == want and want
+
+
 def test_vectors_are_covered_in_blocks(spark, tmp_path):
     """Nulls, no dimension, other lengths, zeros, copies, an id with two vectors, and pairs at the limit itself."""
     r = np.random.default_rng(3)
