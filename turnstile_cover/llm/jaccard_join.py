@@ -16,7 +16,7 @@ largest component against the other chunks.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import lru_cache
+from functools import lru_cache, partial
 
 import numpy as np
 import pyarrow as pa
@@ -31,6 +31,7 @@ LEAF, FANOUT = 32, 8
 CHUNK_BYTES = 24 << 20
 GUIDES = 8
 KEY_BITS, MAX_KEY_BITS = 10, 28  # of the bitmap of shared keys: 32 MB at most
+KEYS_A_PASS, MAX_PASSES = 1 << 25, 8  # keys whose copies are counted in one shuffle
 TEXT_BYTES = 1 << 18  # texts hashed at a time, to keep workers small
 
 
@@ -218,12 +219,23 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
                             flat.append(keys)
                 yield np.concatenate([np.empty(0, np.int64), *owner]), np.concatenate(flat)
 
-    def all_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    # keys are counted a share at a time, so that not all keys of all sets lie in one shuffle
+    shingles = int(reps.agg(F.sum("n")).first()[0] or 0)
+    passes = min(MAX_PASSES, 1 + shingles // KEYS_A_PASS)
+
+    def all_keys(batches: Iterator[pa.RecordBatch], share: int) -> Iterator[pa.RecordBatch]:
         for _, flat in keys_of(batches, None):
-            yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["key"])
+            mine = flat if passes == 1 else flat[mix(flat) % U(passes) == U(share)]
+            yield pa.RecordBatch.from_arrays([pa.array(mine.view(np.int64))], ["key"])
 
     # a repeated row of a representative gives its keys once more, which only makes a key shared that need not be
-    heads = materialize(hashed.mapInArrow(all_keys, "key long").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "join-heads")
+    heads = None
+    for share in range(passes):
+        some = hashed.mapInArrow(partial(all_keys, share=share), "key long").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+        some = materialize(some, "join-heads")
+        heads = some if heads is None else heads.unionByName(some)
+        if share + 1 < passes:
+            tidy(spark, since, (outlines, reps, heads))
     tidy(spark, since, (outlines, reps, heads))  # every key of every set went through that shuffle
     # ten bits a key: were the bitmap full, most keys of all sets would seem shared
     wanted = broadcast(bitfilter.build(heads, "key", each=KEY_BITS, max_bits=MAX_KEY_BITS, places=4))
@@ -235,7 +247,9 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
     shared = materialize(hashed.mapInArrow(shared_keys, "rep long, key long"), "join-shared")
     star = shared.groupBy("key").agg(F.min("rep").alias("head"), F.max("rep").alias("last")).where("head < last").select("key", "head")
     star = shared.join(materialize(star, "join-stars"), "key").where("rep <> head").select(F.col("rep").alias("a"), F.col("head").alias("b")).distinct()
-    blocks = materialize(connected_components(materialize(star, "join-star")).select(F.col("node").alias("rep"), F.col("component").alias("block")), "join-blocks")
+    star = materialize(star, "join-star")
+    tidy(spark, since, (outlines, reps, star))
+    blocks = materialize(connected_components(star).select(F.col("node").alias("rep"), F.col("component").alias("block")), "join-blocks")
     tidy(spark, since, (outlines, reps, blocks))
     members = broadcast(bitfilter.build(blocks.select(F.xxhash64("rep").alias("k")), "k"))
 
@@ -246,6 +260,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, res
 
     loaded = hashed.mapInArrow(load, "rep long, shingles binary")
     sets = materialize(loaded.where(F.length("shingles") > 0).join(blocks, "rep"), "join-members")
+    tidy(spark, since, (outlines, reps, blocks, sets))
 
     totals = sets.groupBy("block").agg(F.sum(F.length("shingles")).alias("bytes"), F.count("*").alias("docs"))
     totals = materialize(totals.select("block", "docs", F.ceil(F.col("bytes") / CHUNK_BYTES).cast("int").alias("n_chunks")), "join-totals")
